@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import bloom_dedup, chat, compression_rules, mixing, packing, simhash
+from . import bloom_dedup, chat, compression_rules, kneser_ney, mixing, packing, simhash
 
 QUERIES = {
     "op1_simhash_gray": simhash.op1_simhash_gray,
+    "op2_kneser_ney": kneser_ney.op2_kneser_ney,
     "op3_pack_binary": packing.op3_pack_binary,
     "op4_compression_bands": compression_rules.op4_compression_bands,
     "op6_chat_format": chat.op6_chat_format,
