@@ -70,11 +70,14 @@ def run_count(c: Column) -> Column:
     return F.length(F.regexp_replace(c, r"(?s)(.)\1+", "$1"))
 
 
-def route(pairs: DataFrame, gap_factor: float = 12.0) -> DataFrame:
-    """pairs (pair_id, a, b) -> route: trivial (an empty string, or equal ones), runs (letters times runs are fewer
-    than cells by gap_factor, the measured price of a vector step against a built-in cell), or table."""
+BLOCK_PRICE, LETTER_PRICE = 14_000.0, 2.0  # of a block of two runs and of a letter of its border, in built-in cells
+
+
+def route(pairs: DataFrame) -> DataFrame:
+    """pairs (pair_id, a, b) -> route: trivial (an empty string, or equal ones), runs (where runs against runs are
+    cheaper than all cells, at measured prices: long runs), or table (the built-in)."""
     la, lb = F.length("a").cast("double"), F.length("b").cast("double")
     ra, rb = run_count(F.col("a")), run_count(F.col("b"))
     easy = (la == 0) | (lb == 0) | (F.col("a") == F.col("b"))
-    by_runs = (ra * lb + rb * la + 60.0 * ra * rb) * gap_factor < la * lb
+    by_runs = BLOCK_PRICE * ra * rb + LETTER_PRICE * (ra * lb + rb * la) < la * lb
     return pairs.withColumn("route", F.when(easy, "trivial").when(by_runs, "runs").otherwise("table"))

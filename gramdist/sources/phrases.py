@@ -1,7 +1,7 @@
 """A Spark data source of phrase files: lines "id TAB codec TAB phrase TAB phrase ..." become strings.
 
-RLE phrases are letter and count ("a3"), LZ78 phrases an earlier phrase's number and a letter ("2b", 0 for none,
-letter absent in a last repeated phrase). Backslash escapes stand for tabs, line ends and backslashes.
+Phrases are a number, a colon and a letter: the letter's count for RLE ("3:a"), an earlier phrase for LZ78 ("2:b", 0
+for none, the letter absent in a last repeated phrase). Backslash escapes stand for tabs, line ends and backslashes.
 """
 
 from __future__ import annotations
@@ -25,34 +25,24 @@ def encode(text: str, codec: str) -> list[str]:
     from ..functions import grammar as G
 
     if codec == "rle":
-        return [guarded(c) + str(k) for c, k in G.runs(text)]
+        return [f"{k}:{guarded(c)}" for c, k in G.runs(text)]
     out, known, now = [], {"": 0}, ""
     for c in text:
         if now + c in known:
             now += c
         else:
-            out.append(f"{known[now]}{guarded(c)}")
+            out.append(f"{known[now]}:{guarded(c)}")
             known[now + c] = len(known)
             now = ""
-    return out + ([str(known[now])] if now else [])
+    return out + ([f"{known[now]}:"] if now else [])
 
 
 def decode(phrases: list[str], codec: str) -> str:
-    if codec == "rle":
-        out = []
-        for p in phrases:
-            m = re.fullmatch(r"(\\.|.)(\d+)", p, re.S)
-            out.append(plain(m[1]) * int(m[2]))
-        return "".join(out)
     made = [""]
     for p in phrases:
-        m = re.fullmatch(r"(\d+)(.*)", p, re.S)
-        # a digit letter needs the longest number that is a phrase already
-        number, rest = m[1], m[2]
-        if not rest and len(number) > 1 and (int(number) >= len(made)):
-            number, rest = number[:-1], number[-1]
-        made.append(made[int(number)] + plain(rest))
-    return "".join(made[1:])
+        number, _, letter = p.partition(":")
+        made.append(plain(letter) * int(number) if codec == "rle" else made[int(number)] + plain(letter))
+    return "".join(made)
 
 
 class PhraseReader(DataSourceReader):
