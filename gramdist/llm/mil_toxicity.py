@@ -24,9 +24,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch, crc, map_batches, table
+from .common import batch, crc, map_batches, table, written
 
-SAMPLE = 3000
+SAMPLE = 2000
 LEAST_DOCS = 4
 BEGINNINGS = (4, 5, 6, 7)
 WORDS = re.compile(r"[^\W\d_]+")
@@ -53,43 +53,53 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, usable, per_
     return docs.select(F.col("doc_id").alias("id"), "text").join(F.broadcast(chosen.withColumnRenamed("doc_id", "id")), "id"), sizes
 
 
-def bags(sample: DataFrame) -> DataFrame:
-    """Each document as its sentences' distinct features, packed: joined by blanks, sentences by line ends."""
+def vocabulary_of(sample: DataFrame) -> dict[str, int]:
+    """Features of at least LEAST_DOCS sampled documents, numbered in order; counted in tasks, then summed."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: dict[str, int] = {}
         for b in batches:
-            made = []
             for t in b.column(0):
-                text = (t.as_py() or "").lower()
-                parts = [" ".join(sorted({f for w in WORDS.findall(text[s:e]) for f in features(w)})) for s, e in sentences(text)]
-                made.append("\n".join(p for p in parts if p))
-            yield batch(bag=pa.array(made, pa.string()), y=b.column(1))
+                for f in {f for w in set(WORDS.findall((t.as_py() or "").lower())) for f in features(w)}:
+                    seen[f] = seen.get(f, 0) + 1
+        yield batch(feature=pa.array(list(seen), pa.string()), n=pa.array(list(seen.values()), pa.int64()))
 
-    return map_batches(sample.select("text", "y"), run, "bag string, y int")
+    counts = map_batches(sample.select("text"), run, "feature string, n long").groupBy("feature").agg(F.sum("n").alias("n"))
+    return {f: k for k, f in enumerate(sorted(r.feature for r in counts.where(F.col("n") >= LEAST_DOCS).toLocalIterator()))}
 
 
-def fit(bag_rows: list[tuple[str, int]], sizes: dict[int, int], rounds: int = 250, rate: float = 0.15, shrink: float = 2e-4) -> dict:
-    """Word weights and bias by full-batch Adam on the weighted likelihood of the noisy-or."""
+def bags(sample: DataFrame, vocabulary: dict[str, int]) -> DataFrame:
+    """Each document as the numbers of its sentences' distinct features, and how many each sentence has, packed."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            feats, sizes = [], []
+            for t in b.column(0):
+                text, own, n = (t.as_py() or "").lower(), [], []
+                for s, e in sentences(text):
+                    found = sorted({vocabulary[f] for w in set(WORDS.findall(text, s, e)) for f in features(w) if f in vocabulary})
+                    own += found
+                    n.append(len(found))
+                feats.append(np.array(own, "<i4").tobytes())
+                sizes.append(np.array(n, "<i4").tobytes())
+            yield batch(feats=pa.array(feats, pa.binary()), sizes=pa.array(sizes, pa.binary()), y=b.column(1))
+
+    return map_batches(sample.select("text", "y"), run, "feats binary, sizes binary, y int")
+
+
+def fit(bag_rows: list[tuple[bytes, bytes, int]], names: list[str], sizes: dict[int, int], rounds: int = 200, rate: float = 0.15, shrink: float = 2e-4) -> dict:
+    """Feature weights and bias by full-batch Adam on the weighted likelihood of the noisy-or."""
     bag_rows = sorted(bag_rows)
-    y = np.array([r[1] for r in bag_rows], float)
+    y = np.array([r[2] for r in bag_rows], float)
     if not 0 < y.sum() < len(y):
         return {"bias": -math.inf, "weights": {}}
-    seen: dict[str, int] = {}
-    for text, _ in bag_rows:
-        for w in set(text.split()):
-            seen[w] = seen.get(w, 0) + 1
-    vocabulary = {w: k for k, w in enumerate(sorted(w for w, n in seen.items() if n >= LEAST_DOCS))}
-    tok, sent, doc = [], [], []
-    for d, (text, _) in enumerate(bag_rows):
-        for line in text.split("\n"):
-            own = [vocabulary[w] for w in line.split() if w in vocabulary]
-            tok += own
-            sent += [len(doc)] * len(own)
-            doc.append(d)
-    tok, sent, doc = np.array(tok, np.int64), np.array(sent, np.int64), np.array(doc, np.int64)
+    tok = np.concatenate([np.frombuffer(r[0], "<i4") for r in bag_rows])
+    lines = [np.frombuffer(r[1], "<i4") for r in bag_rows]
+    doc = np.repeat(np.arange(len(lines), dtype=np.int32), [len(x) for x in lines])
+    sent = np.repeat(np.arange(len(doc), dtype=np.int32), np.concatenate(lines))
     share = sum(sizes.values())
     weight = np.where(y > 0, sizes.get(1, 0) / share / y.mean(), sizes.get(0, 0) / share / (1 - y.mean())) / len(y)
-    w, b, m, v = np.zeros(len(vocabulary)), -5.0, np.zeros(len(vocabulary) + 1), np.zeros(len(vocabulary) + 1)
+    w, b, m, v = np.zeros(len(names)), -5.0, np.zeros(len(names) + 1), np.zeros(len(names) + 1)
     for k in range(1, rounds + 1):
         s = b + np.bincount(sent, w[tok], len(doc))
         p = 1 / (1 + np.exp(-s))
@@ -102,7 +112,6 @@ def fit(bag_rows: list[tuple[str, int]], sizes: dict[int, int], rounds: int = 25
         m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
         step = rate * (m / (1 - 0.9**k)) / (np.sqrt(v / (1 - 0.99**k)) + 1e-8)
         w, b = w - step[:-1], b - step[-1]
-    names = sorted(vocabulary, key=vocabulary.get)
     return {"bias": float(b), "weights": {names[k]: float(w[k]) for k in np.flatnonzero(np.abs(w) > 0.2)}}
 
 
@@ -137,7 +146,10 @@ def doc_score(model: dict, text: str | None, known: dict) -> float:
 
 def train(docs: DataFrame, labels: DataFrame, usable=None, per_class: int = SAMPLE) -> dict:
     sample, sizes = labelled_sample(docs, labels, "toxic", F.lit(True) if usable is None else usable, per_class)
-    return fit([(r.bag, r.y) for r in bags(sample).toLocalIterator()], sizes)
+    sample = written(sample.repartition(16, "id"))
+    vocabulary = vocabulary_of(sample)
+    rows = [(bytes(r.feats), bytes(r.sizes), r.y) for r in bags(sample, vocabulary).toLocalIterator()]
+    return fit(rows, list(vocabulary), sizes)
 
 
 def annotate(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str = "text", blame: float = 0.5) -> DataFrame:
