@@ -5,8 +5,8 @@ more into 64-bit words. Pass 2 probes every row: a row with a cell that nobody e
 goes straight through; only the rest is grouped by SHA-256. False positives cost a shuffle, never a result.
 
 Nulls and ties: a null text equals the empty one; a null id is smaller than any other; where several rows share
-the kept id and text, one of them stays (the input must be replayable, as a table is). An empty table gives no
-rows. Input columns named like an output column are replaced. Texts are hashed whole, whatever their length.
+the kept id and text, one of them stays. An empty table gives no rows. Input columns named like an output column
+are replaced. Texts are hashed whole, whatever their length.
 """
 
 from __future__ import annotations
@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import join_groups, quoted, table, without
+from .common import boxed, join_groups, table, unboxed, without, written
 
 MAX_CELLS = 1 << 27  # 2 Mi words, 32 MB: the largest filter that is broadcast
 MADE = ("keep_id", "group_size", "kept", "text_sha256")
@@ -31,16 +31,18 @@ def repeated_words(hashed: DataFrame, cells: int) -> DataFrame:
     return hit.groupBy(F.shiftright("cell", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(cell & 63 AS int))")).alias("bits"))
 
 
-def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", max_cells: int = MAX_CELLS) -> DataFrame:
-    """Every row of df with keep_id, group_size, kept and text_sha256; of equal texts the largest id stays.
+def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", columns: list[str] | None = None, max_cells: int = MAX_CELLS) -> DataFrame:
+    """Every row of df (its columns, or those named) with keep_id, group_size, kept and text_sha256; of equal texts
+    the row with the largest id stays.
 
     Up to max_cells / 16 rows the filter is broadcast (a proven bound); beyond it the repeated hashes come from a
     shuffle of the 8-byte hashes alone, and rows are matched to them by a semi join on the hash.
     """
     total = df.count()
     cells = cells_for(total)
-    rows = df.select(*quoted(without(df, "_h", "_uid", *MADE)), F.sha2(F.coalesce(F.col(text_col), F.lit("")), 256).alias("text_sha256"))
-    rows = rows.withColumns({"_h": F.xxhash64("text_sha256"), "_uid": F.monotonically_increasing_id()})
+    columns = df.columns if columns is None else columns
+    rows = df.select(boxed(df, columns), F.col(id_col).alias("_id"), F.sha2(F.coalesce(F.col(text_col), F.lit("")), 256).alias("text_sha256"))
+    rows = rows.withColumn("_h", F.xxhash64("text_sha256"))
     if cells <= max_cells:
         words = repeated_words(rows.select("_h"), cells)
         for k, cell in enumerate((F.col("_h").bitwiseAND(cells - 1), F.shiftrightunsigned("_h", 32).bitwiseAND(cells - 1))):
@@ -52,17 +54,26 @@ def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", m
     else:
         again = rows.groupBy("_h").count().where("count >= 2").select("_h")
         maybe, unique = rows.join(again, "_h", "left_semi"), rows.join(again, "_h", "left_anti")
-    ident = F.col(id_col)
+    ident = F.col("_id")
+    # written, so that the number that tells repeated rows apart is the same wherever it is read
+    maybe = written(maybe.withColumn("_uid", F.monotonically_increasing_id()))
     groups = maybe.groupBy("text_sha256").agg(F.max(F.struct(ident.alias("id"), F.col("_uid").alias("uid"))).alias("_keep"), F.count("*").alias("group_size"))
+    groups = written(groups)
     judged = join_groups(maybe, groups, "text_sha256", "group_size", total)
     judged = judged.withColumns({"keep_id": F.col("_keep.id"), "kept": F.col("_keep.uid") == F.col("_uid")})
     unique = unique.withColumns({"keep_id": ident, "group_size": F.lit(1).cast("long"), "kept": F.lit(True)})
-    names = [*without(df, "_h", "_uid", *MADE), *MADE]
-    return judged.select(*quoted(names)).unionByName(unique.select(*quoted(names)))
+    out = [*unboxed(without(columns, *MADE)), *MADE]
+    return judged.select(*out).unionByName(unique.select(*out))
+
+
+def distinct_texts(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows that stay, with exactly the columns of df, whatever their names."""
+    inner = df.select(boxed(df))
+    return exact_dedup(inner, f"_row.`{id_col}`", f"_row.`{text_col}`").where("kept").select("_row.*")
 
 
 def op9_bloom_dedup(spark, sf_dir: str) -> DataFrame:
-    return exact_dedup(table(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", *MADE)
+    return exact_dedup(table(spark, sf_dir, "documents"), columns=["doc_id"]).select("doc_id", *MADE)
 
 
 ORACLE = """

@@ -65,10 +65,19 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def without(df: DataFrame, *made: str) -> list[str]:
+def without(names: list[str], *made: str) -> list[str]:
     """Columns to carry: those an operator makes replace input columns of the same name (any case)."""
     lower = {x.lower() for x in made}
-    return [c for c in df.columns if c.lower() not in lower]
+    return [c for c in names if c.lower() not in lower]
+
+
+def boxed(df: DataFrame, columns: list[str] | None = None) -> Column:
+    """Input columns in one struct, so that their names never meet an operator's own."""
+    return F.struct(*quoted(df.columns if columns is None else columns)).alias("_row")
+
+
+def unboxed(names: list[str]) -> list[Column]:
+    return [F.col(f"_row.`{c.replace('`', '``')}`").alias(c) for c in names]
 
 
 def quoted(names: list[str]) -> list[Column]:

@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, quoted, table, without, written
+from .common import WORD, boxed, table, unboxed, without, written
 
 WEIGHTS = (5, 2, 1)
 MAX_REPEAT = 3
@@ -49,14 +49,16 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, max_rep
     return by.select("source", "source_size", "weight", target.alias("target"))
 
 
-def mix(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, max_repeat: int = MAX_REPEAT, seed: int = 17) -> DataFrame:
-    """Every row of df with its size, its source's size and target, copies (how often the mix takes it) and taken."""
-    return _copies(df, id_col, text_col, source_col, weights, max_repeat, seed)[0]
+def mix(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, max_repeat: int = MAX_REPEAT, seed: int = 17, columns: list[str] | None = None) -> DataFrame:
+    """Every row of df (its columns, or those named) with its size, its source's size and target, copies (how often
+    the mix takes it) and taken."""
+    columns = df.columns if columns is None else columns
+    made, _ = _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns)
+    return made.select(*unboxed(without(columns, *MADE)), *MADE)
 
 
-def _copies(df, id_col, text_col, source_col, weights, max_repeat, seed):
+def _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns):
     words = F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long")
-    keep = without(df, *MADE, "_h")
     plain = df.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), words.alias("size"), place(seed, F.col(id_col)).alias("h"))
     plain = written(plain)
     targets = written(source_targets(plain, weights, max_repeat))
@@ -85,15 +87,15 @@ def _copies(df, id_col, text_col, source_col, weights, max_repeat, seed):
     top = written(fits.groupBy("s").agg(F.max(F.struct("size", F.col("h"), "id")).alias("top")).select("s", F.col("top.h").alias("top_h"), F.col("top.id").alias("top_id")))
     goal = goal.join(top.withColumnRenamed("s", "s2"), same("s", "s2"), "left").drop("s2")
     goal = written(goal)
-    out = df.select(*quoted(keep), words.alias("size"), place(seed, F.col(id_col)).alias("h")).withColumn("cell", cell)
+    out = df.select(boxed(df, columns), F.col(id_col).alias("id"), F.col(source_col).alias("source"), words.alias("size"), place(seed, F.col(id_col)).alias("h")).withColumn("cell", cell)
     names = {c: f"g_{c}" for c in goal.columns}
-    wide = out.join(goal.select(*[F.col(c).alias(n) for c, n in names.items()]), F.col(source_col).eqNullSafe(F.col("g_s")), "left")
-    ident = F.col(id_col)
+    wide = out.join(goal.select(*[F.col(c).alias(n) for c, n in names.items()]), F.col("source").eqNullSafe(F.col("g_s")), "left")
+    ident = F.col("id")
     inside = F.col("g_edge").isNotNull() & ((F.col("cell") < F.col("g_edge")) | ((F.col("cell") == F.col("g_edge")) & F.coalesce((F.col("h") < F.col("g_h_to")) | ((F.col("h") == F.col("g_h_to")) & (ident <= F.col("g_id_to"))), F.lit(False))))
     extra = inside | F.coalesce((F.col("h") == F.col("g_top_h")) & (ident == F.col("g_top_id")), F.lit(False))
     copies = F.when(F.col("size") > 0, F.col("g_passes") + extra.cast("long")).otherwise(F.lit(0)).cast("long")
-    made = wide.select(*quoted(keep), "size", F.col("g_source_size").alias("source_size"), F.col("g_target").alias("target"), copies.alias("copies"), (copies * F.col("size")).alias("taken"), F.col("h").alias("_h"))
-    return made.drop("_h"), goal
+    made = wide.select("_row", "id", "source", "h", "size", F.col("g_source_size").alias("source_size"), F.col("g_target").alias("target"), copies.alias("copies"), (copies * F.col("size")).alias("taken"))
+    return made, goal
 
 
 def block_bits(words: Column, words_per_block: int) -> Column:
@@ -126,20 +128,23 @@ def mix_rows(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", sour
     The place is a hash, so that sorting a shard (or a file of it) by it is the local shuffle. A shard is not one
     task: the tree only labels rows.
     """
-    made, goal = _copies(df, id_col, text_col, source_col, weights, max_repeat, seed)
+    made, goal = _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, df.columns)
     slots = written(splitting_tree(quota_slots(goal, words_per_block), depth, seed))
-    keep = without(df, "shard", "place")
-    rows = made.where("copies > 0").withColumn("_e", F.explode(F.expr("sequence(0L, copies - 1)")))
-    rows = rows.withColumns({"_h": place(seed, F.col(id_col)), "_bits": block_bits(F.col("source_size"), words_per_block)})
-    rows = rows.withColumn("_b", F.expr("shiftright(_h, 60 - _bits)"))
-    s = slots.select(F.col("source").alias("_s"), F.col("epoch").alias("_se"), F.col("block").alias("_sb"), "shard")
-    rows = rows.join(s, F.col(source_col).eqNullSafe(F.col("_s")) & (F.col("_e") == F.col("_se")) & (F.col("_b") == F.col("_sb")))
-    return rows.select(*quoted(keep), "shard", place(seed + 99, F.col(id_col), F.col("_e")).alias("place"))
+    rows = made.where("copies > 0").withColumn("epoch", F.explode(F.expr("sequence(0L, copies - 1)")))
+    rows = rows.withColumn("bits", block_bits(F.col("source_size"), words_per_block)).withColumn("block", F.expr("shiftright(h, 60 - bits)"))
+    s = slots.select(F.col("source").alias("_s"), F.col("epoch").alias("_e"), F.col("block").alias("_b"), "shard")
+    rows = rows.join(s, F.col("source").eqNullSafe(F.col("_s")) & (F.col("epoch") == F.col("_e")) & (F.col("block") == F.col("_b")))
+    return rows.select("_row", "shard", place(seed + 99, F.col("id"), F.col("epoch")).alias("place")).select(*unboxed(without(df.columns, "shard", "place")), "shard", "place")
+
+
+def mixed(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **options) -> DataFrame:
+    """The rows of the mix with exactly the columns of df, whatever their names."""
+    inner = df.select(boxed(df))
+    return mix_rows(inner, f"_row.`{id_col}`", f"_row.`{text_col}`", f"_row.`{source_col}`", **options).select("_row.*")
 
 
 def op8_mix_sources(spark, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "source")
-    return mix(docs).select("doc_id", "size", "source_size", "target", "taken", "copies")
+    return mix(table(spark, sf_dir, "documents"), columns=["doc_id"]).select("doc_id", "size", "source_size", "target", "taken", "copies")
 
 
 ORACLE = """
