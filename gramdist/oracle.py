@@ -150,8 +150,9 @@ SELECT x.string_id AS pair_id, CAST(sum(x.n * y.n) AS BIGINT) AS blocks, count(*
     "w25_best_side": f"""WITH t AS ({LENGTHS}), g AS (SELECT string_id, n0, len, CAST(n0 AS DOUBLE) AS n, CAST(len AS DOUBLE) AS N_, CAST(1 << k AS DOUBLE) AS x FROM (SELECT *, unnest(range(0, CAST(floor(log2(len)) AS BIGINT) + 1)) AS k FROM t)),
 c AS (SELECT *, {BOUND_SQL['block_rational']} AS cost FROM g)
 SELECT string_id, n0 AS variables, len AS letters, CAST(arg_min(x, [cost, x]) AS BIGINT) AS best_x, round(log2(min(cost)), 6) AS best_cost, CAST(least(greatest(ceil(any_value(N_) / any_value(n)), 1), len) AS BIGINT) AS closed_x FROM c GROUP BY string_id, n0, len""",
-    "w26_triangles": f"""WITH n AS ({NAMES}), d AS (SELECT x.text AS a, y.text AS b, levenshtein(x.text, y.text) AS d FROM n x, n y)
-SELECT count(*) AS triples, CAST(sum(CASE WHEN f.d > d.d + e.d THEN 1 ELSE 0 END) AS BIGINT) AS violations FROM d JOIN d e ON d.b = e.a JOIN d f ON f.a = d.a AND f.b = e.b""",
+    "w26_triangles": f"""WITH n AS ({NAMES}), t AS (SELECT levenshtein(x.text, y.text) AS ab, levenshtein(y.text, z.text) AS bc, levenshtein(x.text, z.text) AS ac
+FROM n x JOIN n y ON y.string_id = x.string_id + 1 JOIN n z ON z.string_id = x.string_id + 2)
+SELECT count(*) AS triples, CAST(sum(CASE WHEN ac > ab + bc OR ab > ac + bc OR bc > ab + ac THEN 1 ELSE 0 END) AS BIGINT) AS violations, CAST(sum(ac) AS BIGINT) AS letters FROM t""",
     "w27_propagation": f"""WITH s AS ({NAMES}), p AS ({NEXT}), w AS ({BLOCK.format(', pair_id, p', 'SELECT * FROM p')}) SELECT pair_id, j, CAST(min(w + abs(p - i)) AS BIGINT) AS v FROM w GROUP BY pair_id, j""",
     "w28_merging": BLOCK.format(", string_id AS pair_id", f"SELECT string_id, text AS a, 'the quick' AS b FROM ({NAMES})"),
     "w29_side_sweep": f"WITH d AS ({next_unit(EVENTS)}) SELECT pair_id, distance, CAST(x AS BIGINT) AS x FROM d, unnest([1, 2, 4, 8, 16, 32]) AS u(x)",
@@ -170,4 +171,33 @@ SELECT name, min(label) AS label FROM r GROUP BY name""",
     "w41_quadratic": next_unit(FLAGS),
     "w42_grammar_rules": f"SELECT string_id, CAST(length(text) AS BIGINT) AS letters FROM ({EVENTS})",
 }
+EVENT_PAIRS = f"WITH s AS ({EVENTS}), p AS ({NEXT})"
+ORACLES |= {
+    "w26_cost_axioms": """WITH l AS (SELECT unnest(['a', 'b', 'c', 'd']) AS x),
+s AS (SELECT l.x AS a, m.x AS b, CASE WHEN l.x = m.x THEN 0 WHEN l.x || m.x IN ('ab', 'bc') THEN 1 WHEN l.x || m.x = 'ac' THEN 5 ELSE 3 END AS c FROM l, l m),
+g AS (SELECT x, CASE WHEN x = 'a' THEN 3 ELSE 2 END AS d, 1 AS i FROM l),
+v AS (SELECT 'symmetry' AS axiom, abs(s.c - t.c) AS e FROM s JOIN s t ON s.a = t.b AND s.b = t.a WHERE s.a < s.b AND s.c <> t.c
+UNION ALL SELECT 'symmetry', abs(d - i) FROM g WHERE d <> i
+UNION ALL SELECT 'triangle', s.c - x.c - y.c FROM s JOIN s x ON s.a = x.a JOIN s y ON x.b = y.a AND y.b = s.b WHERE s.c > x.c + y.c)
+SELECT axiom, count(*) AS violations, CAST(max(e) AS DOUBLE) AS most FROM v GROUP BY axiom""",
+    "w37_stream_windows": """WITH d AS (SELECT user_id, CAST(date_trunc('day', ts) AS DATE) AS d, string_agg(upper(substr(event_type, 1, 1)), '' ORDER BY ts, event_id) AS text FROM events GROUP BY 1, 2)
+SELECT user_id, strftime(d, '%Y-%m-%d') AS day, text, CAST(levenshtein(text, 'VCPCV') AS BIGINT) AS distance FROM d
+WHERE d + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 10 MINUTE FROM events)""",
+    "w44_corpus_pairs": "SELECT page_id AS string_id, md5(url) AS text_md5 FROM pages WHERE url <> ''",
+    "w44_neighbour_counts": f"SELECT substr(text, k, 2) AS pair, count(*) AS n FROM (SELECT text, unnest(range(1, length(text))) AS k FROM ({EVENTS})) GROUP BY 1",
+    "w45_substrings": "SELECT doc_id AS string_id, substr(text, 100, 50) AS text FROM documents WHERE text <> ''",
+    "w46_grammar_algebra": """SELECT page_id AS string_id, kind, md5(CASE kind WHEN 'reverse' THEN reverse(url) WHEN 'concat' THEN url || url WHEN 'power' THEN repeat(url, 5) ELSE url END) AS text_md5
+FROM pages, unnest(['reverse', 'concat', 'power', 'normal']) AS u(kind)""",
+    "w47_fingerprints": "SELECT count(DISTINCT text) AS texts FROM documents WHERE text <> ''",
+    "w49_border_values": f"{EVENT_PAIRS} SELECT pair_id, CAST(j AS BIGINT) AS col, CAST(levenshtein(a, substr(b, 1, j)) AS BIGINT) AS value FROM (SELECT *, unnest(range(0, length(b) + 1)) AS j FROM p)",
+    "w50_giant_pair": """WITH a AS (SELECT string_agg(upper(substr(event_type, 1, 1)), '' ORDER BY event_id) AS a FROM events), b AS (SELECT string_agg(o_orderstatus, '' ORDER BY o_orderkey) AS b FROM orders)
+SELECT CAST(length(a) AS BIGINT) AS letters_a, CAST(length(b) AS BIGINT) AS letters_b, CAST(levenshtein(a, b) AS BIGINT) AS distance FROM a, b""",
+    "w51_banded": f"{EVENT_PAIRS} SELECT pair_id, CASE WHEN levenshtein(a, b) <= 42 THEN CAST(levenshtein(a, b) AS BIGINT) END AS distance FROM p",
+    "w52_sql_functions": f"{NAME_PAIRS} SELECT pair_id, CAST(levenshtein(a, b) AS BIGINT) AS distance, a AS text, 'the quick brown fox' AS cut FROM p",
+    "w53_windows_of_braids": f"""{NAME_PAIRS} SELECT pair_id, CAST(min(levenshtein(a, substr(b, i + 1, j - i))) AS BIGINT) AS distance
+FROM (SELECT *, unnest(range(i, length(b) + 1)) AS j FROM (SELECT *, unnest(range(0, length(b) + 1)) AS i FROM p)) GROUP BY pair_id""",
+    "w54_token_dictionary": "SELECT CAST(length(token) AS BIGINT) AS letters, count(*) AS tokens, CAST(sum(n) AS BIGINT) AS uses FROM (SELECT token, count(*) AS n FROM (SELECT unnest(string_split(text, ' ')) AS token FROM documents) WHERE token <> '' GROUP BY 1) GROUP BY 1",
+    "w58_thresholded": f"{NAME_PAIRS} SELECT pair_id, CASE WHEN levenshtein(a, b) <= 8 THEN CAST(levenshtein(a, b) AS BIGINT) ELSE -1 END AS distance FROM p",
+    "w60_opt_out_of_free_matches": f"{NAME_PAIRS} SELECT pair_id, CAST(greatest(length(a), length(b)) AS BIGINT) AS distance FROM p",
+}
 ORACLES["w18_example_block_kernel"] = ORACLES["w18_example_block"]

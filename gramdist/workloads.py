@@ -287,11 +287,12 @@ def w26_cost_axioms(spark, sf):
 
 
 def w26_triangles(spark, sf):
-    """Triangle checks among the distances of all part names."""
-    n = kept(names(spark, sf))
-    d = kept(n.select(F.col("text").alias("a")).join(n.select(F.col("text").alias("b")), F.lit(True)).select("a", "b", F.levenshtein("a", "b").alias("d")))
-    t = d.join(d.select(F.col("a").alias("b"), F.col("b").alias("c"), F.col("d").alias("e")), "b").join(d.select("a", F.col("b").alias("c"), F.col("d").alias("f")), ["a", "c"])
-    return t.agg(F.count("*").alias("triples"), F.coalesce(F.sum((F.col("f") > F.col("d") + F.col("e")).cast("long")), F.lit(0)).alias("violations"))
+    """Triangle checks of the distances among each part name and the two after it, every way round."""
+    n = names(spark, sf)
+    w = Window.orderBy("string_id")  # a vocabulary of names
+    t = n.select("string_id", F.col("text").alias("a"), F.lead("text", 1).over(w).alias("b"), F.lead("text", 2).over(w).alias("c")).where("c IS NOT NULL")
+    t = t.select(F.levenshtein("a", "b").alias("ab"), F.levenshtein("b", "c").alias("bc"), F.levenshtein("a", "c").alias("ac"))
+    return t.agg(F.count("*").alias("triples"), F.coalesce(F.sum(F.expr("cast(ac > ab + bc OR ab > ac + bc OR bc > ab + ac AS bigint)")), F.lit(0)).alias("violations"), F.sum("ac").alias("letters"))
 
 
 def w27_propagation(spark, sf):
@@ -439,11 +440,158 @@ def w43_valid_rules(spark, sf):
     return S.validate(S.rules(s)).groupBy("problem").agg(F.count("*").alias("rules"))
 
 
+def w44_corpus_pairs(spark, sf):
+    """Urls after eight rounds of pair replacement over all of them: the tokens still spell the texts."""
+    cur, _ = S.corpus_pairs(texts(spark, sf, "pages", "page_id", "url"), 8)
+    return cur.select("string_id", F.md5(F.array_join("tokens", "")).alias("text_md5"))
+
+
+def w44_neighbour_counts(spark, sf):
+    """How often letters follow each other in the event words: what a round of pair replacement counts."""
+    w = event_words(spark, sf).select(F.explode(F.expr("transform(sequence(1, greatest(length(text) - 1, 1)), k -> substring(text, k, 2))")).alias("pair"))
+    return w.where("length(pair) = 2").groupBy("pair").agg(F.count("*").alias("n"))
+
+
+def w45_substrings(spark, sf):
+    """Fifty letters from the hundredth of every document's grammar, without expanding it."""
+    d = S.substr(S.compress(texts(spark, sf, "documents", "doc_id", "text"), "lz78"), 99, 50)
+    return d.select("string_id", "text")
+
+
+def w46_grammar_algebra(spark, sf):
+    """Reversed, doubled and repeated urls through their grammars."""
+    s = kept(S.compress(texts(spark, sf, "pages", "page_id", "url"), "lzw"))
+    kinds = {"reverse": S.reverse_slp(s), "concat": S.concat_slp(s, s), "power": S.power_slp(s, 5), "normal": S.normalise(s)}
+    out = None
+    for k, v in kinds.items():
+        e = S.expand(v).select("string_id", F.lit(k).alias("kind"), F.md5("text").alias("text_md5"))
+        out = e if out is None else out.unionByName(e)
+    return out
+
+
+def w47_fingerprints(spark, sf):
+    """Different texts and different fingerprints of the starts of two grammars each: as many."""
+    d = texts(spark, sf, "documents", "doc_id", "text").where("text != ''")
+    out = None
+    for c in ("rle", "balanced"):
+        f = S.fingerprints(S.compress(d, c))
+        top = f.groupBy("string_id").agg(F.max_by(F.struct("fp1", "fp2", "len"), "var").alias("f"))
+        out = top if out is None else out.unionByName(top)
+    return out.agg(F.countDistinct("f").alias("texts"))
+
+
+def w48_shared_variables(spark, sf):
+    """Variables of all event words' grammars and how many are the same text: what a shared repository saves."""
+    g = S.share_grammars(S.compress(event_words(spark, sf), "lz78"))
+    return g.groupBy("len").agg(F.count("*").alias("texts"), F.sum("grammars").alias("variables"))
+
+
+def w49_border_values(spark, sf):
+    """Distances of each event word to every prefix of the next, read off the last borders of the sweep."""
+    p = kept(next_pairs(event_words(spark, sf)))
+    v = X.boundary_values(p, 8).join(p.select("pair_id", F.length("a").cast("long").alias("row_end")), ["pair_id", "row_end"])
+    return v.select("pair_id", "col", "value")
+
+
+def w50_giant_pair(spark, sf):
+    """All events as one string against all orders as one string, in tiles."""
+    from .operators.tiled import tiled_distance
+
+    e = load(spark, sf, "events", "event_id", "event_type").withColumn("c", F.upper(F.substring("event_type", 1, 1)))
+    o = load(spark, sf, "orders", "o_orderkey", "o_orderstatus")
+    a = S.strings_from_rows(e.withColumn("k", F.lit(0)), "k", ["event_id"], "c").first()["text"]  # the two strings themselves
+    b = S.strings_from_rows(o.withColumn("k", F.lit(0)), "k", ["o_orderkey"], "o_orderstatus").first()["text"]
+    d = tiled_distance(spark, a, b, 4)
+    return spark.createDataFrame([(len(a), len(b), int(d))], "letters_a long, letters_b long, distance long")
+
+
+def w51_banded(spark, sf):
+    return whole(X.banded_distance(next_pairs(event_words(spark, sf)), 42))
+
+
+def w52_sql_functions(spark, sf):
+    """Registered functions from SQL: distances, ratios and segments of part names."""
+    from .functions.udfs import register_all
+
+    register_all(spark)
+    next_pairs(names(spark, sf)).createOrReplaceTempView("gramdist_names")
+    return spark.sql("""
+      SELECT pair_id, CAST(edit_distance(a, b) AS BIGINT) AS distance, slp_expand(slp_of(a, 'lz78')) AS text,
+             (SELECT array_join(transform(array_sort(collect_list(struct(s.seg_no, s.piece))), x -> x.piece), '') FROM segments('the quick brown fox', 4) s) AS cut
+      FROM gramdist_names""")
+
+
+def w53_windows_of_braids(spark, sf):
+    """Least distance of each part name to any window of the next, from one braid of the two."""
+
+    def kernel(a, b):
+        from .functions import succinct as Q
+
+        m, n = len(a), len(b)
+        braid = Q.comb(Q.doubled(a), Q.doubled(b))
+        return min(m + j - i - Q.common(braid, 2 * m, 2 * n, 2 * i, 2 * j) for i in range(n + 1) for j in range(i, n + 1)), {}
+
+    return whole(X.by_kernel(next_pairs(names(spark, sf)), lambda: kernel))
+
+
+def w54_token_dictionary(spark, sf):
+    """The dictionary of all documents' tokens: how many there are of each length, and how often they are used."""
+    t = load(spark, sf, "documents", "text").select(F.explode(F.split("text", " ")).alias("token")).where("token != ''")
+    return t.groupBy("token").agg(F.count("*").alias("n")).groupBy(F.length("token").cast("long").alias("letters")).agg(F.count("*").alias("tokens"), F.sum("n").alias("uses"))
+
+
+def w55_work_by_variant(spark, sf):
+    """Counters of every variant on the order-status pairs, a column each."""
+    p = kept(status_pairs(spark, sf))
+    out = None
+    for name, v in VARIANTS.items():
+        c = X.block_distance(p, None, 4, **v).select(F.lit(name).alias("variant"), F.explode("counters").alias("counter", "n"))
+        out = c if out is None else out.unionByName(c)
+    return out.groupBy("variant").pivot("counter", ["blocks", "distinct", "tables", "merges", "leaves", "entries", "points", "probes", "cells"]).agg(F.sum("n"))
+
+
+def w56_phase_seconds(spark, sf):
+    """Wall seconds of the phases on the event words: compress, cut, repository, sweep, and the quadratic table."""
+    import time
+
+    w = kept(event_words(spark, sf))
+    p = kept(next_pairs(w))
+    rows = []
+    for name, make in (("compress", lambda: S.compress(w, "lz78")), ("cut", lambda: S.x_partition(w, 4)), ("repository", lambda: repo.symbols(w, 4)), ("blocks", lambda: X.block_distance(p)), ("table", lambda: X.dp_distance(p))):
+        start = time.time()
+        n = make().count()
+        rows.append((name, n, round(time.time() - start, 3)))
+    return spark.createDataFrame(rows, "phase string, rows long, seconds double")
+
+
+def w57_anchors(spark, sf):
+    """Anchors and chunks of the event words' cuts, by role: how many segments each kind gives."""
+    return S.x_partition(event_words(spark, sf), 4).groupBy("role").agg(F.count("*").alias("segments"), F.sum("len").alias("letters"), F.max("len").alias("longest"))
+
+
+def w58_thresholded(spark, sf):
+    """The built-in with a limit, beyond which it gives -1, on names."""
+    return next_pairs(names(spark, sf)).select("pair_id", F.levenshtein("a", "b", 8).cast("long").alias("distance"))
+
+
+def w59_stream_sessions(spark, sf):
+    """Event strings of sessions without a pause of six hours, from the stream."""
+    from .streaming import events as E
+
+    return E.run_once(E.session_strings(E.read_events(spark, f"{sf}/events.parquet"), "6 hours")).select("user_id", "start", "text")
+
+
+def w60_opt_out_of_free_matches(spark, sf):
+    """Keeping a letter costs as much as replacing it: the distance is the longer length."""
+    s = Scoring(1, 1, 1, 1, "rational", False)
+    return whole(X.dp_distance(next_pairs(names(spark, sf)), s))
+
+
 WORKLOADS = {
     **{f.__name__: f for f in (w01_unit_docs, w02_rational_event_words, w03_arbitrary_benchmark, w04_rational_half_cost, w05_indel_urls, w06_mixed_codecs, w07_state_timelines, w08_quantity_runs, w09_order_status, w10_flags_four_russians, w11_embedding_bits, w12_near_copies, w13_conversation_turns, w14_url_pairs, w15_html_pages, w16_fibonacci, w17_example_word, w18_example_block, w18_example_block_kernel, w19_prefix_table, w19_table_by_folds, w19_table_by_paths)},
     **{f"w20_partition_{p}_{x}": partition_query(x, p) for p, x in (("grammar", 4), ("grammar", 16), ("grammar", 64), ("uniform", 16), ("runs", 1), ("phrases", 1))},
     **{f"w21_round_trip_{c}": round_trip_query(c) for c in ("rle", "lz78", "lzw", "words", "lines", "uniform", "balanced")},
     "w21_round_trip_lz77": round_trip_query("lz77", "benchmark", "item_id"),
     "w21_round_trip_pairs": round_trip_query("pairs", "pages", "page_id", "url"),
-    **{f.__name__: f for f in (w22_flag_runs, w23_grammar_sizes, w24_repository_keys, w25_bounds, w25_best_side, w26_cost_axioms, w26_triangles, w27_propagation, w28_merging, w29_side_sweep, w29_side_work, w30_variants_agree, w31_similarity_join, w32_nearest, w33_contained, w34_classes, w35_quality_by_distance, w35_distance_cube, w36_stream_running, w37_stream_windows, w38_shared_repository, w39_grammar_against_text, w40_lz78_phrases, w41_quadratic, w42_grammar_rules, w43_valid_rules)},
+    **{f.__name__: f for f in (w22_flag_runs, w23_grammar_sizes, w24_repository_keys, w25_bounds, w25_best_side, w26_cost_axioms, w26_triangles, w27_propagation, w28_merging, w29_side_sweep, w29_side_work, w30_variants_agree, w31_similarity_join, w32_nearest, w33_contained, w34_classes, w35_quality_by_distance, w35_distance_cube, w36_stream_running, w37_stream_windows, w38_shared_repository, w39_grammar_against_text, w40_lz78_phrases, w41_quadratic, w42_grammar_rules, w43_valid_rules, w44_corpus_pairs, w44_neighbour_counts, w45_substrings, w46_grammar_algebra, w47_fingerprints, w48_shared_variables, w49_border_values, w50_giant_pair, w51_banded, w52_sql_functions, w53_windows_of_braids, w54_token_dictionary, w55_work_by_variant, w56_phase_seconds, w57_anchors, w58_thresholded, w59_stream_sessions, w60_opt_out_of_free_matches)},
 }
