@@ -22,7 +22,9 @@ from .common import WORD, boxed, table, unboxed, without, written
 WEIGHTS = (5, 2, 1)
 MAX_REPEAT = 3
 CELL_BITS = 12  # a block is a run of cells; only a source's last cell is ordered document by document
-MADE = ("size", "source_size", "target", "copies", "taken")
+WORDS_PER_BLOCK = 1 << 16
+WORDS_PER_SHARD = 1 << 24
+MADE = ("size", "source_size", "target", "shards", "copies", "taken")
 
 
 def place(seed: int, *cols: Column) -> Column:
@@ -49,12 +51,12 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, max_rep
     return by.select("source", "source_size", "weight", target.alias("target"))
 
 
-def mix(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, max_repeat: int = MAX_REPEAT, seed: int = 17, columns: list[str] | None = None) -> DataFrame:
-    """Every row of df (its columns, or those named) with its size, its source's size and target, copies (how often
-    the mix takes it) and taken."""
+def mix(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, max_repeat: int = MAX_REPEAT, seed: int = 17, depth: int | None = None, words_per_block: int = WORDS_PER_BLOCK, columns: list[str] | None = None) -> DataFrame:
+    """Every row of df (its columns, or those named) with its size, its source's size and target, the shards that
+    drew it, copies (how many did) and taken (their words)."""
     columns = df.columns if columns is None else columns
-    made, _ = _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns)
-    return made.select(*unboxed(without(columns, *MADE)), *MADE)
+    made, goal = _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns)
+    return drawn(made, goal, depth, words_per_block, seed).select(*unboxed(without(columns, *MADE)), *MADE)
 
 
 def _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns):
@@ -94,7 +96,7 @@ def _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns
     inside = F.col("g_edge").isNotNull() & ((F.col("cell") < F.col("g_edge")) | ((F.col("cell") == F.col("g_edge")) & F.coalesce((F.col("h") < F.col("g_h_to")) | ((F.col("h") == F.col("g_h_to")) & (ident <= F.col("g_id_to"))), F.lit(False))))
     extra = inside | F.coalesce((F.col("h") == F.col("g_top_h")) & (ident == F.col("g_top_id")), F.lit(False))
     copies = F.when(F.col("size") > 0, F.col("g_passes") + extra.cast("long")).otherwise(F.lit(0)).cast("long")
-    made = wide.select("_row", "id", "source", "h", "size", F.col("g_source_size").alias("source_size"), F.col("g_target").alias("target"), copies.alias("copies"), (copies * F.col("size")).alias("taken"))
+    made = wide.select("_row", "id", "source", "h", "size", F.col("g_source_size").alias("source_size"), F.col("g_target").alias("target"), copies.alias("due"))
     return made, goal
 
 
@@ -122,18 +124,31 @@ def splitting_tree(slots: DataFrame, depth: int, seed: int) -> DataFrame:
     return out
 
 
-def mix_rows(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, max_repeat: int = MAX_REPEAT, seed: int = 17, depth: int = 3, words_per_block: int = 1 << 16) -> DataFrame:
+def drawn(made: DataFrame, goal: DataFrame, depth: int | None, words_per_block: int, seed: int) -> DataFrame:
+    """Deal the block slots to shards and let every row look up the shards of its block: one for each pass it is due
+    in. A block has at most max_repeat + 1 slots, so what a row meets is small, and there are at most 2**CELL_BITS
+    blocks a source."""
+    if depth is None:
+        words = goal.agg(F.sum("source_size")).first()[0] or 0
+        depth = max(0, (words // WORDS_PER_SHARD).bit_length())
+    slots = splitting_tree(quota_slots(goal, words_per_block), depth, seed)
+    by = slots.groupBy("source", "block").agg(F.array_sort(F.collect_list(F.struct("epoch", "shard"))).alias("slots"))
+    by = written(by.select(F.col("source").alias("_s"), F.col("block").alias("_b"), "slots"))
+    rows = made.withColumn("bits", block_bits(F.col("source_size"), words_per_block)).withColumn("block", F.expr("shiftright(h, 60 - bits)"))
+    rows = rows.join(by, F.col("source").eqNullSafe(F.col("_s")) & (F.col("block") == F.col("_b")), "left")
+    # the slot of the part of a pass is the last one, and a row due in it is due in all passes before
+    shards = F.expr("coalesce(transform(filter(slots, x -> x.epoch < due), x -> x.shard), cast(array() AS array<bigint>))")
+    return rows.withColumn("shards", shards).withColumn("copies", F.size("shards").cast("long")).withColumn("taken", F.col("copies") * F.col("size"))
+
+
+def mix_rows(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, max_repeat: int = MAX_REPEAT, seed: int = 17, depth: int | None = None, words_per_block: int = WORDS_PER_BLOCK) -> DataFrame:
     """The mix itself: each row of df as often as it is taken, with its shard and its place in the shard's order.
 
     The place is a hash, so that sorting a shard (or a file of it) by it is the local shuffle. A shard is not one
-    task: the tree only labels rows.
+    task: the tree only labels rows. depth None gives shards of about WORDS_PER_SHARD words.
     """
     made, goal = _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, df.columns)
-    slots = written(splitting_tree(quota_slots(goal, words_per_block), depth, seed))
-    rows = made.where("copies > 0").withColumn("epoch", F.explode(F.expr("sequence(0L, copies - 1)")))
-    rows = rows.withColumn("bits", block_bits(F.col("source_size"), words_per_block)).withColumn("block", F.expr("shiftright(h, 60 - bits)"))
-    s = slots.select(F.col("source").alias("_s"), F.col("epoch").alias("_e"), F.col("block").alias("_b"), "shard")
-    rows = rows.join(s, F.col("source").eqNullSafe(F.col("_s")) & (F.col("epoch") == F.col("_e")) & (F.col("block") == F.col("_b")))
+    rows = drawn(made, goal, depth, words_per_block, seed).select("_row", "id", F.posexplode("shards").alias("epoch", "shard"))
     return rows.select("_row", "shard", place(seed + 99, F.col("id"), F.col("epoch")).alias("place")).select(*unboxed(without(df.columns, "shard", "place")), "shard", "place")
 
 
