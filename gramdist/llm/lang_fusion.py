@@ -7,6 +7,8 @@ log P(markup language | l) and log P(last label of the address | l), both from g
 posteriors over all pages, smoothed. Host prior: a host's mean posterior, smoothed towards its registered domain's,
 that towards all pages'; a page's own share is taken out of the sums first, so it doesn't vote twice.
 
+Plain texts have the same model with their collection as the host.
+
 Nulls and ties: a null page or text has no text evidence, a null address no host or suffix, and the rest decides;
 languages with equal posteriors go by name; a document without text or language isn't counted; repeated rows
 count each. Without counted documents there is no language: lang is null. An empty table gives no rows. Extra
@@ -102,6 +104,21 @@ def evidence(pages: DataFrame, model: dict, id_col: str, url_col: str, html_col:
     return map_batches(rows, run, f"id {kind}, host string, domain string, suffix string, declared string, z array<double>")
 
 
+def text_rows(docs: DataFrame, model: dict, id_col: str, text_col: str, host_col: str) -> DataFrame:
+    """Evidence of plain texts: a collection stands for the host; there is no markup and no address."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            z = [text_evidence(model, t.as_py() or "").tolist() for t in b.column(2)]
+            yield batch(id=b.column(0), host=b.column(1), z=pa.array(z, pa.list_(pa.float64())))
+
+    kind = docs.schema[id_col].dataType.simpleString()
+    rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(host_col), F.lit("")).alias("host"), F.col(text_col).alias("text"))
+    out = map_batches(rows, run, f"id {kind}, host string, z array<double>")
+    none = F.lit("")
+    return out.select("id", "host", none.alias("domain"), none.alias("suffix"), none.alias("declared"), "z")
+
+
 def softmax(z: str) -> Column:
     top = f"transform({z}, x -> exp(x - array_max({z})))"
     return F.expr(f"transform({top}, x -> x / aggregate({top}, 0.0D, (a, y) -> a + y))")
@@ -113,8 +130,17 @@ def sums(k: int, name: str) -> list[Column]:
 
 def fused(pages: DataFrame, model: dict, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", kappa: float = 5.0, alpha: float = 1.0) -> DataFrame:
     """One row per page: lang, probability, the language of the text alone, declared language, host and suffix."""
+    return weighed(evidence(pages, model, id_col, url_col, html_col), model, id_col, kappa, alpha)
+
+
+def fused_texts(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", kappa: float = 5.0) -> DataFrame:
+    """The same for plain texts, with the prior of their collection."""
+    return weighed(text_rows(docs, model, id_col, text_col, host_col), model, id_col, kappa, 1.0)
+
+
+def weighed(rows: DataFrame, model: dict, id_col: str, kappa: float, alpha: float) -> DataFrame:
+    """Posteriors from rows of evidence (id, host, domain, suffix, declared, z)."""
     k = len(model["langs"])
-    rows = evidence(pages, model, id_col, url_col, html_col)
     if not k:
         nothing = F.lit(None)
         return rows.select(F.col("id").alias(id_col), nothing.cast("string").alias("lang"), nothing.cast("double").alias("probability"), nothing.cast("string").alias("text_lang"), "declared", "host", "suffix")
@@ -146,4 +172,9 @@ def fused(pages: DataFrame, model: dict, id_col: str = "page_id", url_col: str =
 
 
 def op10_lang_fusion(spark, sf_dir: str) -> DataFrame:
-    return fused(table(spark, sf_dir, "pages"), train(table(spark, sf_dir, "documents")))
+    """All pages (page_id) and all documents (doc_id)."""
+    docs = table(spark, sf_dir, "documents")
+    model = train(docs)
+    none = F.lit(None).cast("long")
+    pages = fused(table(spark, sf_dir, "pages"), model).withColumn("doc_id", none)
+    return fused_texts(docs, model).withColumn("page_id", none).unionByName(pages)

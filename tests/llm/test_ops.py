@@ -440,7 +440,10 @@ def test_splitting_tree_halves_every_node(spark):
 
 
 def test_languages(spark, sf):
-    rows = {r.page_id: r for r in lang_fusion.op10_lang_fusion(spark, sf).collect()}
+    every = lang_fusion.op10_lang_fusion(spark, sf).collect()
+    rows = {r.page_id: r for r in every if r.page_id is not None}
+    docs = {r.doc_id: r.lang for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    assert np.mean([docs[r.doc_id] == r.lang for r in every if r.doc_id is not None]) > 0.97 and len(every) == len(rows) + len(docs)
     pages = {r.page_id: r.url for r in spark.read.parquet(f"{sf}/pages.parquet").collect()}
     assert set(rows) == set(pages)
     assert np.mean([f"/{rows[p].lang}/" in u for p, u in pages.items()]) > 0.95
@@ -454,5 +457,6 @@ def test_language_edges(spark, odd):
     assert len(out) == 5 and {r.lang for r in out} <= {"en", "de"} and sum(r.host == "b.example.de" for r in out) == 1
     assert {r.page_id: r.declared for r in out}[3] == "en"
     assert lang_fusion.fused(pages.limit(0), model).count() == 0
+    assert lang_fusion.fused_texts(odd, model).count() == 12
     nothing = lang_fusion.fused(pages, lang_fusion.train(odd.limit(0))).collect()
     assert len(nothing) == 5 and {r.lang for r in nothing} == {None}
