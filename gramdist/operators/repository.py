@@ -128,6 +128,35 @@ def build(closed: DataFrame, scoring: Scoring | None = None, known: DataFrame |
     return done
 
 
+def uniform(pairs: DataFrame, strings: DataFrame, x: int, scoring: Scoring | None = None) -> DataFrame:
+    """The repository of the equal-pieces cut: every distinct pair of pieces that a pair of strings needs, built
+    directly, without merging."""
+    s = scoring or Scoring.unit()
+    workers(pairs.sparkSession)
+    cut = strings.where("text IS NOT NULL AND text != ''").select("string_id", F.explode(F.expr(f"array_distinct(transform(sequence(0, cast((length(text) - 1) / {x} AS int)), k -> substring(text, k * {x} + 1, {x})))")).alias("text"))
+    a = cut.select(F.col("string_id").alias("a_id"), F.col("text").alias("a"))
+    b = cut.select(F.col("string_id").alias("b_id"), F.col("text").alias("b"))
+    need = pairs.join(a, "a_id").join(b, "b_id").select("a", "b").distinct()
+
+    def run(batches):
+        for rb in batches:
+            yield _pack([(u, v, len(u), len(v), D.by_increments(u, v, s).tobytes()) for u, v in zip(rb.column(0).to_pylist(), rb.column(1).to_pylist())])
+
+    return need.mapInArrow(run, DIST)
+
+
+def corners(repo: DataFrame, scoring: Scoring | None = None) -> DataFrame:
+    """(a_text, b_text, distance): each table's top-left to bottom-right entry, the distance of its two texts."""
+    s = scoring or Scoring.unit()
+
+    def run(batches):
+        for b in batches:
+            d = [np.frombuffer(x, s.dtype).reshape(p + q + 1, -1)[p, q].item() for p, q, x in zip(*[b.column(c).to_pylist() for c in (2, 3, 4)])]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([float(v) / s.denominator for v in d])], ["a_text", "b_text", "distance"])
+
+    return repo.select("a_text", "b_text", "p", "q", "payload").mapInArrow(run, "a_text string, b_text string, distance double")
+
+
 def _pack(rows: list[tuple]) -> pa.RecordBatch:
     cols = list(zip(*rows)) if rows else [()] * 5
     types = (pa.string(), pa.string(), pa.int32(), pa.int32(), pa.binary())

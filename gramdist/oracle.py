@@ -201,3 +201,9 @@ FROM (SELECT *, unnest(range(i, length(b) + 1)) AS j FROM (SELECT *, unnest(rang
     "w60_opt_out_of_free_matches": f"{NAME_PAIRS} SELECT pair_id, CAST(greatest(length(a), length(b)) AS BIGINT) AS distance FROM p",
 }
 ORACLES["w18_example_block_kernel"] = ORACLES["w18_example_block"]
+ORACLES |= {
+    "w61_folded_days": f"SELECT string_id AS user_id, CAST(length(text) AS BIGINT) AS letters, CAST(levenshtein(text, 'VCPCV') AS BIGINT) AS distance FROM ({EVENTS})",
+    "w62_uniform_repository": f"""WITH s AS ({STATUS}), g AS (SELECT DISTINCT string_id, substr(text, k * 3 + 1, 3) AS t FROM (SELECT *, unnest(range(0, (length(text) - 1) // 3 + 1)) AS k FROM s))
+SELECT DISTINCT x.t AS a_text, y.t AS b_text, CAST(levenshtein(x.t, y.t) AS BIGINT) AS distance FROM g x JOIN g y ON y.string_id = x.string_id + 1""",
+    "w63_grid": ORACLES["w24_repository_keys"],
+}

@@ -587,11 +587,43 @@ def w60_opt_out_of_free_matches(spark, sf):
     return whole(X.dp_distance(next_pairs(names(spark, sf)), s))
 
 
+def id_pairs(words: DataFrame) -> DataFrame:
+    """(pair_id, a_id, b_id): every string with the one whose id is the next number."""
+    b = words.select(F.col("string_id").alias("b_id"))
+    return words.select(F.col("string_id").alias("pair_id"), F.col("string_id").alias("a_id"), (F.col("string_id") + 1).alias("b_id")).join(b, "b_id").select("pair_id", "a_id", "b_id")
+
+
+def w61_folded_days(spark, sf):
+    """Each user's daily event strings as pieces, folded in order against a fixed word."""
+    from .operators.folds import dist_fold
+
+    e = load(spark, sf, "events", "user_id", "ts", "event_id", "event_type").withColumn("letter", F.upper(F.substring("event_type", 1, 1)))
+    e = e.withColumn("day", F.expr("timestampdiff(DAY, timestamp_ntz'2024-01-01 00:00:00', ts)"))
+    own = F.struct("ts", "event_id", "letter")
+    days = e.groupBy(F.col("user_id").alias("key"), F.col("day").alias("seq")).agg(F.array_join(F.transform(F.array_sort(F.collect_list(own)), lambda x: x["letter"]), "").alias("text"))
+    d = dist_fold(days, "VCPCV")
+    return d.select(F.col("key").alias("user_id"), "letters", F.col("distance").cast("long").alias("distance"))
+
+
+def w62_uniform_repository(spark, sf):
+    """Tables of the equal-pieces cut of the order-status words, each with the distance of its two pieces."""
+    w = kept(status_words(spark, sf))
+    r = repo.corners(repo.uniform(id_pairs(w), w, 3))
+    return r.select("a_text", "b_text", F.col("distance").cast("long").alias("distance"))
+
+
+def w63_grid(spark, sf):
+    """Blocks and distinct symbol pairs of the equal-pieces grid, from counts of symbols."""
+    w = kept(event_words(spark, sf))
+    seg = kept(S.x_partition(w, 4, "uniform"))
+    return S.grid_partition(seg, seg, id_pairs(w)).select("pair_id", "blocks", F.col("distinct_pairs").alias("distinct_keys"))
+
+
 WORKLOADS = {
     **{f.__name__: f for f in (w01_unit_docs, w02_rational_event_words, w03_arbitrary_benchmark, w04_rational_half_cost, w05_indel_urls, w06_mixed_codecs, w07_state_timelines, w08_quantity_runs, w09_order_status, w10_flags_four_russians, w11_embedding_bits, w12_near_copies, w13_conversation_turns, w14_url_pairs, w15_html_pages, w16_fibonacci, w17_example_word, w18_example_block, w18_example_block_kernel, w19_prefix_table, w19_table_by_folds, w19_table_by_paths)},
     **{f"w20_partition_{p}_{x}": partition_query(x, p) for p, x in (("grammar", 4), ("grammar", 16), ("grammar", 64), ("uniform", 16), ("runs", 1), ("phrases", 1))},
     **{f"w21_round_trip_{c}": round_trip_query(c) for c in ("rle", "lz78", "lzw", "words", "lines", "uniform", "balanced")},
     "w21_round_trip_lz77": round_trip_query("lz77", "benchmark", "item_id"),
     "w21_round_trip_pairs": round_trip_query("pairs", "pages", "page_id", "url"),
-    **{f.__name__: f for f in (w22_flag_runs, w23_grammar_sizes, w24_repository_keys, w25_bounds, w25_best_side, w26_cost_axioms, w26_triangles, w27_propagation, w28_merging, w29_side_sweep, w29_side_work, w30_variants_agree, w31_similarity_join, w32_nearest, w33_contained, w34_classes, w35_quality_by_distance, w35_distance_cube, w36_stream_running, w37_stream_windows, w38_shared_repository, w39_grammar_against_text, w40_lz78_phrases, w41_quadratic, w42_grammar_rules, w43_valid_rules, w44_corpus_pairs, w44_neighbour_counts, w45_substrings, w46_grammar_algebra, w47_fingerprints, w48_shared_variables, w49_border_values, w50_giant_pair, w51_banded, w52_sql_functions, w53_windows_of_braids, w54_token_dictionary, w55_work_by_variant, w56_phase_seconds, w57_anchors, w58_thresholded, w59_stream_sessions, w60_opt_out_of_free_matches)},
+    **{f.__name__: f for f in (w22_flag_runs, w23_grammar_sizes, w24_repository_keys, w25_bounds, w25_best_side, w26_cost_axioms, w26_triangles, w27_propagation, w28_merging, w29_side_sweep, w29_side_work, w30_variants_agree, w31_similarity_join, w32_nearest, w33_contained, w34_classes, w35_quality_by_distance, w35_distance_cube, w36_stream_running, w37_stream_windows, w38_shared_repository, w39_grammar_against_text, w40_lz78_phrases, w41_quadratic, w42_grammar_rules, w43_valid_rules, w44_corpus_pairs, w44_neighbour_counts, w45_substrings, w46_grammar_algebra, w47_fingerprints, w48_shared_variables, w49_border_values, w50_giant_pair, w51_banded, w52_sql_functions, w53_windows_of_braids, w54_token_dictionary, w55_work_by_variant, w56_phase_seconds, w57_anchors, w58_thresholded, w59_stream_sessions, w60_opt_out_of_free_matches, w61_folded_days, w62_uniform_repository, w63_grid)},
 }
