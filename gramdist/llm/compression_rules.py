@@ -24,9 +24,9 @@ from .common import batch, map_batches, table
 
 SYMBOLS = "#*$%&|<>"
 # Bands (bytes below which they hold, least ratio, most ratio), set wide of what prose in any language shows.
-DOCUMENT_BANDS = ((256, 0.45, 1.30), (1024, 0.42, 0.95), (4096, 0.38, 0.80), (16384, 0.35, 0.72), (1 << 62, 0.32, 0.70))
+DOCUMENT_BANDS = ((256, 0.50, 1.30), (1024, 0.46, 0.95), (4096, 0.42, 0.80), (16384, 0.395, 0.72), (65536, 0.37, 0.70), (1 << 62, 0.35, 0.70))
 CHUNK = 4096
-CHUNK_BAND = (0.30, 0.75)
+CHUNK_BAND = (0.38, 0.75)
 BAD_CHUNKS = 0.5  # a document fails when more than this share of its whole chunks is outside
 LEVEL = 3
 
