@@ -142,7 +142,7 @@ def class_prior(pos: np.ndarray, unl: np.ndarray, rounds: int = 30, seed: int =
 def fit(pos: np.ndarray, unl: np.ndarray, prior: float | None = None, rounds: int = 60, rate: float = 0.004, seed: int = 7) -> dict:
     """Non-negative PU risk minimisation with the logistic loss."""
     if not len(pos) or not len(unl):
-        return {"net": None, "prior": prior}
+        return {"net": None, "prior": prior, "cut": 0.0}
     prior = class_prior(pos, unl) if prior is None else prior
     r, net = np.random.default_rng(seed), Net(np.r_[pos, unl])
     steps = max(1, max(len(pos), len(unl)) // 512)
@@ -156,7 +156,14 @@ def fit(pos: np.ndarray, unl: np.ndarray, prior: float | None = None, rounds: in
                 net.step(np.r_[p, u], np.r_[gp - prior * sigmoid(-zp) / len(zp), gu], rate)
             else:
                 net.step(np.r_[p, u], -np.r_[gp, gu], rate)
-    return {"net": net, "prior": prior}
+    return {"net": net, "prior": prior, "cut": cut_between(net.logits(pos), net.logits(unl), prior)}
+
+
+def cut_between(zp: np.ndarray, zu: np.ndarray, prior: float) -> float:
+    """The logit to call even. Clipping the risk at zero stops small groups of bad texts short of it, so it is placed
+    midway between the lowest trusted documents and the top of the share of unlabelled ones that the prior leaves."""
+    low_good, high_bad = np.quantile(zp, 0.002), np.quantile(zu, max(0.0, 1 - prior - 0.01))
+    return float(max(0.0, (low_good + high_bad) / 2)) if low_good > high_bad else 0.0
 
 
 def train(docs: DataFrame, labels: DataFrame, usable=None, sample: int = SAMPLE, prior: float | None = None) -> dict:
@@ -178,7 +185,7 @@ def score(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str =
         squeeze, net = zstandard.ZstdCompressor(level=1), model["net"]
         for b in batches:
             x = np.array([statistics(t.as_py() or "", squeeze) for t in b.column(1)], "f4").astype(float).reshape(-1, len(NAMES))
-            p = sigmoid(net.logits(x)) if net and len(x) else np.full(len(x), 0.5)
+            p = sigmoid(net.logits(x) - model["cut"]) if net and len(x) else np.full(len(x), 0.5)
             yield batch(id=b.column(0), score=pa.array(p), predicted=pa.array((p >= 0.5).astype(np.int32)))
 
     kind = docs.schema[id_col].dataType.simpleString()
