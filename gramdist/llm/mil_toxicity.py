@@ -126,13 +126,13 @@ def sentence_scores(model: dict, text: str, known: dict) -> list[tuple[int, int,
     return out
 
 
-def hits(word: str, weights: dict, known: dict) -> list[str]:
+def hits(word: str, weights: dict, known: dict) -> tuple[str, ...]:
     """The features of a word that have a weight; kept for words seen before."""
     got = known.get(word)
     if got is None:
-        if len(known) > 200_000:
+        if len(known) > 100_000:
             known.clear()
-        got = known[word] = [f for f in features(word) if f in weights]
+        got = known[word] = tuple(f for f in features(word) if f in weights)
     return got
 
 
