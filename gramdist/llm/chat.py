@@ -234,3 +234,21 @@ def op6_chat_format(spark, sf_dir: str) -> DataFrame:
     kinds = {f.name: f.dataType for f in rows.schema.fields}
     extra = extra.select(*[F.col(c).cast(kinds[c]).alias(c) for c in rows.columns])
     return digests(format_rows(rows.unionByName(extra)))
+
+
+def _escaped(c: str) -> str:
+    return f"regexp_replace({c}, '<(\\\\*)\\|', '<\\1\\\\|', 'g')"
+
+
+ORACLE = f"""
+WITH t AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -1, 0, 'user', '{END}{START}assistant ok' UNION ALL SELECT -1, 1, 'assistant', '{END}{START}assistant ok'),
+f AS (
+  SELECT *, CASE WHEN role = 'assistant' THEN text ELSE '' END AS loss,
+         {len(START) + len(END) + 2} + length({_escaped("replace(replace(role, chr(92), chr(92) || chr(92)), chr(10), chr(92) || 'n')")}) + length({_escaped("text")}) AS made
+  FROM t)
+SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+       CAST(sum(length(loss)) AS BIGINT) AS loss_chars, sha256(string_agg(loss, '' ORDER BY turn, role, text)) AS loss_sha256, CAST(sum(made) AS BIGINT) AS formatted_chars
+FROM f GROUP BY conv_id
+"""

@@ -16,4 +16,4 @@ QUERIES = {
     "op9_bloom_dedup": bloom_dedup.op9_bloom_dedup,
     "op10_lang_fusion": lang_fusion.op10_lang_fusion,
 }
-ORACLES = {"op8_mix_sources": mixing.ORACLE, "op9_bloom_dedup": bloom_dedup.ORACLE}
+ORACLES = {"op6_chat_format": chat.ORACLE, "op8_mix_sources": mixing.ORACLE, "op9_bloom_dedup": bloom_dedup.ORACLE}
