@@ -207,3 +207,8 @@ ORACLES |= {
 SELECT DISTINCT x.t AS a_text, y.t AS b_text, CAST(levenshtein(x.t, y.t) AS BIGINT) AS distance FROM g x JOIN g y ON y.string_id = x.string_id + 1""",
     "w63_grid": ORACLES["w24_repository_keys"],
 }
+ORACLES["w59_stream_sessions"] = """
+WITH d AS (SELECT *, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
+s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM d)
+SELECT user_id, epoch_us(min(ts)) AS start_us, string_agg(upper(substr(event_type, 1, 1)), '' ORDER BY ts, event_id) AS text FROM s GROUP BY user_id, k
+HAVING max(ts) + INTERVAL 6 HOUR <= (SELECT max(ts) - INTERVAL 10 MINUTE FROM events)"""

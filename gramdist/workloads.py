@@ -578,7 +578,7 @@ def w59_stream_sessions(spark, sf):
     """Event strings of sessions without a pause of six hours, from the stream."""
     from .streaming import events as E
 
-    return E.run_once(E.session_strings(E.read_events(spark, f"{sf}/events.parquet"), "6 hours")).select("user_id", "start", "text")
+    return E.run_once(E.session_strings(E.read_events(spark, f"{sf}/events.parquet"), "6 hours")).select("user_id", F.unix_micros("start").alias("start_us"), "text")
 
 
 def w60_opt_out_of_free_matches(spark, sf):
