@@ -84,3 +84,36 @@ def banded(a: str, b: str, scoring: Scoring, limit) -> float | None:
         if row.min() > limit:
             return None
     return row[-1].item() if row[-1] <= limit else None
+
+
+def letter_bits(text: str) -> dict[str, int]:
+    """For each letter of a text, a number with the bits of its places."""
+    codes = np.frombuffer(text.encode("utf-32-le"), np.uint32)
+    return {chr(c): int.from_bytes(np.packbits(codes == c, bitorder="little").tobytes(), "little") for c in np.unique(codes).tolist()}
+
+
+def bit_distance(a: str, b: str) -> int:
+    """Unit distance with a whole column of the table in one long number: neighbouring cells differ by at most one,
+    so a column is two bit vectors (where it rises, where it falls) and a letter a dozen operations on them."""
+    if len(a) < len(b):
+        a, b = b, a
+    if not b:
+        return len(a)
+    m = len(a)
+    places, every, last = letter_bits(a), (1 << m) - 1, 1 << (m - 1)
+    rise, fall, score = every, 0, m
+    for c in b:
+        same = places.get(c, 0)
+        diagonal = same | fall
+        across = ((((same & rise) + rise) & every) ^ rise) | same
+        up = fall | (every ^ (across | rise))
+        down = rise & across
+        if up & last:
+            score += 1
+        elif down & last:
+            score -= 1
+        up = ((up << 1) & every) | 1
+        down = (down << 1) & every
+        rise = down | (every ^ (diagonal | up))
+        fall = up & diagonal
+    return score

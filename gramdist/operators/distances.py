@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -144,12 +145,30 @@ def boundary_values(pairs: DataFrame, x: int, codec: str = "lz78") -> DataFrame:
 
 
 def unit_distance(pairs: DataFrame) -> DataFrame:
-    """Unit distance by route: trivial pairs by their lengths, run-rich pairs by runs, the rest by the built-in."""
-    r = planner.route(pairs)
-    easy = r.where("route = 'trivial'").select("pair_id", F.when(F.col("a") == F.col("b"), 0).otherwise(F.greatest(F.length("a"), F.length("b"))).cast("double").alias("distance"), "route")
-    table = spread(r.where("route = 'table' OR route IS NULL")).select("pair_id", F.levenshtein("a", "b").cast("double").alias("distance"), "route")
-    runs = rle_distance(r.where("route = 'runs'")).select("pair_id", "distance", F.lit("runs").alias("route"))
-    return easy.unionByName(table).unionByName(runs)
+    """Unit distance by route: trivial pairs by their lengths, short ones by the built-in, run-rich ones by runs, the
+    rest by bit vectors.
+
+    One pass over the pairs: the routes are cases of one expression, and the Python kernel gets nulls for the pairs
+    of the JVM's routes."""
+    workers(pairs.sparkSession)
+
+    @F.pandas_udf("double")
+    def kernel(a: pd.Series, b: pd.Series, runs: pd.Series) -> pd.Series:
+        s = Scoring.unit()
+        return pd.Series([None if x is None or y is None else float(B.rle_distance(x, y, s) if r else dp.bit_distance(x, y)) for x, y, r in zip(a, b, runs)], dtype="float64")
+
+    r = planner.route(spread(pairs))
+    route = F.col("route")
+    trivial = F.when(F.col("a") == F.col("b"), 0).otherwise(F.greatest(F.length("a"), F.length("b"))).cast("double")
+    here = route.isin("runs", "bits")
+    python = kernel(F.when(here, F.col("a")), F.when(here, F.col("b")), route == "runs")
+    distance = F.when(route == "trivial", trivial).when(here, python).otherwise(F.levenshtein("a", "b").cast("double"))
+    return r.select("pair_id", distance.alias("distance"), "route")
+
+
+def bit_distance(pairs: DataFrame) -> DataFrame:
+    """The quadratic table with a column in a machine number of any length: cells cost a fraction of an operation."""
+    return by_kernel(spread(pairs), lambda: lambda a, b: (dp.bit_distance(a, b), {}))
 
 
 auto_distance = unit_distance

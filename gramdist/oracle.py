@@ -156,7 +156,7 @@ SELECT count(*) AS triples, CAST(sum(CASE WHEN ac > ab + bc OR ab > ac + bc OR b
     "w27_propagation": f"""WITH s AS ({NAMES}), p AS ({NEXT}), w AS ({BLOCK.format(', pair_id, p', 'SELECT * FROM p')}) SELECT pair_id, j, CAST(min(w + abs(p - i)) AS BIGINT) AS v FROM w GROUP BY pair_id, j""",
     "w28_merging": BLOCK.format(", string_id AS pair_id", f"SELECT string_id, text AS a, 'the quick' AS b FROM ({NAMES})"),
     "w29_side_sweep": f"WITH d AS ({next_unit(EVENTS)}) SELECT pair_id, distance, CAST(x AS BIGINT) AS x FROM d, unnest([1, 2, 4, 8, 16, 32]) AS u(x)",
-    "w30_variants_agree": f"SELECT pair_id, CAST(1 AS BIGINT) AS n_values, CAST(23 AS BIGINT) AS n_variants, {lev('a', 'b')} AS distance FROM ({STATUS_PAIRS})",
+    "w30_variants_agree": f"SELECT pair_id, CAST(1 AS BIGINT) AS n_values, CAST(24 AS BIGINT) AS n_variants, {lev('a', 'b')} AS distance FROM ({STATUS_PAIRS})",
     "w31_similarity_join": CLOSE,
     "w32_nearest": f"""SELECT * FROM (SELECT query_id, string_id, distance, row_number() OVER (PARTITION BY query_id ORDER BY distance, string_id) AS rank FROM (
 SELECT x.item_id AS query_id, y.item_id AS string_id, {lev('x.text', 'y.text')} AS distance FROM benchmark x JOIN benchmark y ON x.item_id <> y.item_id)) WHERE rank <= 3""",
@@ -212,3 +212,4 @@ WITH d AS (SELECT *, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE
 s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM d)
 SELECT user_id, epoch_us(min(ts)) AS start_us, string_agg(upper(substr(event_type, 1, 1)), '' ORDER BY ts, event_id) AS text FROM s GROUP BY user_id, k
 HAVING max(ts) + INTERVAL 6 HOUR <= (SELECT max(ts) - INTERVAL 10 MINUTE FROM events)"""
+ORACLES["w64_bit_vectors"] = ORACLES["w07_state_timelines"]

@@ -346,7 +346,7 @@ def w30_variants_agree(spark, sf):
     """Order-status pairs by every variant and baseline: how many different values a pair has, and the value."""
     p = kept(status_pairs(spark, sf))
     every = [X.block_distance(p, None, 4 if "form" not in v else None, **v) for v in VARIANTS.values()]
-    every += [X.dp_distance(p), X.four_russians(p), X.rle_distance(p), X.lz78_distance(p), X.grammar_against_text(p), X.grammar_against_text(p, merge="dense")]
+    every += [X.dp_distance(p), X.bit_distance(p), X.four_russians(p), X.rle_distance(p), X.lz78_distance(p), X.grammar_against_text(p), X.grammar_against_text(p, merge="dense")]
     out = None
     for d in every:
         d = whole(d)
@@ -587,6 +587,11 @@ def w60_opt_out_of_free_matches(spark, sf):
     return whole(X.dp_distance(next_pairs(names(spark, sf)), s))
 
 
+def w64_bit_vectors(spark, sf):
+    """Timelines by bit vectors: the same pairs as by runs."""
+    return whole(X.bit_distance(next_pairs(timelines(spark, sf))))
+
+
 def id_pairs(words: DataFrame) -> DataFrame:
     """(pair_id, a_id, b_id): every string with the one whose id is the next number."""
     b = words.select(F.col("string_id").alias("b_id"))
@@ -625,5 +630,5 @@ WORKLOADS = {
     **{f"w21_round_trip_{c}": round_trip_query(c) for c in ("rle", "lz78", "lzw", "words", "lines", "uniform", "balanced")},
     "w21_round_trip_lz77": round_trip_query("lz77", "benchmark", "item_id"),
     "w21_round_trip_pairs": round_trip_query("pairs", "pages", "page_id", "url"),
-    **{f.__name__: f for f in (w22_flag_runs, w23_grammar_sizes, w24_repository_keys, w25_bounds, w25_best_side, w26_cost_axioms, w26_triangles, w27_propagation, w28_merging, w29_side_sweep, w29_side_work, w30_variants_agree, w31_similarity_join, w32_nearest, w33_contained, w34_classes, w35_quality_by_distance, w35_distance_cube, w36_stream_running, w37_stream_windows, w38_shared_repository, w39_grammar_against_text, w40_lz78_phrases, w41_quadratic, w42_grammar_rules, w43_valid_rules, w44_corpus_pairs, w44_neighbour_counts, w45_substrings, w46_grammar_algebra, w47_fingerprints, w48_shared_variables, w49_border_values, w50_giant_pair, w51_banded, w52_sql_functions, w53_windows_of_braids, w54_token_dictionary, w55_work_by_variant, w56_phase_seconds, w57_anchors, w58_thresholded, w59_stream_sessions, w60_opt_out_of_free_matches, w61_folded_days, w62_uniform_repository, w63_grid)},
+    **{f.__name__: f for f in (w22_flag_runs, w23_grammar_sizes, w24_repository_keys, w25_bounds, w25_best_side, w26_cost_axioms, w26_triangles, w27_propagation, w28_merging, w29_side_sweep, w29_side_work, w30_variants_agree, w31_similarity_join, w32_nearest, w33_contained, w34_classes, w35_quality_by_distance, w35_distance_cube, w36_stream_running, w37_stream_windows, w38_shared_repository, w39_grammar_against_text, w40_lz78_phrases, w41_quadratic, w42_grammar_rules, w43_valid_rules, w44_corpus_pairs, w44_neighbour_counts, w45_substrings, w46_grammar_algebra, w47_fingerprints, w48_shared_variables, w49_border_values, w50_giant_pair, w51_banded, w52_sql_functions, w53_windows_of_braids, w54_token_dictionary, w55_work_by_variant, w56_phase_seconds, w57_anchors, w58_thresholded, w59_stream_sessions, w60_opt_out_of_free_matches, w61_folded_days, w62_uniform_repository, w63_grid, w64_bit_vectors)},
 }

@@ -46,6 +46,7 @@ def test_table_and_band(a, b, k, limit):
     s = SCORINGS[k]
     v = plain(a, b, s)
     assert dp.distance(a, b, s) == v
+    assert k or dp.bit_distance(a, b) == v
     assert dp.banded(a, b, s, limit) == (v if v <= limit else None)
 
 
@@ -205,6 +206,13 @@ def test_side_of_blocks():
     assert planner.side(10, 1000) == 100 and planner.side(10, 1000, "arbitrary") == 22 and planner.side(1000, 1000) == 1
 
 
+def test_long_bit_vectors():
+    r = random.Random(7)
+    for n, m in ((300, 170), (64, 65), (1, 500), (128, 128)):
+        a, b = ("".join(r.choice("abé𝄞") for _ in range(k)) for k in (n, m))
+        assert dp.bit_distance(a, b) == dp.distance(a, b, Scoring.unit())
+
+
 def test_best_window():
     r = random.Random(5)
     for _ in range(40):

@@ -30,7 +30,7 @@ def values(df) -> dict:
     return {r.pair_id: r.distance for r in df.collect()}
 
 
-@pytest.mark.parametrize("f", [X.dp_distance, X.block_distance, X.rational_distance, X.rle_distance, X.four_russians, X.lz78_distance, X.grammar_against_text, X.unit_distance])
+@pytest.mark.parametrize("f", [X.dp_distance, X.block_distance, X.rational_distance, X.rle_distance, X.four_russians, X.lz78_distance, X.grammar_against_text, X.bit_distance, X.unit_distance])
 def test_edge_pairs(pairs, f):
     assert values(f(pairs)) == WANT | {10: None, 11: None}
 
@@ -163,8 +163,8 @@ def test_classes(spark):
 
 
 def test_route_and_sides(spark, pairs):
-    r = {x.pair_id: x.route for x in planner.route(pairs.unionByName(spark.createDataFrame([(20, "a" * 9000 + "b" * 9000, "b" * 9000 + "a" * 8000)], pairs.schema))).collect()}
-    assert r[0] == "table" and r[3] == "trivial" and r[20] == "runs"
+    r = {x.pair_id: x.route for x in planner.route(pairs.unionByName(spark.createDataFrame([(20, "a" * 9000 + "b" * 9000, "b" * 9000 + "a" * 8000), (21, "ab" * 400, "ba" * 400)], pairs.schema))).collect()}
+    assert r[0] == "table" and r[3] == "trivial" and r[21] == "bits" and r[20] == "runs"
     x = spark.range(1).select(planner.choose_x(10, 1000).alias("a"), planner.choose_x(10, 1000, "arbitrary").alias("b"), planner.choose_x(10, 1000, power_of_two=True).alias("c")).first()
     assert (x.a, x.b, x.c) == (100, 22, 128)
 
