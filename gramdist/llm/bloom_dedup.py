@@ -24,11 +24,39 @@ def cells_for(rows: int, bits_per_row: int = 16) -> int:
     return 1 << max(16, (rows * bits_per_row - 1).bit_length())
 
 
+def probes(cells: int) -> list:
+    """The two cells of a row's hash _h."""
+    return [F.col("_h").bitwiseAND(cells - 1), F.shiftrightunsigned("_h", 32).bitwiseAND(cells - 1)]
+
+
+def packed(cells: DataFrame) -> DataFrame:
+    """Cells as bits of 64-bit words."""
+    return cells.groupBy(F.shiftright("cell", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(cell & 63 AS int))")).alias("bits"))
+
+
 def repeated_words(hashed: DataFrame, cells: int) -> DataFrame:
-    """The filter: 64-bit words of the cells that two or more rows hit."""
-    probes = hashed.select(F.explode(F.array(F.col("_h").bitwiseAND(cells - 1), F.shiftrightunsigned("_h", 32).bitwiseAND(cells - 1))).alias("cell"))
-    hit = probes.groupBy("cell").count().where("count >= 2")
-    return hit.groupBy(F.shiftright("cell", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(cell & 63 AS int))")).alias("bits"))
+    """The filter: words of the cells that two or more rows hit."""
+    hit = hashed.select(F.explode(F.array(*probes(cells))).alias("cell")).groupBy("cell").count().where("count >= 2")
+    return packed(hit)
+
+
+def flagged(rows: DataFrame, words: DataFrame, cells: int) -> DataFrame:
+    """rows with _maybe: both cells of their hash are in the filter, which is broadcast."""
+    for k, cell in enumerate(probes(cells)):
+        probe = words.select(F.col("word").alias(f"_w{k}"), F.col("bits").alias(f"_b{k}"))
+        rows = rows.withColumn(f"_c{k}", cell).join(F.broadcast(probe), F.shiftright(F.col(f"_c{k}"), 6) == F.col(f"_w{k}"), "left")
+    seen = " AND ".join(f"coalesce(shiftrightunsigned(_b{k}, cast(_c{k} & 63 AS int)) & 1L, 0L) = 1L" for k in (0, 1))
+    return rows.withColumn("_maybe", F.expr(seen)).drop("_w0", "_w1", "_b0", "_b1", "_c0", "_c1")
+
+
+def without_ids(df: DataFrame, gone: DataFrame, id_col: str = "doc_id", max_cells: int = MAX_CELLS) -> DataFrame:
+    """df without the rows whose id is in gone (a table of one column of that name), columns unchanged. A filter of
+    the ids lets all other rows pass; only rows that it flags are shuffled for the exact test. A null id stays."""
+    cells = min(cells_for(gone.count()), max_cells)
+    words = packed(gone.select(F.xxhash64(id_col).alias("_h")).select(F.explode(F.array(*probes(cells))).alias("cell")))
+    rows = flagged(df.select(boxed(df), F.col(id_col).alias("_id"), F.xxhash64(id_col).alias("_h")), words, cells)
+    exact = rows.where("_maybe").join(gone.select(F.col(id_col).alias("_id")), "_id", "left_anti")
+    return exact.select("_row").unionByName(rows.where("NOT _maybe").select("_row")).select("_row.*")
 
 
 def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", columns: list[str] | None = None, max_cells: int = MAX_CELLS) -> DataFrame:
@@ -44,12 +72,7 @@ def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", c
     rows = df.select(boxed(df, columns), F.col(id_col).alias("_id"), F.sha2(F.coalesce(F.col(text_col), F.lit("")), 256).alias("text_sha256"))
     rows = rows.withColumn("_h", F.xxhash64("text_sha256"))
     if cells <= max_cells:
-        words = repeated_words(rows.select("_h"), cells)
-        for k, cell in enumerate((F.col("_h").bitwiseAND(cells - 1), F.shiftrightunsigned("_h", 32).bitwiseAND(cells - 1))):
-            probe = words.select(F.col("word").alias(f"_w{k}"), F.col("bits").alias(f"_b{k}"))
-            rows = rows.withColumn(f"_c{k}", cell).join(F.broadcast(probe), F.shiftright(F.col(f"_c{k}"), 6) == F.col(f"_w{k}"), "left")
-        seen = " AND ".join(f"coalesce(shiftrightunsigned(_b{k}, cast(_c{k} & 63 AS int)) & 1L, 0L) = 1L" for k in (0, 1))
-        rows = rows.withColumn("_maybe", F.expr(seen)).drop("_w0", "_w1", "_b0", "_b1", "_c0", "_c1")
+        rows = flagged(rows, repeated_words(rows.select("_h"), cells), cells)
         maybe, unique = rows.where("_maybe").drop("_maybe"), rows.where("NOT _maybe").drop("_maybe")
     else:
         again = rows.groupBy("_h").count().where("count >= 2").select("_h")

@@ -53,6 +53,15 @@ def test_bloom_words_hold_all_repeats(spark):
             assert words[cell >> 6] >> (cell & 63) & 1
 
 
+def test_without_ids(odd, none):
+    gone = odd.where("doc_id IN (2, 7)").select("doc_id").distinct()
+    for cells in (bloom_dedup.MAX_CELLS, 64):
+        got = bloom_dedup.without_ids(odd, gone, max_cells=cells)
+        assert got.columns == odd.columns
+        assert Counter(r.doc_id for r in got.collect()) == Counter(r.doc_id for r in odd.collect() if r.doc_id not in (2, 7))
+    assert bloom_dedup.without_ids(none, gone).count() == 0 and bloom_dedup.without_ids(odd, gone.limit(0)).count() == 12
+
+
 # --- simhash -------------------------------------------------------------------------------------------------------
 
 
