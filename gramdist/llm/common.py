@@ -2,54 +2,19 @@
 
 from __future__ import annotations
 
-import atexit
-import os
-import shutil
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
-from pathlib import Path
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-WORD = r"[^\x20\x09-\x0D]+"
-_LOCAL: list[str] = []
-
-
-def scratch_dir(spark: SparkSession) -> str:
-    """A new folder under the shared folder named by spark.checkpoint.dir; a temporary one where that is unset."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not base:
-        base = tempfile.mkdtemp(prefix="gramdist-")
-        spark.sparkContext.setCheckpointDir(base)
-        _LOCAL.append(base)
-    out = f"{base.rstrip('/')}/gd-{uuid.uuid4().hex}"
-    if out.startswith(("/", "file:")):
-        _LOCAL.append(out.removeprefix("file://"))
-    return out
-
+from ..session import kept as written
+from ..session import scratch as scratch_dir
+from ..session import workers as on_workers
 
-@atexit.register
-def _tidy() -> None:
-    for path in _LOCAL:
-        shutil.rmtree(path, ignore_errors=True)
+__all__ = ["WORD", "batch", "boxed", "crc", "join_groups", "map_batches", "on_workers", "quoted", "scratch_dir", "table", "unboxed", "without", "written"]
 
-
-def written(df: DataFrame) -> DataFrame:
-    """Cut the lineage: write a table to the shared folder and read it again, so lost executors cost no recomputation."""
-    path = scratch_dir(df.sparkSession)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
-def on_workers(spark: SparkSession) -> None:
-    """Let Python workers import this package when the session was started from another folder."""
-    root = str(Path(__file__).resolve().parents[2])
-    env = spark.sparkContext.environment
-    if root not in env.get("PYTHONPATH", "").split(os.pathsep):
-        env["PYTHONPATH"] = os.pathsep.join(x for x in (root, env.get("PYTHONPATH", "")) if x)
+WORD = r"[^\x20\x09-\x0D]+"
 
 
 def map_batches(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema) -> DataFrame:
