@@ -1,11 +1,14 @@
-"""One very large pair: the grid is cut into tiles, and the tiles of an antidiagonal run side by side.
+"""One very large pair: both strings come in pieces, and the tiles of an antidiagonal of the grid run side by side.
 
-A round joins each tile with the bottom border of the tile above and the right border of the tile to its left, both
-written by the round before, so a lost executor costs one tile. 2 K - 1 rounds for K by K tiles.
+A round joins each tile's two pieces with the bottom border of the tile above and the right border of the tile to its
+left, both written by the round before, so a lost executor costs one tile. K + L - 1 rounds for K by L pieces. A task
+holds two pieces and two borders; the driver holds a number a piece.
 """
 
 from __future__ import annotations
 
+from itertools import accumulate
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -13,50 +16,83 @@ from pyspark.sql import functions as F
 
 from ..functions import dp
 from ..scoring import Scoring
-from ..session import kept, workers
+from ..session import kept, parts, workers
 
 BORDER = "i int, j int, side string, vals binary"
 
 
-def tiled_distance(spark: SparkSession, a: str, b: str, tiles: int = 4, scoring: Scoring | None = None) -> float:
-    """The distance; a tile's work is a row-wise sweep over its two pieces from its two incoming borders."""
+def _borders(rows: list[tuple]) -> pa.RecordBatch:
+    cols = list(zip(*rows)) if rows else [()] * 4
+    return pa.RecordBatch.from_arrays([pa.array(list(v), t) for v, t in zip(cols, (pa.int32(), pa.int32(), pa.string(), pa.binary()))], ["i", "j", "side", "vals"])
+
+
+def tiled_pieces(a: DataFrame, b: DataFrame, scoring: Scoring | None = None) -> float:
+    """The distance of two strings given as pieces (k, text), in order of k."""
     s = scoring or Scoring.unit()
-    if not a or not b:
-        d, i = s.vectors(a, b)
-        return (d.sum() + i.sum()).item() / s.denominator
-    workers(spark)
-    cut = lambda t: [t[len(t) * k // tiles : len(t) * (k + 1) // tiles] for k in range(tiles)]
-    pa_, pb_ = cut(a), cut(b)
-    dels, ins = s.vectors(a, b)
-    down, along = np.r_[s.dtype(0), np.cumsum(dels)], np.r_[s.dtype(0), np.cumsum(ins)]
-    at = lambda n, k: n * k // tiles
-    first = [(0, k, "top", along[at(len(b), k) : at(len(b), k + 1) + 1].tobytes()) for k in range(tiles)]
-    first += [(k, 0, "left", down[at(len(a), k) : at(len(a), k + 1) + 1].tobytes()) for k in range(tiles)]
-    borders = kept(spark.createDataFrame(first, BORDER))
-    grid = kept(spark.createDataFrame([(i, j, pa_[i], pb_[j]) for i in range(tiles) for j in range(tiles)], "i int, j int, a string, b string"))
-
-    def run(batches):
+    workers(a.sparkSession)
+
+    def costs(batches):
+        for rb in batches:
+            for k, t in zip(rb.column(0).to_pylist(), rb.column(1).to_pylist()):
+                d, i = s.vectors(t, t)
+                yield pa.RecordBatch.from_arrays([pa.array([k]), pa.array([float(d.sum())]), pa.array([float(i.sum())])], ["k", "del", "ins"])
+
+    sides = []
+    for df in (a, b):
+        df = kept(df.where("text IS NOT NULL AND text != ''").select(F.col("k").cast("long").alias("k"), "text"))
+        sides.append((df, sorted(map(tuple, df.mapInArrow(costs, "k long, del double, ins double").collect()))))
+    (da, ca), (db, cb) = sides
+    if not ca or not cb:
+        return (sum(r[1] for r in ca) + sum(r[2] for r in cb)) / s.denominator
+    place = [{r[0]: n for n, r in enumerate(c)} for c in (ca, cb)]
+    start = [[0.0, *accumulate(r[1] for r in ca)], [0.0, *accumulate(r[2] for r in cb)]]
+
+    def first(which: int):
+        def run(batches):
+            for rb in batches:
+                rows = []
+                for k, t in zip(rb.column(0).to_pylist(), rb.column(1).to_pylist()):
+                    n = place[which][k]
+                    step = s.vectors(t, t)[which]
+                    v = np.r_[s.dtype(0), np.cumsum(step)] + s.dtype(start[which][n])
+                    rows.append((n, 0, "left", v.tobytes()) if which == 0 else (0, n, "top", v.tobytes()))
+                yield _borders(rows)
+
+        return run
+
+    def numbered(df: DataFrame, which: int, name: str, text: str) -> DataFrame:
+        n = F.create_map(*[F.lit(x) for kv in place[which].items() for x in kv])
+        return kept(df.select(n[F.col("k")].alias(name), F.col("text").alias(text)))
+
+    pieces_a, pieces_b = numbered(da, 0, "i", "a"), numbered(db, 1, "j", "b")
+    borders = kept(da.mapInArrow(first(0), BORDER).unionByName(db.mapInArrow(first(1), BORDER)))
+
+    def sweep(batches):
         for rb in batches:
-            out = []
             for i, j, x, y, top, left in zip(*[rb.column(k).to_pylist() for k in range(6)]):
                 row, left = np.frombuffer(top, s.dtype), np.frombuffer(left, s.dtype)
                 c = dp.Letters(s, x, y)
-                run_ = np.r_[s.dtype(0), np.cumsum(c.inserts)]
+                run = np.r_[s.dtype(0), np.cumsum(c.inserts)]
                 right = [row[-1]]
                 for k, (letter, d) in enumerate(zip(x, c.deletes), 1):
                     best = row + d
                     best[1:] = np.minimum(best[1:], row[:-1] + c.row(letter))
                     best[0] = left[k]
-                    row = np.minimum.accumulate(best - run_) + run_
+                    row = np.minimum.accumulate(best - run) + run
                     right.append(row[-1])
-                out += [(i + 1, j, "top", row.tobytes()), (i, j + 1, "left", np.array(right, s.dtype).tobytes())]
-            cols = list(zip(*out)) if out else [()] * 4
-            yield pa.RecordBatch.from_arrays([pa.array(list(v), t) for v, t in zip(cols, (pa.int32(), pa.int32(), pa.string(), pa.binary()))], ["i", "j", "side", "vals"])
+                yield _borders([(i + 1, j, "top", row.tobytes()), (i, j + 1, "left", np.array(right, s.dtype).tobytes())])
 
-    for wave in range(2 * tiles - 1):
-        now = grid.where(F.col("i") + F.col("j") == wave)
+    for wave in range(len(ca) + len(cb) - 1):
         top = borders.where("side = 'top'").select("i", "j", F.col("vals").alias("top"))
         left = borders.where("side = 'left'").select("i", "j", F.col("vals").alias("left"))
-        borders = kept(now.join(top, ["i", "j"]).join(left, ["i", "j"]).select("i", "j", "a", "b", "top", "left").repartition(tiles, "i").mapInArrow(run, BORDER).unionByName(borders.where(F.col("i") + F.col("j") > wave)))
-    last = borders.where(f"i = {tiles} AND j = {tiles - 1}").first()
-    return np.frombuffer(last["vals"], s.dtype)[-1].item() / s.denominator
+        now = top.join(left, ["i", "j"]).where(F.col("i") + F.col("j") == wave).join(pieces_a, "i").join(pieces_b, "j")
+        done = now.select("i", "j", "a", "b", "top", "left").repartition(parts(a.sparkSession), "i").mapInArrow(sweep, BORDER)
+        borders = kept(done.unionByName(borders.where(F.col("i") + F.col("j") > wave)))
+    last = borders.where(f"side = 'top' AND i = {len(ca)} AND j = {len(cb) - 1}").select(F.expr("substring(vals, length(vals) - 7, 8)").alias("v")).first()
+    return np.frombuffer(last["v"], s.dtype)[0].item() / s.denominator
+
+
+def tiled_distance(spark: SparkSession, a: str, b: str, tiles: int = 4, scoring: Scoring | None = None) -> float:
+    """The same for two strings at hand, cut into even pieces."""
+    cut = lambda t: spark.createDataFrame([(k, t[len(t) * k // tiles : len(t) * (k + 1) // tiles]) for k in range(tiles)], "k long, text string")
+    return tiled_pieces(cut(a), cut(b), scoring)

@@ -493,16 +493,15 @@ def w49_border_values(spark, sf):
     return v.select("pair_id", "col", "value")
 
 
-def w50_giant_pair(spark, sf):
-    """All events as one string against all orders as one string, in tiles."""
-    from .operators.tiled import tiled_distance
-
-    e = load(spark, sf, "events", "event_id", "event_type").withColumn("c", F.upper(F.substring("event_type", 1, 1)))
-    o = load(spark, sf, "orders", "o_orderkey", "o_orderstatus")
-    a = S.strings_from_rows(e.withColumn("k", F.lit(0)), "k", ["event_id"], "c").first()["text"]  # the two strings themselves
-    b = S.strings_from_rows(o.withColumn("k", F.lit(0)), "k", ["o_orderkey"], "o_orderstatus").first()["text"]
-    d = tiled_distance(spark, a, b, 4)
-    return spark.createDataFrame([(len(a), len(b), int(d))], "letters_a long, letters_b long, distance long")
+def w50_giant_pair(spark, sf, letters: int = 4096):
+    """All events as one string against all orders as one string, in pieces of even ranges of their keys."""
+    from .operators.tiled import tiled_pieces
+
+    e = load(spark, sf, "events", "event_id", "event_type").select((F.col("event_id") / letters).cast("long").alias("k"), F.col("event_id").alias("o"), F.upper(F.substring("event_type", 1, 1)).alias("c"))
+    o = load(spark, sf, "orders", "o_orderkey", "o_orderstatus").select((F.col("o_orderkey") / letters).cast("long").alias("k"), F.col("o_orderkey").alias("o"), F.col("o_orderstatus").alias("c"))
+    a, b = (kept(S.strings_from_rows(x, "k", ["o"], "c").withColumnRenamed("string_id", "k")) for x in (e, o))
+    n = [x.agg(F.sum(F.length("text"))).first()[0] for x in (a, b)]
+    return spark.createDataFrame([(*n, int(tiled_pieces(a, b)))], "letters_a long, letters_b long, distance long")
 
 
 def w51_banded(spark, sf):
