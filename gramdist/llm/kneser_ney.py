@@ -37,8 +37,8 @@ ORDER = 2
 U = np.uint64
 MASK = (1 << 48) - 1
 BEGIN, END = (xxhash.xxh64_intdigest(x, 1) & MASK for x in (b"\n<", b"\n>"))  # no word holds a line break
-TOKENS_AT_ONCE = 1_000_000
-RANGE_TOKENS = 4_000_000
+TOKENS_AT_ONCE = 1_000_000  # that a task folds at a time; a quarter of it when scoring
+RANGE_TOKENS = 1_000_000
 BLOCK = "kind string, part int, ctx binary, run binary, word binary, n binary"
 
 
@@ -46,7 +46,7 @@ class Hashes(dict):
     """Word -> hash, kept for the frequent ones."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 300_000:
+        if len(self) > 150_000:
             self.clear()
         v = self[word] = xxhash.xxh64_intdigest(word, 0) & MASK
         return v
@@ -195,14 +195,13 @@ def counted(docs: DataFrame, order: int, parts: int, hot: list[int]) -> DataFram
         hashes, held, size, own = Hashes(), [], 0, np.array(hot, U)
 
         def flush() -> pa.RecordBatch:
-            ctx, word = ngrams(held, order)
-            return rows_batch(blocks(*fold(ctx, word), parts, own))
+            return rows_batch(blocks(*fold(*ngrams(held, order)), parts, own))
 
         for b in batches:
             for d in token_docs(b.column(0), hashes):
                 held.append(d)
                 size += len(d)
-                if size >= 2 * TOKENS_AT_ONCE:
+                if size >= TOKENS_AT_ONCE:
                     yield flush()
                     held, size = [], 0
         yield flush()
@@ -356,7 +355,7 @@ def score(docs: DataFrame, model: dict) -> DataFrame:
             for d in token_docs(b.column(2), hashes):
                 held.append(d)
                 size += len(d)
-                if size >= TOKENS_AT_ONCE // 2:
+                if size >= TOKENS_AT_ONCE // 4:
                     flush()
                     held, size = [], 0
             flush()
