@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import random
 from collections import Counter
 
 import corpus_pipeline as P
@@ -44,3 +45,40 @@ def test_odd_and_empty_tables(spark, odd, none, sf):
             rows = out.count()
             assert rows == 0 if not n else rows > 0
     assert packing.pack(odd, packing.default_tokenizer()).count() >= 12
+
+
+def shingle_words(text):
+    w = (text or "").encode().lower().split()
+    return {tuple(w[k : k + 5]) for k in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)}
+
+
+def test_near_dedup_is_brute_force(spark, sf):
+    """Every pair with five-word Jaccard >= 0.8 is linked, whatever its fingerprints' distance, and no other pair."""
+    r = random.Random(5)
+    rows = [(x.doc_id, x.text) for x in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").dropDuplicates(["text"]).orderBy("doc_id").limit(250).collect()]
+    for k in range(120):  # copies with edits from the first word on, and one family of chained copies
+        w = rows[k if k < 80 else 3][1].split()
+        for _ in range(1 + k % 6):
+            w[r.randrange(len(w))] = f"edit{k}"
+        rows.append((10_000 + k, " ".join(w)))
+    rows += [(20_000, "a b c"), (20_001, "A  b c"), (20_002, ""), (20_003, " ")]
+    sets = [shingle_words(t) for _, t in rows]
+    root = list(range(len(rows)))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i in range(len(rows)):
+        for j in range(i):
+            shared = len(sets[i] & sets[j])
+            if 5 * shared >= 4 * (len(sets[i]) + len(sets[j]) - shared):
+                a, b = find(i), find(j)
+                root[max(a, b)] = min(a, b)
+    least = {}
+    for k, (d, _) in enumerate(rows):
+        least[find(k)] = min(d, least.get(find(k), d))
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    assert len(least) < len(rows) - 60
+    assert Counter(x.doc_id for x in P.near_dedup(spark, docs, sf).collect()) == Counter(least.values())
