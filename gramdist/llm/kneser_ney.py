@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from .common import batch, crc, map_batches, on_workers, scratch_dir, table
 
-ORDER = 2
+ORDER = 3
 U = np.uint64
 MASK = (1 << 48) - 1
 BEGIN, END = (xxhash.xxh64_intdigest(x, 1) & MASK for x in (b"\n<", b"\n>"))  # no word holds a line break
@@ -101,6 +101,11 @@ def parts_of(ctx: np.ndarray, word: np.ndarray, parts: int, hot: np.ndarray) ->
     return ((key >> U(20)) % U(parts)).astype(np.int64)
 
 
+def narrow(x: np.ndarray) -> np.ndarray:
+    """The same whole numbers in the fewest bytes that hold the largest."""
+    return x.astype(np.min_scalar_type(int(x.max())) if len(x) else np.uint8)
+
+
 def blocks(ctx, word, n, parts: int, hot: np.ndarray) -> list[tuple]:
     """Packed rows, one for each range: contexts once with their run lengths, words in six bytes."""
     part = parts_of(ctx, word, parts, hot)
@@ -110,21 +115,22 @@ def blocks(ctx, word, n, parts: int, hot: np.ndarray) -> list[tuple]:
     for s, e in zip(cut, [*cut[1:], len(part)]):
         c, w = ctx[s:e], word[s:e]
         new = np.flatnonzero(np.r_[True, (c[1:] != c[:-1]).any(axis=1)]) if c.shape[1] else np.zeros(1, np.int64)
-        run = np.diff(np.r_[new, e - s]).astype("<u4")
+        run = narrow(np.diff(np.r_[new, e - s]))
         six = np.ascontiguousarray(w.astype("<u8")).view(np.uint8).reshape(-1, 8)[:, :6]
-        out.append(("block", int(part[s]), c[new].astype("<u8").tobytes(), run.tobytes(), six.tobytes(), n[s:e].astype("<u4").tobytes()))
+        out.append(("block", int(part[s]), c[new].astype("<u8").tobytes(), run.tobytes(), six.tobytes(), narrow(np.minimum(n[s:e], 2**32 - 1)).tobytes()))
     return out
 
 
 def unpack(rows: pa.Table, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     ctx, word, n = [np.zeros((0, width), U)], [np.zeros(0, U)], [np.zeros(0, np.int64)]
     for c, r, w, m in zip(*[rows.column(k).to_pylist() for k in ("ctx", "run", "word", "n")]):
-        run = np.frombuffer(r, "<u4")
+        runs = len(c) // (8 * width) if width else 1
+        run = np.frombuffer(r, f"<u{len(r) // runs}")
         six = np.zeros((len(w) // 6, 8), np.uint8)
         six[:, :6] = np.frombuffer(w, np.uint8).reshape(-1, 6)
         ctx.append(np.repeat(np.frombuffer(c, "<u8").reshape(len(run), width) if width else np.zeros((len(run), 0), U), run, axis=0))
         word.append(six.view("<u8").reshape(-1).astype(U))
-        n.append(np.frombuffer(m, "<u4").astype(np.int64))
+        n.append(np.frombuffer(m, f"<u{6 * len(m) // len(w)}").astype(np.int64))
     return np.concatenate(ctx), np.concatenate(word), np.concatenate(n)
 
 
@@ -144,6 +150,11 @@ def save(uri: str, name: str, array: np.ndarray) -> None:
     fs.move(tmp, f"{at}/{name}.npy")
 
 
+def drop(uri: str) -> None:
+    fs, at = store(uri)
+    fs.delete_dir(at)
+
+
 @lru_cache(maxsize=100_000)
 def mapped(uri: str, name: str) -> np.ndarray | None:
     fs, at = store(uri)
@@ -226,7 +237,7 @@ def merged(rows: DataFrame, order: int, uri: str, name: str, parts: int, hot: li
         key = mix(ctx[:, -1], word) if width else word
         at = np.argsort(key, kind="stable") if width else np.arange(len(key))
         save(uri, f"{name}-{part}-key", key[at])
-        save(uri, f"{name}-{part}-n", np.minimum(n, 2**32 - 1)[at].astype(np.uint32))
+        save(uri, f"{name}-{part}-n", narrow(np.minimum(n, 2**32 - 1)[at]))
         stat = {"of": [int((n == k).sum()) for k in (1, 2, 3, 4)], "sum": int(n.sum()), "types": len(n)}
         if width:
             cut = np.flatnonzero(np.r_[True, ctx[1:, -1] != ctx[:-1, -1]]) if len(ctx) else np.zeros(0, np.int64)
@@ -238,7 +249,7 @@ def merged(rows: DataFrame, order: int, uri: str, name: str, parts: int, hot: li
                 c, sums = c[~shared], [x[~shared] for x in sums]
             save(uri, f"{name}c-{part}-key", c)
             for f, x in zip(("sum", "one", "two", "more"), sums):
-                save(uri, f"{name}c-{part}-{f}", x.astype(np.uint64 if f == "sum" else np.uint32))
+                save(uri, f"{name}c-{part}-{f}", narrow(x))
         elif not pass_on:
             top = np.argsort(-n, kind="stable")[:64]
             stat["top"] = [[int(word[k]), int(n[k])] for k in top]
@@ -299,7 +310,11 @@ def train(docs: DataFrame, order: int = ORDER) -> dict:
         model[f"of{k}"] = stat["of"] + [stat["types"]]
         if k == 2:
             model["hot"] = stat["hot"]
+        if k < order:
+            drop(f"{uri}/rows-o{k + 1}")  # its blocks are in this order's arrays now
         rows = rows.where("kind = 'block'")
+    drop(f"{uri}/rows-o1")
+    drop(f"{uri}/rows-raw")
     model["hot_tokens"] = hot
     return model
 

@@ -11,6 +11,7 @@ from collections import Counter, defaultdict
 
 import duckdb
 import numpy as np
+import pyarrow.fs as pafs
 import pytest
 import xxhash
 import zstandard
@@ -184,6 +185,14 @@ def test_language_model_beats_base(documents, none):
     assert kneser_ney.perplexity(none).count() == 0
 
 
+def test_production_order_scores_better_and_leaves_no_blocks(documents):
+    score = lambda order: kneser_ney.perplexity(documents, **order).where("held_out").agg(F.sum("score")).first()[0]
+    assert kneser_ney.ORDER >= 3 and score({}) > score({"order": 2})
+    model = kneser_ney.train(documents.select("text"))
+    fs, at = kneser_ney.store(model["uri"])
+    assert not [f.path for f in fs.get_file_info(pafs.FileSelector(at)) if "/rows-" in f.path]
+
+
 def test_model_sums_to_one(spark, documents):
     model = kneser_ney.train(documents.where("doc_id < 20").select("text"))
     words = sorted({w for _, t in texts(documents.where("doc_id < 20")) for w in t.encode().lower().split()})
