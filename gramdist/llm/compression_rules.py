@@ -23,11 +23,15 @@ from pyspark.sql import functions as F
 from .common import batch, map_batches, table
 
 SYMBOLS = "#*$%&|<>"
-# Bands (bytes below which they hold, least ratio, most ratio), set wide of what prose in any language shows.
-DOCUMENT_BANDS = ((256, 0.50, 1.30), (1024, 0.46, 0.95), (4096, 0.42, 0.80), (16384, 0.395, 0.72), (65536, 0.37, 0.70), (1 << 62, 0.35, 0.70))
+# Least ratios (bytes below which they hold), set wide of what prose in any language shows.
+LEAST = ((256, 0.50), (1024, 0.46), (4096, 0.42), (16384, 0.395), (65536, 0.37), (1 << 62, 0.35))
+# Most ratios at byte sizes, straight in the logarithm between: above texts of good label cut to that size (400 of
+# sf0.1), below random base64 from 128 bytes, random small letters from 1024 and random hex from 2048 (in words of 8).
+MOST_AT = (64, 128, 256, 512, 768, 1024, 1536, 2048, 3072, 4096, 8192, 16384)
+MOST = (1.30, 0.985, 0.80, 0.72, 0.655, 0.61, 0.56, 0.527, 0.511, 0.505, 0.50, 0.49)
 CHUNK = 4096
-CHUNK_BAND = (0.38, 0.75)
-BAD_CHUNKS = 0.5  # a document fails when more than this share of its whole chunks is outside
+CHUNK_LEAST = 0.38
+BAD_CHUNKS = 0.1  # a document fails when more than this share of its chunks is outside
 LEVEL = 3
 
 
@@ -53,20 +57,23 @@ def base_measures(text: str) -> tuple[int, int, int, int, int]:
     return len(words), len(text) - blanks, sum(map(text.count, SYMBOLS)), len(lines) - len(set(lines)), repeated_words(words)
 
 
+def fits(size: int, ratio: float, least: float | None = None) -> bool:
+    """The ratio lies in the band for its bytes; under 64 bytes the frame outweighs the text, so nothing is too much."""
+    low = next(lo for below, lo in LEAST if size < below) if least is None else least
+    return low <= ratio and (size < MOST_AT[0] or ratio <= np.interp(np.log(size), np.log(MOST_AT), MOST))
+
+
 def compression_measures(raw: bytes, squeeze: zstandard.ZstdCompressor, chunk: int = CHUNK) -> tuple[float | None, int, int]:
-    """Ratio of the whole, whole chunks, chunks outside the band."""
+    """Ratio of the whole, chunks (the last may be short), chunks outside the band for their length."""
     if not raw:
         return None, 0, 0
     whole = len(squeeze.compress(raw)) / len(raw)
-    parts = [len(squeeze.compress(raw[k : k + chunk])) / chunk for k in range(0, len(raw) - chunk + 1, chunk)]
-    return whole, len(parts), sum(not CHUNK_BAND[0] <= x <= CHUNK_BAND[1] for x in parts)
+    parts = [raw[k : k + chunk] for k in range(0, len(raw), chunk)]
+    return whole, len(parts), sum(not fits(len(x), len(squeeze.compress(x)) / len(x), CHUNK_LEAST if len(x) == CHUNK else None) for x in parts)
 
 
 def in_bands(size: int, ratio: float | None, chunks: int, bad: int) -> bool:
-    if ratio is None:
-        return False
-    low, high = next((lo, hi) for below, lo, hi in DOCUMENT_BANDS if size < below)
-    return low <= ratio <= high and bad <= BAD_CHUNKS * chunks
+    return ratio is not None and fits(size, ratio) and bad <= BAD_CHUNKS * chunks
 
 
 SCHEMA = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, kept boolean, ratio double, n_chunks long, n_bad_chunks long"

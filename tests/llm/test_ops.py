@@ -286,6 +286,23 @@ def test_bands_keep_good_and_drop_bad(spark, sf):
     assert got.where("kept").count() >= 0.99 * got.count()
 
 
+def test_bands_drop_random_letters(spark, sf):
+    """Random letters at every size where texts and noise differ, and a text with noise in its second half or tail."""
+    rng = np.random.default_rng(4)
+    kinds = {128: "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", 1024: "abcdefghijklmnopqrstuvwxyz", 2048: "0123456789abcdef"}
+
+    def noise(letters, n):
+        s = "".join(letters[k] for k in rng.integers(0, len(letters), n))
+        return " ".join(s[k : k + 8] for k in range(0, n, 8))[:n]
+
+    rows = [noise(x, n) for least, x in kinds.items() for n in (200, 600, 1000, 3000, 12_000, 40_000) if n >= least]
+    long = max((r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect() if r.text), key=len)
+    assert len(long) > 5000
+    rows += [long[: len(long) // 2] + " " + noise(kinds[128], len(long) // 2), long[:4096] + " " + noise(kinds[128], 3000)]
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    assert [r.doc_id for r in compression_rules.judge(df).where("kept").collect()] == []
+
+
 # --- classifiers ---------------------------------------------------------------------------------------------------------
 
 
