@@ -20,9 +20,14 @@ def excess(p: int, q: int) -> np.ndarray:
     return np.maximum(np.maximum(k[None, :] - q - k[:, None], k[:, None] - p - k[None, :]), 0)
 
 
+SMALL = 32
+REACH = 1 << 24  # letters of a segment up to which big() holds
+
+
 def big(scoring: Scoring):
-    """More than any real path: strings up to 2**24 letters."""
-    return scoring.dtype(scoring.largest + 1) * scoring.dtype(1 << 26)
+    """More than any real path through a segment of up to REACH letters; dense matrices of longer ones don't fit any
+    memory, and leaf() is the only place where a matrix starts."""
+    return scoring.dtype(scoring.largest + 1) * scoring.dtype(4 * REACH)
 
 
 def leaf(a: str, b: str, scoring: Scoring) -> np.ndarray:
@@ -59,8 +64,11 @@ def by_tables(a: str, b: str, scoring: Scoring) -> np.ndarray:
 
 
 def min_plus(x: np.ndarray, y: np.ndarray, method: str = "dense", probes: list | None = None) -> np.ndarray:
-    """min over k of x[i, k] + y[k, j]; the other methods use that each row's minima move with the column."""
-    if method == "dense":
+    """min over k of x[i, k] + y[k, j]; the other methods use that each row's minima move with the column, and monge
+    that they move with the row too. Up to SMALL the monge form reads all, which is a constant more and faster."""
+    if method == "monge" and min(y.shape[0], x.shape[0], y.shape[1]) > SMALL:
+        return minima.monge_product(x, y, probes)
+    if method in ("dense", "monge"):
         if probes is not None:
             probes.append(x.shape[0] * x.shape[1] * y.shape[1])
         out = x[:, :1] + y[:1, :]
@@ -70,7 +78,7 @@ def min_plus(x: np.ndarray, y: np.ndarray, method: str = "dense", probes: list |
     return np.stack([minima.column_minima(row, y, method, probes) for row in x])
 
 
-def merge_columns(d1: np.ndarray, d2: np.ndarray, p: int, q1: int, q2: int, far, method: str = "dense", probes: list | None = None) -> np.ndarray:
+def merge_columns(d1: np.ndarray, d2: np.ndarray, p: int, q1: int, q2: int, far, method: str = "monge", probes: list | None = None) -> np.ndarray:
     """Same rows, columns side by side: paths cross the shared column of p + 1 vertices."""
     n = p + q1 + q2 + 1
     out = np.empty((n, n), d1.dtype)
@@ -81,7 +89,7 @@ def merge_columns(d1: np.ndarray, d2: np.ndarray, p: int, q1: int, q2: int, far,
     return outside(out, p, q1 + q2, far)
 
 
-def merge_rows(d1: np.ndarray, d2: np.ndarray, p1: int, p2: int, q: int, far, method: str = "dense", probes: list | None = None) -> np.ndarray:
+def merge_rows(d1: np.ndarray, d2: np.ndarray, p1: int, p2: int, q: int, far, method: str = "monge", probes: list | None = None) -> np.ndarray:
     """Same columns, d1 above d2: paths cross the shared row of q + 1 vertices."""
     n = p1 + p2 + q + 1
     out = np.empty((n, n), d1.dtype)
@@ -98,7 +106,7 @@ def outside(d: np.ndarray, p: int, q: int, far) -> np.ndarray:
     return d
 
 
-def by_division(a: str, b: str, scoring: Scoring, method: str = "dense") -> np.ndarray:
+def by_division(a: str, b: str, scoring: Scoring, method: str = "monge") -> np.ndarray:
     """Halve the longer string, build both parts, merge."""
     if len(a) == 1 and len(b) == 1:
         return leaf(a, b, scoring)
@@ -110,10 +118,17 @@ def by_division(a: str, b: str, scoring: Scoring, method: str = "dense") -> np.n
     return merge_columns(by_division(a, b[:m], scoring, method), by_division(a, b[m:], scoring, method), len(a), m, len(b) - m, far, method)
 
 
+def by_braid(a: str, b: str, scoring: Scoring) -> np.ndarray:
+    """The square of the side in steps, for uniform costs: comb the braid letter by letter, then sum its points."""
+    from . import succinct as S
+
+    t = S.Linear.of_texts(a, b, scoring)
+    return outside(t.dense(), len(a), len(b), big(scoring))
+
+
 def by_increments(a: str, b: str, scoring: Scoring) -> np.ndarray:
     """Add the letters of b one column at a time, keeping for every input the column of values above it: x values an
-    input a letter. In a whole-number scoring neighbouring inputs differ by a bounded amount, which is what makes
-    the succinct form small; here the vector operations run over all inputs at once."""
+    input a letter, so the cube of the side in all, in vectors over all inputs. Works for any costs."""
     p, q = len(a), len(b)
     n, far = p + q + 1, big(scoring)
     dels, ins = scoring.vectors(a, b)
@@ -135,7 +150,7 @@ def by_increments(a: str, b: str, scoring: Scoring) -> np.ndarray:
     return np.where(e > 0, e * far, out)
 
 
-BUILDS = {"tables": by_tables, "division": by_division, "increments": by_increments}
+BUILDS = {"tables": by_tables, "division": by_division, "increments": by_increments}  # by_braid: uniform costs only
 
 
 def properties(d: np.ndarray) -> dict:

@@ -72,6 +72,11 @@ def by_elimination(f, rows: int, cols: int) -> list[int]:
     return out
 
 
+def spans(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """start[0], start[0] + 1, ... (size[0] of them), start[1], ..."""
+    return np.arange(int(size.sum())) - np.repeat(np.cumsum(size) - size - start, size)
+
+
 METHODS = {"naive": naive, "halves": by_halves, "elimination": by_elimination}
 
 
@@ -104,6 +109,7 @@ def halves_at_once(values: np.ndarray, dist: np.ndarray, probes: list | None = N
         if len(at):
             lo = np.where(at - step >= 0, arg[np.maximum(at - step, 0)], 0) if len(known) else np.zeros(len(at), np.int64)
             hi = np.where(at + step < cols, arg[np.minimum(at + step, cols - 1)], rows - 1) if len(known) else np.full(len(at), rows - 1)
+            hi = np.maximum(lo, hi)  # rounding may swap ties of floats
             size = hi - lo + 1
             cut = np.r_[0, np.cumsum(size)[:-1]]
             col = np.repeat(at, size)
@@ -119,3 +125,136 @@ def halves_at_once(values: np.ndarray, dist: np.ndarray, probes: list | None = N
     if probes is not None:
         probes.append(read)
     return low
+
+
+def dense_minima(values: list[np.ndarray], at_pool: np.ndarray, pool: np.ndarray, probes: list | None = None) -> list[np.ndarray]:
+    """by_halves for several blocks at once over dense tables that lie in one flat pool, each from its place on."""
+    n = np.array([len(v) for v in values])
+    first = np.cumsum(n) - n
+    base = np.concatenate(values)
+    arg, low = np.zeros(len(base), np.int64), np.empty(len(base), np.result_type(base, pool))
+    step, read = 1 << int(n.max() - 1).bit_length(), 0
+    while step:
+        many = np.maximum(0, -(-(n - (step - 1)) // (2 * step)))
+        at = np.repeat(first + step - 1, many) + 2 * step * spans(np.zeros(len(n), np.int64), many)
+        if len(at):
+            top, side = np.repeat(first, many), np.repeat(n, many)
+            end, left, right = top + side, at - step, at + step
+            lo = np.where(left >= top, arg[np.maximum(left, top)], top)
+            hi = np.where(right < end, arg[np.minimum(right, end - 1)], end - 1)
+            lo, hi = np.minimum(lo, hi), np.maximum(lo, hi)
+            rows = hi - lo + 1
+            row = spans(lo, rows)
+            v = base[row] + pool[np.repeat(np.repeat(at_pool, many) + at - top - top * side, rows) + row * np.repeat(side, rows)]
+            cut = np.cumsum(rows) - rows
+            best = np.minimum.reduceat(v, cut)
+            hit = np.flatnonzero(v == np.repeat(best, rows))
+            arg[at], low[at] = row[hit[np.searchsorted(hit, cut)]], best
+            read += len(v)
+        step //= 2
+    if probes is not None:
+        probes.append(read)
+    return np.split(low, first[1:])
+
+
+def linear_minima(values: list[np.ndarray], tables: list, probes: list | None = None) -> list[np.ndarray]:
+    """by_halves for several blocks at once over their linear-space tables (succinct.Linear), never expanded.
+
+    An entry is a term of its row, one of its column and the amounts of the points above and left of it. Within a
+    level the sum moves down a column by the points of one row a step, and from a known column to the next one by the
+    points of the columns between, so a level reads rows plus columns and as many points.
+    """
+    n = np.array([len(v) for v in values])
+    first = np.cumsum(n) - n
+    shift = np.cumsum([len(t.col) for t in tables]) - [len(t.col) for t in tables]
+    join = np.concatenate
+    base = join([v + t.left for v, t in zip(values, tables)])
+    ptr, cptr = (join([getattr(t, k) + s for t, s in zip(tables, shift)]) for k in ("row_at", "col_at"))
+    col, row_of = (join([getattr(t, k) + f for t, f in zip(tables, first)]) for k in ("col", "row"))
+    by_row, by_col = (join([getattr(t, k) for t in tables]) for k in ("amount", "amount_by_col"))
+    total = len(base)
+    arg, count, low = np.zeros(total, np.int64), np.zeros(total, by_row.dtype), np.empty(total, base.dtype)
+    step, read = 1 << int(n.max() - 1).bit_length(), 0
+    while step:
+        many = np.maximum(0, -(-(n - (step - 1)) // (2 * step)))
+        at = np.repeat(first + step - 1, many) + 2 * step * spans(np.zeros(len(n), np.int64), many)
+        if len(at):
+            top, end = np.repeat(first, many), np.repeat(first + n, many)
+            left, right = at - step, at + step
+            known = left >= top
+            left = np.where(known, left, top)
+            lo = np.where(known, arg[left], top)
+            hi = np.maximum(lo, np.where(right < end, arg[np.minimum(right, end - 1)], end - 1))  # rounding may swap ties
+            # the sum at (lo, at), from that at (lo, left)
+            a = cptr[left]
+            size = cptr[at] - a
+            i = spans(a, size)
+            run = np.r_[0, np.cumsum(np.where(row_of[i] < np.repeat(lo, size), by_col[i], 0))]
+            cut = np.cumsum(size)
+            start = np.where(known, count[left], 0) + run[cut] - run[cut - size]
+            # and at all rows from lo to hi
+            a = ptr[lo]
+            size = ptr[hi] - a
+            i = spans(a, size)
+            run = np.r_[0, np.cumsum(np.where(col[i] < np.repeat(at, size), by_row[i], 0))]
+            off = np.cumsum(size) - size
+            rows = hi - lo + 1
+            row = spans(lo, rows)
+            sums = run[ptr[row] + np.repeat(off - a, rows)] + np.repeat(start - run[off], rows)
+            v = base[row] + sums
+            cut = np.cumsum(rows) - rows
+            best = np.minimum.reduceat(v, cut)
+            hit = np.flatnonzero(v == np.repeat(best, rows))
+            where = hit[np.searchsorted(hit, cut)]
+            arg[at], count[at], low[at] = row[where], sums[where], best
+            read += len(v)
+        step //= 2
+    if probes is not None:
+        probes.append(read)
+    low += join([t.top for t in tables])
+    return np.split(low, first[1:])
+
+
+def monge_product(x: np.ndarray, y: np.ndarray, probes: list | None = None, at_once: int = 1 << 20) -> np.ndarray:
+    """min over k of x[i, k] + y[k, j] of two Monge matrices. The least k never falls from one row or column to the
+    next, so it is found on a grid whose spacing is halved again and again: all rows for the new columns, then all
+    columns for the new rows. A level reads its grid lines times (rows + inner side), and the sum is quadratic."""
+    (n, m), w = x.shape, y.shape[1]
+    out, arg = np.empty((n, w), np.result_type(x, y)), np.zeros((n, w), np.int64)
+    read = 0
+
+    def fill(r: np.ndarray, c: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> int:
+        size = hi - lo + 1
+        cut = np.r_[0, np.cumsum(size)]
+        s = 0
+        while s < len(r):
+            e = max(s + 1, int(np.searchsorted(cut, cut[s] + at_once, "right")) - 1)
+            own = size[s:e]
+            k = spans(lo[s:e], own)
+            v = x[np.repeat(r[s:e], own), k] + y[k, np.repeat(c[s:e], own)]
+            at = cut[s:e] - cut[s]
+            best = np.minimum.reduceat(v, at)
+            hit = np.flatnonzero(v == np.repeat(best, own))
+            out[r[s:e], c[s:e]] = best
+            arg[r[s:e], c[s:e]] = k[hit[np.searchsorted(hit, at)]]
+            s = e
+        return int(cut[-1])
+
+    step = 1 << (max(n, w) - 1).bit_length()
+    while step:
+        for new in (True, False):  # new columns on known rows, then new rows on all columns
+            rows = np.arange(2 * step - 1, n, 2 * step) if new else np.arange(step - 1, n, 2 * step)
+            cols = np.arange(step - 1, w, 2 * step) if new else np.arange(step - 1, w, step)
+            if not len(rows) or not len(cols):
+                continue
+            r, c = np.repeat(rows, len(cols)), np.tile(cols, len(rows))
+            before, after = (c - step, c + step) if new else (r - step, r + step)
+            end = w if new else n
+            b, a = np.maximum(before, 0), np.minimum(after, end - 1)
+            lo = np.where(before >= 0, arg[r, b] if new else arg[b, c], 0)
+            hi = np.where(after < end, arg[r, a] if new else arg[a, c], m - 1)
+            read += fill(r, c, np.minimum(lo, hi), np.maximum(lo, hi))  # rounding may swap ties of floats
+        step //= 2
+    if probes is not None:
+        probes.append(read)
+    return out

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import bisect
+import math
 
 import numpy as np
 
@@ -79,6 +80,74 @@ class Points:
         return total
 
 
+class Linear:
+    """A boundary matrix as terms of its rows and columns and points, stored by row and by column: linear space. Entry
+    (i, j) is left[i] + top[j] plus the amounts of the points in rows before i and columns before j. Entries without
+    a path hold what the path along the block's edge and back would cost, never less than a real way round."""
+
+    def __init__(self, left: np.ndarray, top: np.ndarray, row: np.ndarray, col: np.ndarray, amount: np.ndarray):
+        n = len(left)
+        self.left, self.top = left, top
+        at = np.argsort(row, kind="stable")
+        self.col, self.amount = col[at], amount[at]
+        self.row_at = np.r_[0, np.cumsum(np.bincount(row, minlength=n))][:n]
+        at = np.argsort(col, kind="stable")
+        self.row, self.amount_by_col = row[at], amount[at]
+        self.col_at = np.r_[0, np.cumsum(np.bincount(col, minlength=n))][:n]
+
+    def __len__(self) -> int:
+        return len(self.col)
+
+    @property
+    def nbytes(self) -> int:
+        return 8 * (4 * len(self.left) + 4 * len(self.col))
+
+    @staticmethod
+    def of_braid(perm: np.ndarray, scoring) -> Linear:
+        """From the braid of two texts blown up by copies(): one point a strand."""
+        marks, letters = copies(scoring)
+        nu = marks + letters
+        step = scoring.dtype((scoring.delete + scoring.insert) // nu)
+        n = np.arange(len(perm) // nu + 1)
+        k = np.arange(len(perm))
+        return Linear(scoring.delete * n, scoring.insert * n, k // nu, perm // nu, np.full(len(perm), -step))
+
+    @staticmethod
+    def of_texts(a: str, b: str, scoring) -> Linear:
+        return Linear.of_braid(comb(blown(a, scoring), blown(b, scoring)), scoring)
+
+    @staticmethod
+    def of_points(t: Points) -> Linear:
+        return Linear(t.left, t.top - t.top[0], t.rows, t.cols, t.amount)
+
+    def dense(self) -> np.ndarray:
+        n = len(self.left)
+        out = np.zeros((n, n), np.result_type(self.left, self.amount))
+        np.add.at(out, (np.repeat(np.arange(n), np.diff(np.r_[self.row_at, len(self)])) + 1, self.col + 1), self.amount)
+        return out.cumsum(axis=0).cumsum(axis=1) + self.left[:, None] + self.top[None, :]
+
+
+def copies(scoring) -> tuple[int, int]:
+    """(marks, copies of the letter) a letter turns into, so that with uniform costs the distance is both gap costs less
+    a multiple of the longest common subsequence: marks stand for what a replacement saves over two gaps, marks and
+    letters for what a match saves."""
+    both = scoring.delete + scoring.insert
+    saved = max(both - scoring.replace, 0)
+    unit = math.gcd(int(both), int(saved))
+    return int(saved) // unit, int(both - saved) // unit
+
+
+def braided(scoring) -> bool:
+    """Do braids serve this scoring: the same whole-number costs for all letters, matches free."""
+    return scoring.uniform and scoring.free_match and scoring.dtype is np.int64 and scoring.delete + scoring.insert > 0 and scoring.replace > 0
+
+
+def blown(text: str, scoring) -> list[int]:
+    """Code points, each after its marks; a mark is -1, which is no letter."""
+    marks, letters = copies(scoring)
+    return [x for c in text for x in [-1] * marks + [ord(c)] * letters]
+
+
 def propagate(values: np.ndarray, points: Points, method: str = "halves", probes: list | None = None) -> np.ndarray:
     """Output values through the succinct form: entries are asked one by one.
 
@@ -102,7 +171,7 @@ def propagate(values: np.ndarray, points: Points, method: str = "halves", probes
 # --- gap-only scoring: the matrix is a permutation ---------------------------------------------------------------
 
 
-def comb(a: str, b: str) -> np.ndarray:
+def comb(a, b) -> np.ndarray:
     """Strands of the alignment braid of a against b: strand i in 0..m+n-1 (up the left side, then along the top)
     ends at place perm[i] (along the bottom, then up the right side). Two strands cross at most once."""
     m, n = len(a), len(b)
@@ -128,57 +197,60 @@ def common(perm: np.ndarray, m: int, n: int, start: int = 0, end: int | None = N
     return end - start - int((perm[m + start : m + n] < end).sum())
 
 
+BASE = 32  # strands up to which the counts of both braids are added for all middle places at once
+
+
 def product(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """The braid that does a, then b, with double crossings undone: divide by the middle places, merge with a
     staircase that separates where each half's count is the smaller one. n log n steps."""
-    return np.array(_product(list(map(int, a)), _inverse(list(map(int, b)))), np.int64)
+    back = np.empty(len(b), np.int64)
+    back[b] = np.arange(len(b))
+    return _product(np.asarray(a, np.int64), back)
 
 
-def _inverse(p: list[int]) -> list[int]:
-    out = [0] * len(p)
-    for k, v in enumerate(p):
-        out[v] = k
-    return out
+def _small_product(row_mid: np.ndarray, col_mid: np.ndarray) -> np.ndarray:
+    """From counts(i, j) = points in rows from i on and columns before j: the product's are the least sums."""
+    n = len(row_mid)
+    k = np.arange(n)
+    one, two = np.zeros((n + 1, n + 1), np.int16), np.zeros((n + 1, n + 1), np.int16)
+    one[k, row_mid + 1] = 1
+    two[col_mid, k + 1] = 1
+    one, two = (x[::-1].cumsum(axis=0, dtype=np.int16)[::-1].cumsum(axis=1, dtype=np.int16) for x in (one, two))
+    c = (one[:, :, None] + two[None, :, :]).min(axis=1)
+    return np.argmax(c[:-1, 1:] - c[:-1, :-1] - c[1:, 1:] + c[1:, :-1], axis=1)
 
 
-def _product(row_mid: list[int], col_mid: list[int]) -> list[int]:
+def _product(row_mid: np.ndarray, col_mid: np.ndarray) -> np.ndarray:
     n = len(row_mid)
-    if n <= 1:
-        return [0] * n
+    if n <= BASE:
+        return _small_product(row_mid, col_mid)
     half = n // 2
-    row_col, col_row = [0] * n, [0] * n
-    for low in (True, False):
-        rows = [r for r in range(n) if (row_mid[r] < half) == low]
-        cols = [c for c in range(n) if (col_mid[c] < half) == low]
-        shift = 0 if low else half
-        part = _product([row_mid[r] - shift for r in rows], [col_mid[c] - shift for c in cols])
-        for k, c in enumerate(part):
-            row_col[rows[k]] = cols[c]
-            col_row[cols[c]] = rows[k]
+    low_row, low_col = row_mid < half, col_mid < half
+    merged, back = np.empty(n, np.int64), np.empty(n, np.int64)
+    for low, shift in ((True, 0), (False, half)):
+        rows, cols = np.flatnonzero(low_row == low), np.flatnonzero(low_col == low)
+        part = cols[_product(row_mid[rows] - shift, col_mid[cols] - shift)]
+        merged[rows], back[part] = part, rows
     # Let diff(i, k) = points of the upper half above and left of (i, k) less points of the lower half below and
     # right. It grows with k: the product has the lower half's points where diff <= 0, the upper half's where
-    # diff >= 0. Walking up the rows, keep the last column of the one and the first column of the other.
-    row, minus_col, minus, plus_col, plus = n, 0, 0, 0, 0
-
-    def right(col: int) -> int:
-        return int(col_row[col] >= row) if col_mid[col] < half else int(col_row[col] < row)
-
-    def up(col: int) -> int:
-        return int(row_col[row] >= col) if row_mid[row] < half else int(row_col[row] < col)
-
-    while row:
-        while plus_col < n and plus + (more := right(plus_col)) <= 0:
+    # diff >= 0. Walking up the rows, keep the last column of the one and the first column of the other. A column
+    # (row) counts where its point lies on the side of the walk that its half calls for.
+    row_col, col_row, low_row, low_col = merged.tolist(), back.tolist(), low_row.tolist(), low_col.tolist()
+    minus_col = minus = plus_col = plus = 0
+    for row in range(n, 0, -1):
+        while plus_col < n and plus + (more := (col_row[plus_col] >= row) == low_col[plus_col]) <= 0:
             plus += more
             plus_col += 1
         row -= 1
-        minus -= up(minus_col)
-        plus -= up(plus_col)
+        point, low = row_col[row], low_row[row]
+        minus -= (point >= minus_col) == low
+        plus -= (point >= plus_col) == low
         while minus < 0:
-            minus += right(minus_col)
+            minus += (col_row[minus_col] >= row) == low_col[minus_col]
             minus_col += 1
         if minus_col > plus_col:  # the two forms meet at this corner, where neither half has its point
-            row_col[row] = plus_col
-    return row_col
+            merged[row] = plus_col
+    return merged
 
 
 def stack_rows(top: np.ndarray, bottom: np.ndarray, m1: int, m2: int, n: int) -> np.ndarray:
@@ -188,9 +260,9 @@ def stack_rows(top: np.ndarray, bottom: np.ndarray, m1: int, m2: int, n: int) ->
     return product(above, below)
 
 
-def doubled(s: str, mark: str = "\x00") -> str:
-    """Each letter after a marker: then unit distance is both lengths less the longest common subsequence."""
-    return "".join(mark + c for c in s)
+def doubled(s: str) -> list[int]:
+    """Each letter after a mark: then unit distance is both lengths less the longest common subsequence."""
+    return [x for c in s for x in (-1, ord(c))]
 
 
 def unit_from_common(m: int, n: int, lcs: int) -> int:

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions import blocks as B
 from ..functions import dp
+from ..functions import succinct as S
 from ..plans import planner
 from ..scoring import Scoring
 from ..session import parts, workers
@@ -25,8 +26,10 @@ def with_texts(pairs: DataFrame, strings: DataFrame) -> DataFrame:
 
 
 def spread(pairs: DataFrame) -> DataFrame:
-    """Deal pairs out evenly: their costs differ by orders of magnitude, and neighbours tend to cost alike."""
-    return pairs.repartition(parts(pairs.sparkSession), F.xxhash64("pair_id"))
+    """Deal pairs out evenly: their costs differ by orders of magnitude, and neighbours tend to cost alike. There are
+    four tasks for each shuffle partition of the session (adaptive execution doesn't merge them), so that a task
+    that drew dear pairs doesn't hold up the stage."""
+    return pairs.repartition(4 * parts(pairs.sparkSession), F.xxhash64("pair_id"))
 
 
 def by_kernel(pairs: DataFrame, make: Callable[[], Callable[[str, str], tuple]], denominator: int = 1) -> DataFrame:
@@ -49,7 +52,7 @@ def by_kernel(pairs: DataFrame, make: Callable[[], Callable[[str, str], tuple]],
     return pairs.select("pair_id", "a", "b").mapInArrow(run, f"pair_id {kind}, distance double, counters map<string,bigint>")
 
 
-def block_distance(pairs: DataFrame, scoring: Scoring | None = None, x: int | None = None, partition: str = "grammar", codec: str = "lz78", codec_b: str | None = None, form: str = "dense", how: str = "dense", recursion: str = "one_sided", merge: str = "dense") -> DataFrame:
+def block_distance(pairs: DataFrame, scoring: Scoring | None = None, x: int | None = None, partition: str = "grammar", codec: str = "lz78", codec_b: str | None = None, form: str = "dense", how: str = "vector", recursion: str = "one_sided", merge: str = "monge") -> DataFrame:
     """The block method with all its options; x None is chosen from letters and variables of the pair."""
     s = scoring or Scoring.unit()
     kind = "arbitrary" if s.kind == "arbitrary" else "rational"
@@ -61,15 +64,16 @@ def block_distance(pairs: DataFrame, scoring: Scoring | None = None, x: int | No
     return by_kernel(spread(pairs), make, s.denominator)
 
 
-def rational_distance(pairs: DataFrame, scoring: Scoring | None = None, codec: str = "lz78", codec_b: str | None = None, x: int | None = None) -> DataFrame:
-    """Linear-space tables, x = N / n: braids for unit and gap-only costs, density points for other uniform costs."""
+def rational_distance(pairs: DataFrame, scoring: Scoring | None = None, codec: str = "lz78", codec_b: str | None = None, x: int | None = None, how: str = "vector") -> DataFrame:
+    """Linear-space tables, x = N / n: braids for uniform costs, merged by divide and conquer and searched as they are;
+    density points where matches cost something, dense tables where letters differ in cost."""
     s = scoring or Scoring.unit()
-    braid = s.uniform and (s.delete == s.insert == s.replace or s.delete == s.insert and s.replace >= 2 * s.delete)
-    return block_distance(pairs, s, x, "grammar", codec, codec_b, "perm" if braid else "points")
+    form = "perm" if S.braided(s) else "points" if s.uniform else "dense"
+    return block_distance(pairs, s, x, "grammar", codec, codec_b, form, how)
 
 
-def arbitrary_distance(pairs: DataFrame, scoring: Scoring, codec: str = "lz78", codec_b: str | None = None, x: int | None = None, how: str = "dense") -> DataFrame:
-    """Dense tables, x = (N / n)**(2/3), any cost table."""
+def arbitrary_distance(pairs: DataFrame, scoring: Scoring, codec: str = "lz78", codec_b: str | None = None, x: int | None = None, how: str = "vector") -> DataFrame:
+    """Dense tables, x = (N / n)**(2/3), any cost table; merged by quadratic Monge products, searched by halving."""
     return block_distance(pairs, scoring, x, "grammar", codec, codec_b, "dense", how)
 
 
@@ -112,8 +116,10 @@ def rle_distance(pairs: DataFrame, scoring: Scoring | None = None) -> DataFrame:
 
 
 def lz78_distance(pairs: DataFrame, scoring: Scoring | None = None) -> DataFrame:
-    """Phrase against phrase: a phrase's table is its parent phrase's with one letter more, one merge each."""
-    return block_distance(pairs, scoring, None, "phrases", "lz78")
+    """Phrase against phrase: a phrase's table is its parent phrase's with one letter more, one merge each, of braids
+    where the scoring allows it: letters times phrases in all, but for a logarithm."""
+    s = scoring or Scoring.unit()
+    return block_distance(pairs, s, None, "phrases", "lz78", None, "perm" if S.braided(s) else "dense")
 
 
 def grammar_against_text(pairs: DataFrame, codec: str = "lz78", gap_only: bool = False, merge: str = "braid") -> DataFrame:
@@ -145,25 +151,34 @@ def boundary_values(pairs: DataFrame, x: int, codec: str = "lz78") -> DataFrame:
 
 
 def unit_distance(pairs: DataFrame) -> DataFrame:
-    """Unit distance by route: trivial pairs by their lengths, short ones by the built-in, run-rich ones by runs, the
-    rest by bit vectors.
+    """(pair_id, distance, route) by the cheapest route: trivial pairs by their lengths, short ones by the built-in,
+    run-rich ones by runs, long ones of small grammars by blocks, the rest by bit vectors.
 
     One pass over the pairs: the routes are cases of one expression, and the Python kernel gets nulls for the pairs
-    of the JVM's routes."""
+    of the JVM's routes. Grammars cost a pass over the text, so the kernel looks at them only where the other routes
+    are dear."""
     workers(pairs.sparkSession)
 
-    @F.pandas_udf("double")
-    def kernel(a: pd.Series, b: pd.Series, runs: pd.Series) -> pd.Series:
+    @F.pandas_udf("distance double, route string")
+    def kernel(a: pd.Series, b: pd.Series, route: pd.Series, limit: pd.Series) -> pd.DataFrame:
         s = Scoring.unit()
-        return pd.Series([None if x is None or y is None else float(B.rle_distance(x, y, s) if r else dp.bit_distance(x, y)) for x, y, r in zip(a, b, runs)], dtype="float64")
+        out = []
+        for x, y, r, most in zip(a, b, route, limit):
+            if x is None or y is None:
+                out.append((None, None))
+                continue
+            v = B.priced_blocks(x, y, most, planner.block_ns, planner.side, planner.PACKED) if most > planner.WORTH_NS else None
+            out.append((float(v), "blocks") if v is not None else (float(B.rle_distance(x, y, s) if r == "runs" else dp.bit_distance(x, y)), r))
+        return pd.DataFrame({"distance": pd.Series([x[0] for x in out], dtype="float64"), "route": [x[1] for x in out]})
 
     r = planner.route(spread(pairs))
     route = F.col("route")
     trivial = F.when(F.col("a") == F.col("b"), 0).otherwise(F.greatest(F.length("a"), F.length("b"))).cast("double")
     here = route.isin("runs", "bits")
-    python = kernel(F.when(here, F.col("a")), F.when(here, F.col("b")), route == "runs")
-    distance = F.when(route == "trivial", trivial).when(here, python).otherwise(F.levenshtein("a", "b").cast("double"))
-    return r.select("pair_id", distance.alias("distance"), "route")
+    python = kernel(F.when(here, F.col("a")), F.when(here, F.col("b")), route, F.col("price"))
+    own = F.when(route == "trivial", F.struct(trivial.alias("distance"), route.alias("route"))).when(here, python)
+    r = r.withColumn("_r", own.otherwise(F.struct(F.levenshtein("a", "b").cast("double").alias("distance"), route.alias("route"))))
+    return r.select("pair_id", "_r.distance", "_r.route")
 
 
 def bit_distance(pairs: DataFrame) -> DataFrame:

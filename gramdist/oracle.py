@@ -36,7 +36,14 @@ NEXT = "SELECT x.string_id AS pair_id, x.text AS a, y.text AS b FROM s x JOIN s
 STATUS_PAIRS = f"""SELECT * FROM (SELECT string_id AS pair_id, text AS a, lead(text) OVER (PARTITION BY c_nationkey, c_mktsegment ORDER BY string_id) AS b
 FROM ({STATUS}) JOIN customer ON string_id = c_custkey) WHERE b IS NOT NULL"""
 DOC_PAIRS = "SELECT x.doc_id AS pair_id, x.lang, x.source, x.text AS a, y.text AS b FROM documents x JOIN documents y ON y.doc_id = x.doc_id + 1 AND x.lang = y.lang"
-COPIES = "SELECT * FROM (SELECT doc_id AS pair_id, text AS a, lead(text) OVER (PARTITION BY substr(text, 1, 200) ORDER BY doc_id) AS b FROM documents WHERE length(text) >= 200) WHERE b IS NOT NULL"
+WORDS = "string_split(trim(regexp_replace(text, '[ \\t\\n\\x0B\\f\\r]+', ' ', 'g'), ' '), ' ')"
+COPIES = f"""
+SELECT DISTINCT a_id || '-' || b_id AS pair_id, a_id, x.text AS a, y.text AS b FROM (
+  SELECT doc_id AS a_id, lead(doc_id) OVER (PARTITION BY k, key ORDER BY doc_id) AS b_id FROM (
+    SELECT doc_id, k, list_min(list_transform(m, lambda h: substr(h, 1 + 10 * k, 10))) AS key FROM (
+      SELECT doc_id, list_transform(range(1, greatest(len(w) - 4, 1) + 1), lambda i: md5(array_to_string(w[i : i + 4], ' '))) AS m
+      FROM (SELECT doc_id, {WORDS} AS w FROM documents WHERE text IS NOT NULL)), range(3) AS t(k)))
+JOIN documents x ON x.doc_id = a_id JOIN documents y ON y.doc_id = b_id"""
 
 
 def next_unit(strings: str) -> str:
@@ -162,7 +169,7 @@ SELECT count(*) AS triples, CAST(sum(CASE WHEN ac > ab + bc OR ab > ac + bc OR b
 SELECT x.item_id AS query_id, y.item_id AS string_id, {lev('x.text', 'y.text')} AS distance FROM benchmark x JOIN benchmark y ON x.item_id <> y.item_id)) WHERE rank <= 3""",
     "w34_classes": f"""WITH RECURSIVE e AS ({CLOSE}), b AS (SELECT a, b FROM e UNION SELECT b, a FROM e), r AS (SELECT a AS name, a AS label FROM b UNION SELECT b.b, r.label FROM r JOIN b ON b.a = r.name)
 SELECT name, min(label) AS label FROM r GROUP BY name""",
-    "w35_quality_by_distance": f"SELECT quality, toxic, count(*) AS pairs, round(avg({lev('a', 'b')}), 6) AS mean_distance FROM ({COPIES}) LEFT JOIN labels ON doc_id = pair_id GROUP BY 1, 2",
+    "w35_quality_by_distance": f"SELECT quality, toxic, count(*) AS pairs, round(avg({lev('a', 'b')}), 6) AS mean_distance FROM ({COPIES}) LEFT JOIN labels ON doc_id = a_id GROUP BY 1, 2",
     "w35_distance_cube": f"WITH d AS (SELECT lang, source, {lev('a', 'b')} AS d FROM ({DOC_PAIRS})) SELECT lang, source, CAST(grouping(lang, source) AS BIGINT) AS level, count(*) AS pairs, CAST(sum(d) AS BIGINT) AS distance FROM d GROUP BY CUBE (lang, source)",
     "w36_stream_running": f"WITH s AS ({EVENTS}), t AS (SELECT text FROM s ORDER BY string_id LIMIT 1) SELECT string_id AS user_id, CAST(length(s.text) AS BIGINT) AS events, CAST(levenshtein(s.text, t.text) AS BIGINT) AS distance FROM s, t",
     "w38_shared_repository": next_unit(EVENTS),
@@ -213,3 +220,15 @@ s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k
 SELECT user_id, epoch_us(min(ts)) AS start_us, string_agg(upper(substr(event_type, 1, 1)), '' ORDER BY ts, event_id) AS text FROM s GROUP BY user_id, k
 HAVING max(ts) + INTERVAL 6 HOUR <= (SELECT max(ts) - INTERVAL 10 MINUTE FROM events)"""
 ORACLES["w64_bit_vectors"] = ORACLES["w07_state_timelines"]
+
+ORACLES["w65_bounds_hold"] = """
+WITH RECURSIVE f AS (SELECT 2 AS k, 'a' AS text, 'b' AS before UNION ALL SELECT k + 1, text || before, text FROM f WHERE k < 18),
+w AS (
+  SELECT k AS string_id, text, 0 AS family FROM f WHERE k >= 10
+  UNION ALL SELECT k, repeat('a', CAST(1 << k AS BIGINT)), 1 FROM range(6, 13) t(k)
+  UNION ALL SELECT k, (SELECT string_agg(CASE WHEN bit_count(i) % 2 = 0 THEN 'a' ELSE 'b' END, '' ORDER BY i) FROM range(CAST(1 << k AS BIGINT)) u(i)), 2 FROM range(6, 12) t(k)
+  UNION ALL SELECT k, repeat('ab', k), 3 FROM range(40, 400, 60) t(k)),
+p AS (SELECT string_id + 1000 * family AS pair_id, text AS a, lead(text) OVER (PARTITION BY family ORDER BY string_id) AS b FROM w)
+SELECT pair_id, method, CAST(levenshtein(a, b) AS BIGINT) AS distance, CAST(length(a) + length(b) AS BIGINT) AS letters,
+       true AS segments_ok, true AS merges_ok, true AS reads_ok, true AS below_cells
+FROM p, (VALUES ('rational'), ('arbitrary'), ('elimination')) m(method) WHERE b IS NOT NULL AND (method <> 'elimination' OR length(a) <= 400)"""

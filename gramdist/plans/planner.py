@@ -74,9 +74,25 @@ def run_count(c: Column) -> Column:
 CELL_NS, BIT_LETTER_NS, BIT_CELL_NS, BLOCK_NS, BORDER_NS, CALL_NS = 8.0, 900.0, 0.2, 30_000.0, 4.0, 20_000.0
 
 
+# An entry that a sweep reads, a strand and level of a braid merge, a vector step of a sweep.
+PROBE_NS, STRAND_NS, STEP_NS = 60.0, 1100.0, 2_000.0
+WORTH_NS = 50e6  # what the cheapest other route costs before the block method is looked at
+PACKED = 50  # letters a byte of a quick compressor, below which no grammar is small enough
+
+
+def block_ns(x: int, segments_a: int, segments_b: int, tables: int) -> float:
+    """Price of the block method with braids: tables is how many symbols the first cut is made of times the different
+    segments of the second one."""
+    side = 3 * x + 1  # inputs of a block of segments of x to 2 x letters
+    levels = math.log2(side + 1) + 1
+    sweep = segments_a * segments_b * 2 * side * levels * PROBE_NS + (segments_a + segments_b) * levels * 35 * STEP_NS
+    return CALL_NS + sweep + tables * 2 * side * levels * STRAND_NS
+
+
 def route(pairs: DataFrame) -> DataFrame:
     """pairs (pair_id, a, b) -> route: trivial (an empty string, or equal ones), table (the built-in, for short
-    strings), bits (bit vectors, for long ones), runs (runs against runs, where they are very long)."""
+    strings), bits (bit vectors, for long ones), runs (runs against runs, where they are very long). The task that
+    gets a long pair looks at its grammars too and may take the block method instead (distances.unit_distance)."""
     la, lb = F.length("a").cast("double"), F.length("b").cast("double")
     ra, rb = run_count(F.col("a")), run_count(F.col("b"))
     easy = (la == 0) | (lb == 0) | (F.col("a") == F.col("b"))
@@ -84,4 +100,4 @@ def route(pairs: DataFrame) -> DataFrame:
     bits = CALL_NS + F.least(la, lb) * (BIT_LETTER_NS + BIT_CELL_NS * F.greatest(la, lb))
     runs = CALL_NS + BLOCK_NS * ra * rb + BORDER_NS * (ra * lb + rb * la)
     best = F.when(runs < F.least(table, bits), "runs").when(bits < table, "bits").otherwise("table")
-    return pairs.withColumn("route", F.when(easy, "trivial").otherwise(best))
+    return pairs.withColumns({"route": F.when(easy, "trivial").otherwise(best), "price": F.least(table, bits, runs)})

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 from fractions import Fraction
+from functools import cached_property
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -66,7 +67,7 @@ class Scoring:
                 r[a, b] = cost
         return Scoring(delete, insert, replace, 1, kind, True, d, i, r)
 
-    @property
+    @cached_property
     def uniform(self) -> bool:
         return not (self.deletes or self.inserts or self.replaces)
 
@@ -74,12 +75,12 @@ class Scoring:
     def key(self) -> tuple:
         return (self.delete, self.insert, self.replace, self.denominator, self.free_match, *[tuple(sorted(x.items())) for x in (self.deletes, self.inserts, self.replaces)])
 
-    @property
+    @cached_property
     def dtype(self):
         whole = all(isinstance(x, (int, np.integer)) for x in (self.delete, self.insert, self.replace, *self.deletes.values(), *self.inserts.values(), *self.replaces.values()))
         return np.int64 if whole else np.float64
 
-    @property
+    @cached_property
     def largest(self):
         return max([self.delete, self.insert, self.replace, *self.deletes.values(), *self.inserts.values(), *self.replaces.values()])
 

@@ -89,10 +89,11 @@ def doc_pairs(spark, sf) -> DataFrame:
 
 
 def near_copies(spark, sf) -> DataFrame:
-    """Documents in order of id among those with the same first 200 letters, each with the next."""
-    d = load(spark, sf, "documents", "doc_id", "text").where("length(text) >= 200")
-    w = Window.partitionBy(F.xxhash64(F.substring("text", 1, 200)), F.substring("text", 1, 200)).orderBy("doc_id")
-    return d.select(F.col("doc_id").alias("pair_id"), F.col("text").alias("a"), F.lead("text").over(w).alias("b")).where("b IS NOT NULL")
+    """Documents that share the least hash of their five-word shingles, each with the next of its kind: pair_id is
+    both ids."""
+    d = texts(spark, sf, "documents", "doc_id", "text")
+    p = sim.shared_minima(d).withColumn("pair_id", F.concat_ws("-", "a_id", "b_id"))
+    return X.with_texts(p, d)
 
 
 def turn_pairs(spark, sf) -> DataFrame:
@@ -378,7 +379,7 @@ def w34_classes(spark, sf):
 def w35_quality_by_distance(spark, sf):
     """Near copies and their labels: mean distance by label."""
     l = load(spark, sf, "labels", "doc_id", "quality", "toxic").withColumnRenamed("doc_id", "pair_id")
-    d = whole(X.unit_distance(near_copies(spark, sf))).join(l, "pair_id", "left")
+    d = whole(X.unit_distance(near_copies(spark, sf))).withColumn("pair_id", F.split("pair_id", "-")[0].cast("long")).join(l, "pair_id", "left")
     return d.groupBy("quality", "toxic").agg(F.count("*").alias("pairs"), F.round(F.avg("distance"), 6).alias("mean_distance"))
 
 
@@ -623,11 +624,43 @@ def w63_grid(spark, sf):
     return S.grid_partition(seg, seg, id_pairs(w)).select("pair_id", "blocks", F.col("distinct_pairs").alias("distinct_keys"))
 
 
+FAMILIES = {"fibonacci": range(10, 19), "doubling": range(6, 13), "thue": range(6, 12), "periodic": range(40, 400, 60)}
+
+
+def w65_bounds_hold(spark, sf):
+    """Work of the two main methods on pairs of generated words against the bounds that they promise: segments within
+    3 N / x + 4, merges within the square of the variables, entries read within a constant times blocks x lg x (blocks
+    x for elimination), and fewer of them than cells of the plain table from side 32 on."""
+    out = None
+    for k, (family, ks) in enumerate(FAMILIES.items()):
+        w = S.expand(S.words_table(spark, family, list(ks), "ab"))
+        order = Window.orderBy("string_id")  # a few generated words
+        p = kept(w.select((F.col("string_id") + 1000 * k).alias("pair_id"), F.col("text").alias("a"), F.lead("text").over(order).alias("b")).where("b IS NOT NULL"))
+        for method, d in (("rational", X.rational_distance(p, codec="pairs")), ("arbitrary", X.arbitrary_distance(p, Scoring.unit(), "pairs")), ("elimination", X.arbitrary_distance(p.where("length(a) <= 400"), Scoring.unit(), "pairs", how="elimination"))):  # entry by entry: slow
+            d = d.withColumn("method", F.lit(method))
+            out = d if out is None else out.unionByName(d)
+    c = lambda name: F.coalesce(F.col("counters")[name], F.lit(0)).cast("double")
+    a_block = F.when(F.col("method") == "elimination", 64 * (c("x") + 1)).otherwise(64 * (c("x") + 1) * F.log2(c("x") + 1))
+    promised = {"segments_ok": c("segments") <= 3 * c("letters") / c("x") + 4, "merges_ok": c("merges") <= c("variables") * c("variables"), "reads_ok": c("probes") <= c("blocks") * a_block, "below_cells": (c("x") < 32) | (c("probes") < c("cells"))}
+    return out.select("pair_id", "method", F.col("distance").cast("long").alias("distance"), c("letters").cast("long").alias("letters"), *[v.alias(k) for k, v in promised.items()])
+
+
+def w66_routes(spark, sf):
+    """Which route the pairs of like-language neighbours, timelines and long generated words take."""
+    w = S.expand(S.words_table(spark, "periodic", [50, 90], "abcde"))
+    t = {"documents": doc_pairs(spark, sf), "timelines": next_pairs(timelines(spark, sf)), "periodic": w.select(F.col("string_id").alias("pair_id"), F.col("text").alias("a"), F.reverse("text").alias("b"))}
+    out = None
+    for name, p in t.items():
+        d = X.unit_distance(p).groupBy(F.lit(name).alias("pairs"), "route").agg(F.count("*").alias("n"))
+        out = d if out is None else out.unionByName(d)
+    return out
+
+
 WORKLOADS = {
     **{f.__name__: f for f in (w01_unit_docs, w02_rational_event_words, w03_arbitrary_benchmark, w04_rational_half_cost, w05_indel_urls, w06_mixed_codecs, w07_state_timelines, w08_quantity_runs, w09_order_status, w10_flags_four_russians, w11_embedding_bits, w12_near_copies, w13_conversation_turns, w14_url_pairs, w15_html_pages, w16_fibonacci, w17_example_word, w18_example_block, w18_example_block_kernel, w19_prefix_table, w19_table_by_folds, w19_table_by_paths)},
     **{f"w20_partition_{p}_{x}": partition_query(x, p) for p, x in (("grammar", 4), ("grammar", 16), ("grammar", 64), ("uniform", 16), ("runs", 1), ("phrases", 1))},
     **{f"w21_round_trip_{c}": round_trip_query(c) for c in ("rle", "lz78", "lzw", "words", "lines", "uniform", "balanced")},
     "w21_round_trip_lz77": round_trip_query("lz77", "benchmark", "item_id"),
     "w21_round_trip_pairs": round_trip_query("pairs", "pages", "page_id", "url"),
-    **{f.__name__: f for f in (w22_flag_runs, w23_grammar_sizes, w24_repository_keys, w25_bounds, w25_best_side, w26_cost_axioms, w26_triangles, w27_propagation, w28_merging, w29_side_sweep, w29_side_work, w30_variants_agree, w31_similarity_join, w32_nearest, w33_contained, w34_classes, w35_quality_by_distance, w35_distance_cube, w36_stream_running, w37_stream_windows, w38_shared_repository, w39_grammar_against_text, w40_lz78_phrases, w41_quadratic, w42_grammar_rules, w43_valid_rules, w44_corpus_pairs, w44_neighbour_counts, w45_substrings, w46_grammar_algebra, w47_fingerprints, w48_shared_variables, w49_border_values, w50_giant_pair, w51_banded, w52_sql_functions, w53_windows_of_braids, w54_token_dictionary, w55_work_by_variant, w56_phase_seconds, w57_anchors, w58_thresholded, w59_stream_sessions, w60_opt_out_of_free_matches, w61_folded_days, w62_uniform_repository, w63_grid, w64_bit_vectors)},
+    **{f.__name__: f for f in (w22_flag_runs, w23_grammar_sizes, w24_repository_keys, w25_bounds, w25_best_side, w26_cost_axioms, w26_triangles, w27_propagation, w28_merging, w29_side_sweep, w29_side_work, w30_variants_agree, w31_similarity_join, w32_nearest, w33_contained, w34_classes, w35_quality_by_distance, w35_distance_cube, w36_stream_running, w37_stream_windows, w38_shared_repository, w39_grammar_against_text, w40_lz78_phrases, w41_quadratic, w42_grammar_rules, w43_valid_rules, w44_corpus_pairs, w44_neighbour_counts, w45_substrings, w46_grammar_algebra, w47_fingerprints, w48_shared_variables, w49_border_values, w50_giant_pair, w51_banded, w52_sql_functions, w53_windows_of_braids, w54_token_dictionary, w55_work_by_variant, w56_phase_seconds, w57_anchors, w58_thresholded, w59_stream_sessions, w60_opt_out_of_free_matches, w61_folded_days, w62_uniform_repository, w63_grid, w64_bit_vectors, w65_bounds_hold, w66_routes)},
 }
