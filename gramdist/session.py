@@ -32,9 +32,12 @@ def workers(spark: SparkSession) -> None:
 
 
 def scratch(spark: SparkSession) -> str:
-    """A new path in the folder that spark.checkpoint.dir names; in a temporary one where that is unset."""
+    """A new path in the folder that spark.checkpoint.dir names. Where that is unset, a temporary folder of this machine
+    serves a local session; on a cluster, whose machines don't share it, that is an error."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = tempfile.mkdtemp(prefix="gramdist-")
         spark.sparkContext.setCheckpointDir(base)
         _OWN.append(base)
