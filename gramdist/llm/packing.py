@@ -12,6 +12,7 @@ is carried. An empty table gives no rows. Other columns are not read. Texts are
 from __future__ import annotations
 
 import json
+import re
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
@@ -25,6 +26,7 @@ from pyspark.sql import functions as F
 from .common import batch, map_batches, table
 
 END = 1
+LONG_RUN = 50_000  # blanks in a row that the faster engine is spared; it held 700,000 and overflowed at 1,000,000
 # Fixed value: how byte-level vocabularies of this kind cut a text before merging.
 CUT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
@@ -39,7 +41,8 @@ def byte_letters() -> dict[str, int]:
 @lru_cache(maxsize=4)
 def encoder(path: str):
     """text -> ids of the tokenizer file. A plain byte-level BPE is run by a faster engine with the same ranks;
-    its ids are the same (tests hold them together). Any other file is run as it is."""
+    its ids are the same (tests hold them together). Any other file is run as it is, and so is a text with a very
+    long run of blanks, which the faster engine's stack can't hold."""
     with open(path, encoding="utf-8") as f:
         spec = json.load(f)
     pre, model = spec.get("pre_tokenizer") or {}, spec["model"]
@@ -47,18 +50,31 @@ def encoder(path: str):
     plain = plain and not spec.get("normalizer") and not any(model.get(k) for k in ("dropout", "unk_token", "continuing_subword_prefix", "end_of_word_suffix", "ignore_merges", "byte_fallback"))
     special = {t["content"]: t["id"] for t in spec.get("added_tokens") or []}
     plain = plain and not any(t.get("lstrip") or t.get("rstrip") or t.get("single_word") or t.get("normalized") and not t.get("special") for t in spec.get("added_tokens") or [])
-    if not plain:
-        from tokenizers import Tokenizer
+    from tokenizers import Tokenizer
 
+    if not plain:
         tokenizer = Tokenizer.from_file(path)
         return lambda text: tokenizer.encode(text, add_special_tokens=False).ids
     import tiktoken
 
+    plain_engine: list = []
+
+    def whole(text: str) -> list[int]:
+        if not plain_engine:
+            plain_engine.append(Tokenizer.from_file(path))
+        return plain_engine[0].encode(text, add_special_tokens=False).ids
+
     letters = byte_letters()
     ranks = {bytes(letters[c] for c in word): k for word, k in model["vocab"].items() if word not in special}
     fast = tiktoken.Encoding("byte-level", pat_str=CUT, mergeable_ranks=ranks, special_tokens=special)
     every = set(special)
-    return lambda text: fast.encode(text, allowed_special=every) if any(s in text for s in every) else fast.encode_ordinary(text)
+
+    def encode(text: str) -> list[int]:
+        if len(text) >= LONG_RUN and any(m.end() - m.start() >= LONG_RUN for m in re.finditer(r"\s+", text)):
+            return whole(text)
+        return fast.encode(text, allowed_special=every) if any(s in text for s in every) else fast.encode_ordinary(text)
+
+    return encode
 
 
 def cut(n: int, most: int) -> list[int]:
