@@ -30,14 +30,49 @@ from .common import batch, join_groups, map_batches, table, written
 
 BINS = 1 << 14
 TEMPER = 0.15  # trigrams overlap and repeat, so their evidence counts as a part of its number
-HIDDEN = re.compile(r"<!--.*?-->|<(script|style|nav)\b.*?</\1\s*>", re.S | re.I)
-TAG = re.compile(r"<[^>]*>")
-DECLARED = re.compile(r"<html\b[^>]*?\blang\s*=\s*[\"']?([A-Za-z]+)", re.I)
+HIDDEN = re.compile(r"<!--|<(script|style|nav)\b", re.I)
+CLOSING = {k: re.compile(rf"</{k}\s*>", re.I) for k in ("script", "style", "nav")}
+HTML = re.compile(r"<html\b", re.I)
+LANG = re.compile(r"\blang\s*=\s*[\"']?([A-Za-z]+)", re.I)
+HUGE = re.compile(r"&#(?:[0-9]{8,}|[xX][0-9A-Fa-f]{7,});?")  # numbers beyond any letter
 HOST = re.compile(r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/@]*@)?([^/:?#]+)")
 
 
 def page_text(page: str) -> str:
-    return html.unescape(TAG.sub(" ", HIDDEN.sub(" ", page)))
+    """The page without comments, scripts, styles, navigation and tags, each a blank. Every kind of closing mark is
+    looked for onwards only and never again once there is none, so the time is linear in the page whatever it holds."""
+    out, at, start, none = [], 0, 0, set()
+    while m := HIDDEN.search(page, start):
+        start, name = m.end(), (m[1] or "").lower()
+        if name in none:
+            continue
+        if name:
+            close = CLOSING[name].search(page, m.end())
+            end = close.end() if close else -1
+        else:
+            end = page.find("-->", m.end()) + 3 if page.find("-->", m.end()) >= 0 else -1
+        if end < 0:
+            none.add(name)
+            continue
+        out += [page[at : m.start()], " "]
+        at = start = end
+    page, out, at = "".join([*out, page[at:]]), [], 0
+    while (i := page.find("<", at)) >= 0 and (j := page.find(">", i)) >= 0:
+        out += [page[at:i], " "]
+        at = j + 1
+    return html.unescape(HUGE.sub("\ufffd", "".join([*out, page[at:]])))
+
+
+def declared_lang(page: str) -> str:
+    """The language that the first html tag with one declares; tags are read up to their end once."""
+    at = 0
+    while m := HTML.search(page, at):
+        end = page.find(">", m.end())
+        end = len(page) if end < 0 else end
+        if said := LANG.search(page, m.end(), end):
+            return said[1].lower()
+        at = end  # what lies before has no language, so a tag that starts there has none
+    return ""
 
 
 def address(url: str) -> tuple[str, str, str]:
@@ -92,9 +127,8 @@ def evidence(pages: DataFrame, model: dict, id_col: str, url_col: str, html_col:
             rows = []
             for url, page in zip(b.column(1), b.column(2)):
                 page = page.as_py() or ""
-                said = DECLARED.search(page)
                 z = text_evidence(model, page_text(page))
-                rows.append((*address(url.as_py() or ""), said[1].lower() if said else "", z.tolist()))
+                rows.append((*address(url.as_py() or ""), declared_lang(page), z.tolist()))
             cols = list(zip(*rows)) if rows else [()] * 5
             s = pa.string()
             yield batch(id=b.column(0), host=pa.array(cols[0], s), domain=pa.array(cols[1], s), suffix=pa.array(cols[2], s), declared=pa.array(cols[3], s), z=pa.array(list(cols[4]), pa.list_(pa.float64())))
@@ -128,6 +162,10 @@ def sums(k: int, name: str) -> list[Column]:
     return [F.array(*[F.sum(F.col("p")[i]) for i in range(k)]).alias(name), F.count("*").alias(f"n_{name}")]
 
 
+def added(k: int, part: str, name: str) -> list[Column]:
+    return [F.array(*[F.coalesce(F.sum(F.col(part)[i]), F.lit(0.0)) for i in range(k)]).alias(name), F.coalesce(F.sum(f"n_{part}"), F.lit(0)).alias(f"n_{name}")]
+
+
 def fused(pages: DataFrame, model: dict, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", kappa: float = 5.0, alpha: float = 1.0) -> DataFrame:
     """One row per page: lang, probability, the language of the text alone, declared language, host and suffix."""
     return weighed(evidence(pages, model, id_col, url_col, html_col), model, id_col, kappa, alpha)
@@ -146,19 +184,25 @@ def weighed(rows: DataFrame, model: dict, id_col: str, kappa: float, alpha: floa
         return rows.select(F.col("id").alias(id_col), nothing.cast("string").alias("lang"), nothing.cast("double").alias("probability"), nothing.cast("string").alias("text_lang"), "declared", "host", "suffix")
     rows = written(rows.withColumn("p", softmax("z")))
     total = rows.count()
-    every = rows.agg(*sums(k, "all"))
-    # likelihoods of what a page declares and of its suffix: smoothed shares of each language's soft count
-    shares = {}
-    for name in ("declared", "suffix"):
-        by = rows.groupBy(name).agg(*sums(k, "s")).crossJoin(F.broadcast(every.select("all")))  # every: one row
+    # a host has one domain and one suffix, so their sums come from the hosts' and are joined to hosts, not to rows
+    hosts = written(rows.groupBy("host", "domain", "suffix").agg(*sums(k, "in_host")))
+    every = written(hosts.agg(*added(k, "in_host", "all")))
+    domains = written(hosts.groupBy("domain").agg(*added(k, "in_host", "in_domain"), F.count("*").alias("_hosts")))
+    suffixes = hosts.groupBy("suffix").agg(*added(k, "in_host", "s"), F.count("*").alias("_hosts"))
+    said = rows.groupBy("declared").agg(*sums(k, "s"))
+
+    def likelihood(by: DataFrame, name: str) -> DataFrame:
+        """Of what a page declares or of its suffix: smoothed shares of each language's soft count."""
+        by = written(by)
         kinds = by.count()
-        shares[name] = written(by.select(name, F.col("n_s").alias(f"n_{name}"), F.expr(f"zip_with(s, all, (a, b) -> ln((a + {alpha}) / (b + {alpha * max(kinds, 1)})))").alias(f"l_{name}")))
-    domains = written(rows.groupBy("domain").agg(*sums(k, "in_domain")))
-    hosts = written(rows.groupBy("host").agg(*sums(k, "in_host"), F.first("domain").alias("_d")))
-    out = join_groups(rows, shares["declared"], "declared", "n_declared", total)
-    out = join_groups(out, shares["suffix"], "suffix", "n_suffix", total)
-    out = join_groups(out, domains, "domain", "n_in_domain", total)
-    out = join_groups(out, hosts.drop("_d"), "host", "n_in_host", total).crossJoin(F.broadcast(every))
+        shares = by.crossJoin(F.broadcast(every.select("all")))  # every: one row
+        return written(shares.withColumn(f"l_{name}", F.expr(f"zip_with(s, all, (a, b) -> ln((a + {alpha}) / (b + {alpha * max(kinds, 1)})))")).drop("s", "all"))
+
+    n_hosts = hosts.count()
+    hosts = written(join_groups(hosts, domains, "domain", "_hosts", n_hosts).drop("_hosts"))
+    hosts = written(join_groups(hosts, likelihood(suffixes, "suffix"), "suffix", "_hosts", n_hosts).drop("_hosts", "n_s"))
+    out = join_groups(rows, likelihood(said, "declared"), "declared", "n_s", total).drop("n_s")
+    out = join_groups(written(out), hosts.drop("domain", "suffix"), "host", "n_in_host", total).crossJoin(F.broadcast(every))
     # each level without the page itself, smoothed by kappa pages of the level above
     out = out.withColumn("g", F.expr(f"transform(sequence(0, {k - 1}), i -> (all[i] - p[i] + 1) / (n_all - 1 + {k}))"))
     out = out.withColumn("d", F.expr(f"transform(sequence(0, {k - 1}), i -> (in_domain[i] - p[i] + {kappa} * g[i]) / (n_in_domain - 1 + {kappa}))"))
