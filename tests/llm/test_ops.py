@@ -29,9 +29,9 @@ def texts(df):
 # --- exact dedup ---------------------------------------------------------------------------------------------------
 
 
-@pytest.mark.parametrize("cells", [bloom_dedup.MAX_CELLS, 1])
-def test_exact_dedup(odd, none, cells):
-    out = bloom_dedup.exact_dedup(odd, max_cells=cells).collect()
+@pytest.mark.parametrize("words", [bloom_dedup.MAX_WORDS, 1])  # 1: a filter that is full, as far beyond its size
+def test_exact_dedup(odd, none, words):
+    out = bloom_dedup.exact_dedup(odd, max_words=words).collect()
     assert len(out) == 12
     groups = defaultdict(list)
     for r in out:
@@ -42,22 +42,26 @@ def test_exact_dedup(odd, none, cells):
         kept = [r for r in g if r.kept]
         assert len(kept) == 1 and kept[0].doc_id == top
         assert g[0].text_sha256 == hashlib.sha256(text.encode()).hexdigest()
-    assert bloom_dedup.exact_dedup(none, max_cells=cells).count() == 0
+    assert bloom_dedup.exact_dedup(none, max_words=words).count() == 0
 
 
-def test_bloom_words_hold_all_repeats(spark):
-    rows = spark.range(5000).select(F.xxhash64(F.col("id") % 4000).alias("_h"))
-    words = {r.word: r.bits & (2**64 - 1) for r in bloom_dedup.repeated_words(rows, 1 << 16).collect()}
-    twice = [r._h for r in rows.groupBy("_h").count().where("count > 1").collect()]
-    for h in twice:
-        for cell in (h & 0xFFFF, (h & (2**64 - 1)) >> 32 & 0xFFFF):
-            assert words[cell >> 6] >> (cell & 63) & 1
+@pytest.mark.parametrize("rows", [100, 5000, 10**9])
+def test_bloom_flags_all_repeats_and_few_others(spark, rows):
+    """Cells of any width hit twice; the filter holds all of them and lets most of the others pass."""
+    df = spark.range(5000).select(F.xxhash64(F.concat(F.lit("t"), F.col("id") % 4000)).alias("h"))
+    own = df.select("h", bloom_dedup.cell(rows, F.col("h")).alias("c"))
+    again = own.groupBy("c").count().where("count >= 2").select(F.xxhash64("c").alias("_h"))
+    bloom = bloom_dedup.filter_of(again)
+    got = bloom_dedup.flagged(own.select("h", F.xxhash64("c").alias("_h")), bloom).groupBy("h").agg(F.count("*").alias("n"), F.max("_maybe").alias("m")).collect()
+    assert all(r.m for r in got if r.n > 1)
+    if rows >= 5000:
+        assert sum(r.m for r in got if r.n == 1) < 0.1 * len(got)
 
 
 def test_without_ids(odd, none):
     gone = odd.where("doc_id IN (2, 7)").select("doc_id").distinct()
-    for cells in (bloom_dedup.MAX_CELLS, 64):
-        got = bloom_dedup.without_ids(odd, gone, max_cells=cells)
+    for words in (bloom_dedup.MAX_WORDS, 1):
+        got = bloom_dedup.without_ids(odd, gone, max_words=words)
         assert got.columns == odd.columns
         assert Counter(r.doc_id for r in got.collect()) == Counter(r.doc_id for r in odd.collect() if r.doc_id not in (2, 7))
     assert bloom_dedup.without_ids(none, gone).count() == 0 and bloom_dedup.without_ids(odd, gone.limit(0)).count() == 12
