@@ -1,6 +1,8 @@
 """Mixing sources to target weights, with DataFrame operations only.
 
-Each source's documents are permuted by a keyed hash and cut by its leading bits into equal ranges, the blocks.
+Each source's documents are permuted by a keyed hash and cut by its leading bits into equal ranges, the blocks, of
+some WORDS_PER_BLOCK words however large the source. Where the part of a pass ends is found by counting cells within
+cells, so only one cell of about a block's size is ever ordered document by document.
 A source's target in words gives the number of whole passes over its blocks and a part of one more pass; those
 block slots are its quota. A splitting tree deals the quotas to output shards: every node draws half of its
 slots at random for its left child, so the counts by source in a child follow the multivariate hypergeometric
@@ -21,7 +23,7 @@ from .common import WORD, boxed, table, unboxed, without, written
 
 WEIGHTS = (5, 2, 1)
 MAX_REPEAT = 3
-CELL_BITS = 12  # a block is a run of cells; only a source's last cell is ordered document by document
+STEP_BITS = 12  # cells that a level of the search for a source's edge looks at: 4096 a source
 WORDS_PER_BLOCK = 1 << 16
 WORDS_PER_SHARD = 1 << 24
 MADE = ("size", "source_size", "target", "shards", "copies", "taken")
@@ -55,33 +57,39 @@ def mix(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_co
     """Every row of df (its columns, or those named) with its size, its source's size and target, the shards that
     drew it, copies (how many did) and taken (their words)."""
     columns = df.columns if columns is None else columns
-    made, goal = _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns)
+    made, goal = _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns, words_per_block)
     return drawn(made, goal, depth, words_per_block, seed).select(*unboxed(without(columns, *MADE)), *MADE)
 
 
-def _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns):
+def _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns, words_per_block):
     words = F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long")
     plain = df.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), words.alias("size"), place(seed, F.col(id_col)).alias("h"))
     plain = written(plain)
     targets = written(source_targets(plain, weights, max_repeat))
-    cell = F.shiftright("h", 60 - CELL_BITS)
     same = lambda a, b: F.col(a).eqNullSafe(F.col(b))
-    pos = plain.where("size > 0").withColumn("cell", cell)
-    by_cell = pos.groupBy("source", "cell").agg(F.sum("size").alias("n"))
-    run = Window.partitionBy("source").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
-    by_cell = by_cell.withColumn("before", F.coalesce(F.sum("n").over(run), F.lit(0)))
+    pos = plain.where("size > 0")
     goal = targets.select(F.col("source").alias("s"), "source_size", "target", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("long").alias("passes"))
     goal = goal.withColumn("part", F.col("target") - F.col("passes") * F.col("source_size"))
-    # the last cell: the first whose end is past the part of a pass that is due
-    edge = by_cell.join(goal, same("source", "s")).where("before + n > part").groupBy("s", "source_size", "target", "passes", "part").agg(F.min(F.struct("cell", "before")).alias("e"))
-    edge = goal.join(edge.select(F.col("s").alias("s2"), F.col("e.cell").alias("edge"), F.col("e.before").alias("before")), same("s", "s2"), "left").drop("s2")
-    edge = written(edge)
+    largest = targets.agg(F.max("source_size")).first()[0] or 0
+    levels = max(1, -(-max(largest // words_per_block, 1).bit_length() // STEP_BITS))
+    # the last cell: the first whose end is past the part of a pass that is due; then the last cell within it
+    edge = goal.withColumns({"edge": F.lit(0).cast("long"), "before": F.lit(0).cast("long")})
+    run = Window.partitionBy("s").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
+    for k in range(levels):
+        inside = pos.join(edge.select("s", "edge", "before", "part"), same("source", "s") & (F.shiftright("h", 60 - STEP_BITS * k) == F.col("edge")))
+        cells = inside.groupBy("s", "before", "part", F.shiftright("h", 60 - STEP_BITS * (k + 1)).alias("cell")).agg(F.sum("size").alias("n"))
+        cells = cells.withColumn("before", F.col("before") + F.coalesce(F.sum("n").over(run), F.lit(0)))
+        least = cells.where("before + n > part").groupBy("s").agg(F.min(F.struct("cell", "before")).alias("e"))
+        edge = written(goal.join(least.select(F.col("s").alias("s2"), F.col("e.cell").alias("edge"), F.col("e.before").alias("before")), same("s", "s2"), "left").drop("s2"))
+    bits = STEP_BITS * levels
+    cell = F.shiftright("h", 60 - bits)
+    pos = pos.withColumn("cell", cell)
     last = pos.join(edge.select("s", "edge", "before", "part"), same("source", "s") & (F.col("cell") == F.col("edge")))
     inside = Window.partitionBy("source").orderBy("h", "id").rowsBetween(Window.unboundedPreceding, 0)
     taken = last.withColumn("end", F.col("before") + F.sum("size").over(inside)).where("end <= part")
     cut = taken.groupBy("s").agg(F.max("end").alias("reached"), F.max(F.struct("h", "id")).alias("upto"))
     goal = edge.join(cut.withColumnRenamed("s", "s2"), same("s", "s2"), "left").drop("s2")
-    goal = goal.withColumns({"reached": F.coalesce("reached", F.col("before"), F.lit(0)), "h_to": F.col("upto.h"), "id_to": F.col("upto.id")}).drop("upto")
+    goal = goal.withColumns({"reached": F.coalesce("reached", F.col("before"), F.lit(0)), "h_to": F.col("upto.h"), "id_to": F.col("upto.id"), "edge_bits": F.lit(bits)}).drop("upto")
     goal = written(goal)
     # of what is left, the one largest document that still fits closes most of the gap
     inside = F.col("edge").isNotNull() & ((F.col("cell") < F.col("edge")) | ((F.col("cell") == F.col("edge")) & F.coalesce((F.col("h") < F.col("h_to")) | ((F.col("h") == F.col("h_to")) & (F.col("id") <= F.col("id_to"))), F.lit(False))))
@@ -101,7 +109,7 @@ def _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, columns
 
 
 def block_bits(words: Column, words_per_block: int) -> Column:
-    return F.least(F.lit(CELL_BITS), F.ceil(F.log2(F.greatest(words / words_per_block, F.lit(1.0))))).cast("int")
+    return F.ceil(F.log2(F.greatest(words / words_per_block, F.lit(1.0)))).cast("int")
 
 
 def quota_slots(goal: DataFrame, words_per_block: int) -> DataFrame:
@@ -110,7 +118,7 @@ def quota_slots(goal: DataFrame, words_per_block: int) -> DataFrame:
     g = goal.where("source_size > 0").withColumn("bits", bits).withColumn("epoch", F.explode(F.expr("sequence(0L, passes)")))
     g = g.withColumn("block", F.explode(F.expr("sequence(0L, shiftleft(1L, bits) - 1)")))
     # the part of a pass takes the blocks up to the last cell's, and the block of the document that fills the gap
-    due = f"epoch < passes OR (part > 0 AND block <= shiftright(edge, {CELL_BITS} - bits)) OR coalesce(block = shiftright(top_h, 60 - bits), false)"
+    due = "epoch < passes OR (part > 0 AND block <= shiftright(edge, edge_bits - bits)) OR coalesce(block = shiftright(top_h, 60 - bits), false)"
     return g.where(due).select(F.col("s").alias("source"), "epoch", "block")
 
 
@@ -124,13 +132,16 @@ def splitting_tree(slots: DataFrame, depth: int, seed: int) -> DataFrame:
     return out
 
 
+def depth_for(goal: DataFrame) -> int:
+    """Levels of the tree that give shards of about WORDS_PER_SHARD words."""
+    words = goal.agg(F.sum("source_size")).first()[0] or 0
+    return max(0, (words // WORDS_PER_SHARD).bit_length())
+
+
 def drawn(made: DataFrame, goal: DataFrame, depth: int | None, words_per_block: int, seed: int) -> DataFrame:
     """Deal the block slots to shards and let every row look up the shards of its block: one for each pass it is due
-    in. A block has at most max_repeat + 1 slots, so what a row meets is small, and there are at most 2**CELL_BITS
-    blocks a source."""
-    if depth is None:
-        words = goal.agg(F.sum("source_size")).first()[0] or 0
-        depth = max(0, (words // WORDS_PER_SHARD).bit_length())
+    in. A block has at most max_repeat + 1 slots, so what a row meets is small."""
+    depth = depth_for(goal) if depth is None else depth
     slots = splitting_tree(quota_slots(goal, words_per_block), depth, seed)
     by = slots.groupBy("source", "block").agg(F.array_sort(F.collect_list(F.struct("epoch", "shard"))).alias("slots"))
     by = written(by.select(F.col("source").alias("_s"), F.col("block").alias("_b"), "slots"))
@@ -147,15 +158,23 @@ def mix_rows(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", sour
     The place is a hash, so that sorting a shard (or a file of it) by it is the local shuffle. A shard is not one
     task: the tree only labels rows. depth None gives shards of about WORDS_PER_SHARD words.
     """
-    made, goal = _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, df.columns)
+    return _placed(df, id_col, text_col, source_col, weights, max_repeat, seed, depth, words_per_block)[0]
+
+
+def _placed(df, id_col, text_col, source_col, weights, max_repeat, seed, depth, words_per_block) -> tuple[DataFrame, int]:
+    """(the mix, its number of shards)."""
+    made, goal = _copies(df, id_col, text_col, source_col, weights, max_repeat, seed, df.columns, words_per_block)
+    depth = depth_for(goal) if depth is None else depth
     rows = drawn(made, goal, depth, words_per_block, seed).select("_row", "id", F.posexplode("shards").alias("epoch", "shard"))
-    return rows.select("_row", "shard", place(seed + 99, F.col("id"), F.col("epoch")).alias("place")).select(*unboxed(without(df.columns, "shard", "place")), "shard", "place")
+    return rows.select("_row", "shard", place(seed + 99, F.col("id"), F.col("epoch")).alias("place")).select(*unboxed(without(df.columns, "shard", "place")), "shard", "place"), 1 << depth
 
 
-def mixed(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **options) -> DataFrame:
-    """The rows of the mix with exactly the columns of df, whatever their names."""
-    inner = df.select(boxed(df))
-    return mix_rows(inner, f"_row.`{id_col}`", f"_row.`{text_col}`", f"_row.`{source_col}`", **options).select("_row.*")
+def mixed(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, max_repeat: int = MAX_REPEAT, seed: int = 17, depth: int | None = None, words_per_block: int = WORDS_PER_BLOCK) -> DataFrame:
+    """The rows of the mix with exactly the columns of df, whatever their names: drawn by shard, a shard within one
+    partition and in its shuffled order. This is the one place where texts move."""
+    rows, shards = _placed(df.select(boxed(df)), f"_row.`{id_col}`", f"_row.`{text_col}`", f"_row.`{source_col}`", weights, max_repeat, seed, depth, words_per_block)
+    n = max(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), 2 * shards)
+    return rows.repartition(n, "shard").sortWithinPartitions("shard", "place").select("_row.*")
 
 
 def op8_mix_sources(spark, sf_dir: str) -> DataFrame:

@@ -463,6 +463,16 @@ def test_mix_rows_deal_exact_quotas(documents):
     rows = mixing.mix_rows(documents, depth=2, words_per_block=256).collect()
     assert Counter(r.doc_id for r in rows) == Counter({k: v for k, v in plan.items() if v})
     assert {r.shard for r in rows} <= set(range(4)) and len({r.shard for r in rows}) == 4
+    small = mixing.mix(documents, words_per_block=1)  # blocks of a word: the edge is searched over several levels
+    assert {r.doc_id: r.copies for r in small.collect()} == plan
+    drawn = mixing.mixed(documents, depth=2, words_per_block=256)
+    order = [r.doc_id for part in drawn.rdd.glom().collect() for r in part]
+    assert drawn.columns == documents.columns and Counter(order) == Counter(r.doc_id for r in rows)
+    by_shard = {}
+    for r in sorted(rows, key=lambda r: (r.shard, r.place)):
+        by_shard.setdefault(r.shard, []).append(r.doc_id)
+    text = ",".join(map(str, order))
+    assert all(",".join(map(str, ids)) in text for ids in by_shard.values())
     again = mixing.mix_rows(documents.repartition(5), depth=2, words_per_block=256).collect()
     assert Counter((r.doc_id, r.shard, r.place) for r in rows) == Counter((r.doc_id, r.shard, r.place) for r in again)
 
