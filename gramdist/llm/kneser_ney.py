@@ -1,19 +1,29 @@
 """Interpolated modified Kneser-Ney language model, counted in Spark, kept as sorted hash arrays, mapped by workers.
 
-Tokens: words split at ASCII white space, A-Z lower-cased, then one end token a text. A token is a 48-bit hash, a
-context the 64-bit chain of its tokens from the nearest outwards, so a shorter context is a step of the same chain.
+Tokens: words split at ASCII white space, A-Z lower-cased, then one end token a text. A token is a 48-bit hash; an
+n-gram and a context are 64-bit hashes of their tokens.
 
-Counting: tasks fold their tokens into sorted distinct n-grams and send each range of contexts one packed block;
-a range is merged in one piece and written as sorted arrays (keys, counts, and for contexts their totals and how
-many words follow once, twice, more). Distinct n-grams of one order send the next lower order its continuation
-counts. Contexts of very frequent tokens are dealt by n-gram instead, so that no range holds more than its share;
-the few totals of theirs come together on the driver. Scoring maps the arrays and looks batches of sorted keys up,
-so a pass touches each page once; the arrays live in the shared folder (copied once a worker where that folder is
-no file system). What is gathered grows with the text: all n-grams of all training texts.
+Counting: tasks number the words of some TOKENS_AT_ONCE tokens, fold their n-grams into sorted distinct ones and send
+each range of contexts one packed block (the block's words once, then small numbers, compressed). A range is merged in
+one piece and written as two files of sorted hashes (n-grams with counts; contexts with their total and how many words
+follow once, twice, more). Distinct n-grams of one order send the next lower order its continuation counts.
+
+A hash table is a file of buckets by leading bits, in each the next 32 bits in order, and a byte for each that numbers
+its values in a list of those that occur, most frequent first; rarer values are listed by place. Counts are of any
+size.
+
+Hot contexts: n-grams of a context whose tokens are all hot are dealt by n-gram instead, so that no range holds more
+than its share; the totals of such contexts are summed by a second shuffle. A token is hot from RANGE_TOKENS / 4
+occurrences on, or from 1 in MOST_HOT of the text if that is more, so MOST_HOT bounds what is sent to all tasks; any
+other context has fewer occurrences than its rarest token.
+
+Scoring maps the files and looks up the distinct n-grams of large batches; the files lie in the shared folder (copied
+once a worker where that folder is no file system). What is gathered grows with the text: all n-grams of all training
+texts.
 
 Nulls and ties: a null or empty text is its end token alone; repeated rows count each time; a null id trains. An
 empty table gives no rows; with no training text every token has the chance that unseen words have. Other columns
-are not read. Texts are read whole.
+are not read. Texts are read whole, a long one over several batches.
 """
 
 from __future__ import annotations
@@ -21,6 +31,7 @@ from __future__ import annotations
 import json
 import os
 import tempfile
+from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -28,6 +39,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.fs as pafs
 import xxhash
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -37,19 +49,12 @@ ORDER = 3
 U = np.uint64
 MASK = (1 << 48) - 1
 BEGIN, END = (xxhash.xxh64_intdigest(x, 1) & MASK for x in (b"\n<", b"\n>"))  # no word holds a line break
-TOKENS_AT_ONCE = 1_000_000  # that a task folds at a time; a quarter of it when scoring
-RANGE_TOKENS = 1_000_000
-BLOCK = "kind string, part int, ctx binary, run binary, word binary, n binary"
-
-
-class Hashes(dict):
-    """Word -> hash, kept for the frequent ones."""
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > 150_000:
-            self.clear()
-        v = self[word] = xxhash.xxh64_intdigest(word, 0) & MASK
-        return v
+TOKENS_AT_ONCE = 1_000_000  # that a task folds or scores at a time
+RANGE_TOKENS = 2_000_000
+MOST_HOT = 4_000_000  # 32 MB
+WORDS_AT_ONCE = 400_000  # distinct words that a task counts at a time
+MAPS = 8_000  # files that a worker holds mapped; systems allow some 65,000
+BLOCK = "kind string, part int, data binary"
 
 
 def mix(a: np.ndarray, b) -> np.ndarray:
@@ -59,79 +64,166 @@ def mix(a: np.ndarray, b) -> np.ndarray:
     return z ^ (z >> U(29))
 
 
-def ngrams(docs: list[np.ndarray], order: int) -> tuple[np.ndarray, np.ndarray]:
-    """(contexts, words) of every token of every text: contexts[:, k] is the chain of the k + 1 tokens before."""
-    pad = np.full(order - 1, BEGIN, U)
-    flat = np.concatenate([x for d in docs for x in (pad, d)]) if docs else np.zeros(0, U)
-    at = np.flatnonzero(flat != U(BEGIN))
-    chain = [flat[at - 1]] if order > 1 else []
-    for k in range(2, order):
-        chain.append(mix(chain[-1], flat[at - k]))
-    return np.stack(chain, 1) if chain else np.zeros((len(at), 0), U), flat[at]
+def narrow(x: np.ndarray) -> np.ndarray:
+    """The same whole numbers in the fewest bytes that hold the largest."""
+    return x.astype(np.min_scalar_type(int(x.max())) if len(x) else np.uint8)
 
 
-def token_docs(texts, hashes: Hashes) -> Iterator[np.ndarray]:
-    for t in texts:
-        words = (t.as_py() or "").encode().lower().split()
-        out = np.empty(len(words) + 1, U)
-        out[:-1] = np.fromiter(map(hashes.__getitem__, words), U, len(words))
-        out[-1] = END
-        yield out
-
-
-def fold(ctx: np.ndarray, word: np.ndarray, n: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct (context, word) in order of the last chain step, then word, with summed counts."""
-    order = np.lexsort((word, ctx[:, -1])) if ctx.shape[1] else np.argsort(word, kind="stable")
-    ctx, word = ctx[order], word[order]
-    new = np.r_[True, (word[1:] != word[:-1]) | (ctx[1:, -1:] != ctx[:-1, -1:]).any(axis=1)] if len(word) else np.zeros(0, bool)
-    cut = np.flatnonzero(new)
-    sums = np.diff(np.r_[cut, len(word)]) if n is None else (np.add.reduceat(n[order], cut) if len(cut) else np.zeros(0, np.int64))
-    return ctx[cut], word[cut], sums.astype(np.int64)
-
-
-def parts_of(ctx: np.ndarray, word: np.ndarray, parts: int, hot: np.ndarray) -> np.ndarray:
-    """Range of each n-gram: by its context, or by itself where the context is a single very frequent token."""
-    if ctx.shape[1] == 0:
-        key = mix(word, U(7))
-    else:
-        key = mix(ctx[:, -1], U(7))
-        if ctx.shape[1] == 1 and len(hot):
-            own = np.isin(ctx[:, 0], hot)
-            key[own] = mix(ctx[own, 0], word[own])
-    return ((key >> U(20)) % U(parts)).astype(np.int64)
+class Words(dict):
+    """Word -> number in order of first use: 0 begins a text, 1 ends it."""
 
+    def __init__(self):
+        super().__init__()
+        self.hashes = [BEGIN, END]
 
-def narrow(x: np.ndarray) -> np.ndarray:
-    """The same whole numbers in the fewest bytes that hold the largest."""
-    return x.astype(np.min_scalar_type(int(x.max())) if len(x) else np.uint8)
+    def __missing__(self, word: bytes) -> int:
+        v = self[word] = len(self.hashes)
+        self.hashes.append(xxhash.xxh64_intdigest(word, 0) & MASK)
+        return v
 
 
-def blocks(ctx, word, n, parts: int, hot: np.ndarray) -> list[tuple]:
-    """Packed rows, one for each range: contexts once with their run lengths, words in six bytes."""
-    part = parts_of(ctx, word, parts, hot)
-    order = np.argsort(part, kind="stable")
-    ctx, word, n, part = ctx[order], word[order], n[order], part[order]
-    out, cut = [], np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(part) else []
-    for s, e in zip(cut, [*cut[1:], len(part)]):
-        c, w = ctx[s:e], word[s:e]
-        new = np.flatnonzero(np.r_[True, (c[1:] != c[:-1]).any(axis=1)]) if c.shape[1] else np.zeros(1, np.int64)
-        run = narrow(np.diff(np.r_[new, e - s]))
-        six = np.ascontiguousarray(w.astype("<u8")).view(np.uint8).reshape(-1, 8)[:, :6]
-        out.append(("block", int(part[s]), c[new].astype("<u8").tobytes(), run.tobytes(), six.tobytes(), narrow(np.minimum(n[s:e], 2**32 - 1)).tobytes()))
-    return out
+def batches_of(texts, order: int, most: int) -> Iterator[tuple[np.ndarray, np.ndarray, list[int]]]:
+    """(n-grams of every token as numbers, hashes of the numbers, tokens of each text here) of some `most` tokens at a
+    time. A text that begins in one batch and goes on in the next has a count in both. Column 0 is the word, column k
+    the k-th token before it."""
+    pad = order - 1
+    words, flat, sizes, held = Words(), [np.zeros(pad, np.uint32)], [], 0
 
+    def made() -> tuple[np.ndarray, np.ndarray, list[int]]:
+        all_ = np.concatenate(flat)
+        at = np.concatenate([np.arange(n) + s for n, s in zip(sizes, np.cumsum([pad, *[n + pad for n in sizes]]))]) if sizes else np.zeros(0, np.int64)
+        return np.stack([all_[at - k] for k in range(order)], 1), np.array(words.hashes, U), sizes
 
-def unpack(rows: pa.Table, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    ctx, word, n = [np.zeros((0, width), U)], [np.zeros(0, U)], [np.zeros(0, np.int64)]
-    for c, r, w, m in zip(*[rows.column(k).to_pylist() for k in ("ctx", "run", "word", "n")]):
-        runs = len(c) // (8 * width) if width else 1
-        run = np.frombuffer(r, f"<u{len(r) // runs}")
-        six = np.zeros((len(w) // 6, 8), np.uint8)
-        six[:, :6] = np.frombuffer(w, np.uint8).reshape(-1, 6)
-        ctx.append(np.repeat(np.frombuffer(c, "<u8").reshape(len(run), width) if width else np.zeros((len(run), 0), U), run, axis=0))
-        word.append(six.view("<u8").reshape(-1).astype(U))
-        n.append(np.frombuffer(m, f"<u{6 * len(m) // len(w)}").astype(np.int64))
-    return np.concatenate(ctx), np.concatenate(word), np.concatenate(n)
+    for t in texts:
+        own = (t.as_py() or "").encode().lower().split()
+        before = np.zeros(pad, np.uint32)
+        for s in range(0, len(own) + 1, most):
+            some = own[s : s + most]
+            ids = np.empty(len(some) + (s + most > len(own)), np.uint32)
+            ids[: len(some)] = np.fromiter(map(words.__getitem__, some), np.uint32, len(some))
+            if s + most > len(own):
+                ids[-1] = 1
+            if sizes:
+                flat.append(before)
+            else:
+                flat = [before]
+            flat.append(ids)
+            sizes.append(len(ids))
+            held += len(ids)
+            if held >= most:
+                yield made()
+                last = [words.hashes[k] for k in np.concatenate([before, ids])[len(ids) :]]
+                words, flat, sizes, held = Words(), [np.zeros(pad, np.uint32)], [], 0
+                if s + most <= len(own):  # the text goes on: its last tokens begin the next batch
+                    before = np.empty(pad, np.uint32)
+                    for k, h in enumerate(last):
+                        words.hashes.append(h)
+                        before[k] = len(words.hashes) - 1
+            elif pad:
+                before = np.concatenate([before, ids])[-pad:]
+    if sizes:
+        yield made()
+
+
+def distinct(grams: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """(distinct rows in order of context, then word; number of each row's) of n-grams of numbers below size."""
+    bits, order = max(1, (size - 1).bit_length()), grams.shape[1]
+    if bits * order > 64:
+        turn = [*range(1, order), 0]
+        rows, back = np.unique(grams[:, turn], axis=0, return_inverse=True)
+        return rows[:, np.argsort(turn)], back.reshape(-1)
+    code = np.zeros(len(grams), U)
+    for k in (*range(1, order), 0):
+        code = code << U(bits) | grams[:, k].astype(U)
+    code, back = np.unique(code, return_inverse=True)
+    out = np.empty((len(code), order), np.uint32)
+    for k in (0, *range(order - 1, 0, -1)):
+        out[:, k] = code & U((1 << bits) - 1)
+        code = code >> U(bits)
+    return out, back
+
+
+def keys_of(grams: np.ndarray, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray | None]:
+    """(hash of each n-gram, hash of its context)."""
+    if grams.shape[1] == 1:
+        return mix(hashes[grams[:, 0]], U(5)), None
+    ctx = mix(hashes[grams[:, 1]], U(3))
+    for k in range(2, grams.shape[1]):
+        ctx = mix(ctx, hashes[grams[:, k]])
+    return mix(ctx, hashes[grams[:, 0]]), ctx
+
+
+def part_of(key: np.ndarray, parts: int) -> np.ndarray:
+    return ((mix(key, U(7)) >> U(20)) % U(parts)).astype(np.uint16 if parts <= 1 << 16 else np.int64)
+
+
+def all_hot(grams: np.ndarray, hot: np.ndarray) -> np.ndarray:
+    """Is every token of the context hot? hot tells it of each number."""
+    return hot[grams[:, 1:]].all(axis=1) if grams.shape[1] > 1 else np.zeros(len(grams), bool)
+
+
+def parts_of(grams: np.ndarray, hot: np.ndarray, key: np.ndarray, ctx: np.ndarray | None, parts: int) -> np.ndarray:
+    """Range of each n-gram: by its context, or by itself where that is hot."""
+    return part_of(key if ctx is None else np.where(all_hot(grams, hot), key, ctx), parts)
+
+
+def is_hot(hashes: np.ndarray, hot: np.ndarray) -> np.ndarray:
+    return np.isin(hashes, hot) | (hashes == U(BEGIN))
+
+
+def slices(part: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """(part, places) for every part that occurs."""
+    order = np.argsort(part, kind="stable")
+    if len(order):
+        cut = np.flatnonzero(np.r_[True, np.diff(part[order]) != 0])
+        for s, e in zip(cut, [*cut[1:], len(order)]):
+            yield int(part[order[s]]), order[s:e]
+
+
+def planes(x: np.ndarray, width: int) -> bytes:
+    """The lowest `width` bytes of every number, all first bytes first: alike ones lie together."""
+    return np.ascontiguousarray(np.ascontiguousarray(x.astype("<u8")).view(np.uint8).reshape(-1, 8)[:, :width].T).tobytes()
+
+
+def from_planes(raw: bytes, n: int, width: int) -> np.ndarray:
+    out = np.zeros((n, 8), np.uint8)
+    out[:, :width] = np.frombuffer(raw, np.uint8).reshape(width, n).T
+    return out.view("<u8").reshape(-1)
+
+
+def blocks(grams: np.ndarray, hashes: np.ndarray, n: np.ndarray, parts: int, hot: np.ndarray) -> Iterator[tuple]:
+    """Packed rows of distinct n-grams, one for each range: the words used, then every column as numbers of them."""
+    own_hot = is_hot(hashes, hot)
+    key, ctx = keys_of(grams, hashes)
+    squeeze = zstandard.ZstdCompressor(level=1)
+    to = np.zeros(len(hashes), np.int64)
+    for part, at in slices(parts_of(grams, own_hot, key, ctx, parts)):
+        own, m = grams[at], n[at]
+        used = np.zeros(len(hashes), bool)
+        used[own] = True
+        words = np.flatnonzero(used)
+        to[words] = np.arange(len(words))
+        widths = [max(1, (int(x).bit_length() + 7) // 8) for x in (len(words), int(m.max()))]
+        head = np.array([len(at), len(words), *widths], "<i8").tobytes()
+        cols = [planes(to[own[:, k]], widths[0]) for k in range(own.shape[1])]
+        yield "block", part, squeeze.compress(b"".join([head, planes(hashes[words], 6), *cols, planes(m, widths[1])]))
+
+
+def unpack(rows: list[bytes], order: int) -> tuple[np.ndarray, np.ndarray]:
+    """(n-grams as token hashes, counts) of blocks."""
+    grams, count = [np.zeros((0, order), U)], [np.zeros(0, np.int64)]
+    for data in rows:
+        raw = zstandard.ZstdDecompressor().decompress(data)
+        n, m, wide, count_wide = np.frombuffer(raw, "<i8", 4).tolist()
+        at = 32 + 6 * m
+        words = from_planes(raw[32:at], m, 6)
+        own = np.empty((n, order), U)
+        for k in range(order):
+            own[:, k] = words[from_planes(raw[at : at + n * wide], n, wide).astype(np.int64)]
+            at += n * wide
+        grams.append(own)
+        count.append(from_planes(raw[at : at + n * count_wide], n, count_wide).astype(np.int64))
+    return np.concatenate(grams), np.concatenate(count)
 
 
 def store(uri: str) -> tuple[pafs.FileSystem, str]:
@@ -140,34 +232,91 @@ def store(uri: str) -> tuple[pafs.FileSystem, str]:
     return (pafs.LocalFileSystem(), uri) if uri.startswith("/") else pafs.FileSystem.from_uri(uri)
 
 
-def save(uri: str, name: str, array: np.ndarray) -> None:
-    """Written under another name and then moved, so a task that is run twice leaves one whole file."""
+def save(uri: str, name: str, key: np.ndarray, values: np.ndarray) -> None:
+    """A hash table of distinct keys with a row of whole numbers each. Written under another name and then moved, so a
+    task that is run twice leaves one whole file."""
+    order = np.argsort(key)
+    key, values = key[order], values[order]
+    bits = max(0, (len(key) // 8).bit_length())
+    bucket = (key >> U(64 - bits)).astype(np.int64) if bits else np.zeros(len(key), np.int64)
+    start = np.r_[0, np.cumsum(np.bincount(bucket, minlength=1 << bits))]
+    mark = values[:, 0].astype(U)
+    for k in range(1, values.shape[1]):
+        mark = mix(mark, values[:, k].astype(U))
+    _, first, back, times = np.unique(mark, return_index=True, return_inverse=True, return_counts=True)
+    by_use = np.argsort(-times, kind="stable")
+    rank = np.empty(len(by_use), np.int64)
+    rank[by_use] = np.arange(len(by_use))
+    code = rank[back]
+    rare = np.flatnonzero(code >= 255)
+    arrays = [start.astype("<u4"), (key >> U(32 - bits)).astype("<u4"), np.minimum(code, 255).astype(np.uint8), rare.astype("<u4"), code[rare].astype("<u4"), values[first[by_use]].astype("<i8")]
+    head = np.array([len(key), bits, int(np.diff(start).max(initial=0)), len(rare), len(by_use), values.shape[1]], "<i8")
+    raw = b"".join(x.tobytes() + bytes(-x.nbytes % 8) for x in [head, *arrays])
     fs, at = store(uri)
     fs.create_dir(at)
     tmp = f"{at}/.{name}-{os.getpid()}-{os.urandom(4).hex()}"
     with fs.open_output_stream(tmp) as f:
-        np.save(f, array)
-    fs.move(tmp, f"{at}/{name}.npy")
-
-
-def drop(uri: str) -> None:
+        f.write(raw)
+    fs.move(tmp, f"{at}/{name}.hashes")
+
+
+class Table:
+    """A file of save(), mapped."""
+
+    def __init__(self, path: str):
+        raw = np.memmap(path, np.uint8, "r")
+        n, self.bits, self.most, rare, kinds, width = np.frombuffer(raw[:48], "<i8").tolist()
+        at = 48
+
+        def take(kind: str, count: int) -> np.ndarray:
+            nonlocal at
+            size = np.dtype(kind).itemsize * count
+            out = raw[at : at + size].view(kind)
+            at += size + -size % 8
+            return out
+
+        self.start, self.low, self.code = take("<u4", (1 << self.bits) + 1), take("<u4", n), take("u1", n)
+        self.rare, self.rare_code, self.values = take("<u4", rare), take("<u4", rare), take("<i8", kinds * width).reshape(kinds, width)
+
+    def get(self, key: np.ndarray) -> np.ndarray:
+        """A row of values for every key, 0 where it is absent."""
+        out = np.zeros((len(key), self.values.shape[1]))
+        if not len(self.low):
+            return out
+        bucket = (key >> U(64 - self.bits)).astype(np.int64) if self.bits else np.zeros(len(key), np.int64)
+        low = (key >> U(32 - self.bits)).astype(np.uint32)
+        lo, end = self.start[bucket].astype(np.int64), self.start[bucket + 1].astype(np.int64)
+        hi = end
+        for _ in range(self.most.bit_length()):
+            mid = (lo + hi) >> 1
+            less = (mid < hi) & (self.low[np.minimum(mid, len(self.low) - 1)] < low)
+            lo, hi = np.where(less, mid + 1, lo), np.where(less, hi, mid)
+        hit = np.flatnonzero((lo < end) & (self.low[np.minimum(lo, len(self.low) - 1)] == low))
+        at = lo[hit]
+        code = self.code[at].astype(np.int64)
+        if len(often := np.flatnonzero(code == 255)):
+            code[often] = self.rare_code[np.searchsorted(self.rare, at[often])]
+        out[hit] = self.values[code]
+        return out
+
+
+@lru_cache(maxsize=MAPS)
+def mapped(uri: str, name: str) -> Table | None:
     fs, at = store(uri)
-    fs.delete_dir(at)
-
-
-@lru_cache(maxsize=100_000)
-def mapped(uri: str, name: str) -> np.ndarray | None:
-    fs, at = store(uri)
-    path = f"{at}/{name}.npy"
+    path = f"{at}/{name}.hashes"
     if not isinstance(fs, pafs.LocalFileSystem):
-        local = os.path.join(_copies(uri), f"{name}.npy")
+        local = os.path.join(_copies(uri), f"{name}.hashes")
         if fs.get_file_info(path).type != pafs.FileType.File:
             return None
-        pafs.copy_files(path, local, source_filesystem=fs, destination_filesystem=pafs.LocalFileSystem())
+        if not os.path.exists(local):
+            pafs.copy_files(path, local, source_filesystem=fs, destination_filesystem=pafs.LocalFileSystem())
         path = local
-    if not os.path.exists(path):
-        return None
-    return np.load(path, mmap_mode="r")
+    return Table(path) if os.path.exists(path) else None
+
+
+def drop(uri: str) -> None:
+    fs, at = store(uri)
+    fs.delete_dir(at)
 
 
 @lru_cache(maxsize=4)
@@ -180,98 +329,125 @@ def _copies(uri: str) -> str:
     return path
 
 
-def look_up(uri: str, prefix: str, keys: np.ndarray, part: np.ndarray, fields: tuple[str, ...]) -> list[np.ndarray]:
-    """Values of keys in the sorted arrays of their ranges, 0 where absent. Keys are looked up in order."""
-    out = [np.zeros(len(keys), np.float64) for _ in fields]
-    order = np.lexsort((keys, part))
-    cut = np.flatnonzero(np.r_[True, part[order][1:] != part[order][:-1]]) if len(order) else []
-    for s, e in zip(cut, [*cut[1:], len(order)]):
-        at = order[s:e]
-        r = int(part[at[0]])
-        have = mapped(uri, f"{prefix}-{r}-key")
-        if have is None or not len(have):
-            continue
-        k = keys[at]
-        i = np.minimum(np.searchsorted(have, k), len(have) - 1)
-        hit = have[i] == k
-        for o, f in zip(out, fields):
-            o[at[hit]] = mapped(uri, f"{prefix}-{r}-{f}")[i[hit]]
+def look_up(uri: str, prefix: str, key: np.ndarray, part: np.ndarray, width: int = 1) -> np.ndarray:
+    """Values of keys in the tables of their ranges, 0 where absent."""
+    out = np.zeros((len(key), width))
+    for r, at in slices(part):
+        t = mapped(uri, f"{prefix}-{r}")
+        if t is not None:
+            out[at] = t.get(key[at])
     return out
 
 
-def counted(docs: DataFrame, order: int, parts: int, hot: list[int]) -> DataFrame:
+def counted(docs: DataFrame, order: int, parts: int, hot: np.ndarray) -> DataFrame:
     """Blocks of the n-grams of the texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes, held, size, own = Hashes(), [], 0, np.array(hot, U)
+        for grams, hashes, _ in batches_of((t for b in batches for t in b.column(0)), order, TOKENS_AT_ONCE):
+            grams, back = distinct(grams, len(hashes))
+            yield rows_batch(list(blocks(grams, hashes, np.bincount(back, minlength=len(grams)), parts, hot)))
+
+    return map_batches(docs.select("text"), run, BLOCK)
+
+
+def words_counted(docs: DataFrame, parts: int) -> DataFrame:
+    """Blocks of the single tokens of the texts."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen, ends, none = Counter(), 0, np.zeros(0, U)
 
         def flush() -> pa.RecordBatch:
-            return rows_batch(blocks(*fold(*ngrams(held, order)), parts, own))
+            hashes = np.array([END, *(xxhash.xxh64_intdigest(w, 0) & MASK for w in seen)], U)
+            n = np.array([ends, *seen.values()], np.int64)
+            at = np.flatnonzero(n).astype(np.uint32)
+            return rows_batch(list(blocks(at[:, None], hashes, n[at], parts, none)))
 
         for b in batches:
-            for d in token_docs(b.column(0), hashes):
-                held.append(d)
-                size += len(d)
-                if size >= TOKENS_AT_ONCE:
+            for t in b.column(0):
+                seen.update((t.as_py() or "").encode().lower().split())
+                ends += 1
+                if len(seen) >= WORDS_AT_ONCE:
                     yield flush()
-                    held, size = [], 0
+                    seen, ends = Counter(), 0
         yield flush()
 
     return map_batches(docs.select("text"), run, BLOCK)
 
 
 def rows_batch(rows: list[tuple]) -> pa.RecordBatch:
-    kind, part, *rest = zip(*rows) if rows else [()] * 6
-    made = dict(zip(("ctx", "run", "word", "n"), (pa.array(x, pa.binary()) for x in rest)))
-    return batch(kind=pa.array(kind, pa.string()), part=pa.array(part, pa.int32()), **made)
+    kind, part, data = zip(*rows) if rows else [()] * 3
+    return batch(kind=pa.array(kind, pa.string()), part=pa.array(part, pa.int32()), data=pa.array(data, pa.binary()))
 
 
-def merged(rows: DataFrame, order: int, uri: str, name: str, parts: int, hot: list[int], pass_on: bool) -> DataFrame:
-    """Merge the blocks of every range, write its arrays, and give statistics and the lower order's blocks."""
+def follows(key: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(contexts, (total, words that follow once, twice, more)) of n-grams' contexts and counts."""
+    at = np.argsort(key)
+    key, n = key[at], n[at]
+    cut = np.flatnonzero(np.r_[True, key[1:] != key[:-1]]) if len(key) else np.zeros(0, np.int64)
+    cols = [np.add.reduceat(x.astype(np.int64), cut) if len(cut) else np.zeros(0, np.int64) for x in (n, n == 1, n == 2, n > 2)]
+    return key[cut], np.stack(cols, 1)
+
+
+def merged(rows: DataFrame, order: int, uri: str, name: str, parts: int, hot: np.ndarray, least_hot: int | None, pass_on: bool) -> DataFrame:
+    """Merge the blocks of every range, write its tables, and give statistics, the totals of hot contexts and the lower
+    order's blocks. least_hot asks for the tokens of that many occurrences."""
     on_workers(rows.sparkSession)
 
     def run(t: pa.Table) -> pa.Table:
-        own, width = np.array(hot, U), order - 1
         part = t.column("part")[0].as_py()
-        ctx, word, n = fold(*unpack(t, width))
-        key = mix(ctx[:, -1], word) if width else word
-        at = np.argsort(key, kind="stable") if width else np.arange(len(key))
-        save(uri, f"{name}-{part}-key", key[at])
-        save(uri, f"{name}-{part}-n", narrow(np.minimum(n, 2**32 - 1)[at]))
+        grams, n = unpack(t.column("data").to_pylist(), order)
+        # numbers for the tokens, frequent ones first, which packs better
+        words, back, times = np.unique(grams, return_inverse=True, return_counts=True)
+        by_use = np.argsort(-times, kind="stable")
+        rank = np.empty(len(words), np.uint32)
+        rank[by_use] = np.arange(len(words), dtype=np.uint32)
+        hashes, ranks = words[by_use], rank[back].reshape(-1, order)
+        grams, back = distinct(ranks, len(hashes))
+        n = np.bincount(back, n, len(grams)).astype(np.int64) if n.sum() < 1 << 53 else np.array([n[back == k].sum() for k in range(len(grams))])
+        key, ctx = keys_of(grams, hashes)
+        save(uri, f"{name}-{part}", key, n[:, None])
         stat = {"of": [int((n == k).sum()) for k in (1, 2, 3, 4)], "sum": int(n.sum()), "types": len(n)}
-        if width:
-            cut = np.flatnonzero(np.r_[True, ctx[1:, -1] != ctx[:-1, -1]]) if len(ctx) else np.zeros(0, np.int64)
-            sums = [np.add.reduceat(x.astype(np.int64), cut) if len(cut) else np.zeros(0, np.int64) for x in (n, n == 1, n == 2, n > 2)]
-            c = ctx[cut, -1]
-            if width == 1 and len(own):
-                shared = np.isin(c, own)
-                stat["hot"] = [[int(c[k]), *[int(x[k]) for x in sums]] for k in np.flatnonzero(shared)]
-                c, sums = c[~shared], [x[~shared] for x in sums]
-            save(uri, f"{name}c-{part}-key", c)
-            for f, x in zip(("sum", "one", "two", "more"), sums):
-                save(uri, f"{name}c-{part}-{f}", narrow(x))
-        elif not pass_on:
-            top = np.argsort(-n, kind="stable")[:64]
-            stat["top"] = [[int(word[k]), int(n[k])] for k in top]
-        out = [("stat", part, json.dumps(stat).encode(), b"", b"", b"")]
-        if pass_on and width:
-            out += blocks(*fold(ctx[:, :-1], word), parts, own)
+        out = []
+        if ctx is not None:
+            shared = all_hot(grams, is_hot(hashes, hot))
+            save(uri, f"{name}c-{part}", *follows(ctx[~shared], n[~shared]))
+            c, sums = follows(ctx[shared], n[shared])
+            for r, at in slices(part_of(c, parts)):
+                out.append(("hot", r, zstandard.compress(np.column_stack([c[at], sums[at].astype(U)]).astype("<u8").tobytes())))
+        if least_hot is not None:
+            stat["hot"] = [int(h) for h in hashes[grams[n >= least_hot, 0]]]
+        out.append(("stat", part, json.dumps(stat).encode()))
+        if pass_on and order > 1:
+            lower, back = distinct(np.ascontiguousarray(grams[:, :-1]), len(hashes))
+            out += blocks(lower, hashes, np.bincount(back, minlength=len(lower)), parts, hot)
         return pa.Table.from_batches([rows_batch(out)])
 
     return rows.groupBy("part").applyInArrow(run, BLOCK)
 
 
+def hot_totals(rows: DataFrame, uri: str, name: str) -> None:
+    """Sum what ranges have of hot contexts and write the tables."""
+
+    def run(t: pa.Table) -> pa.Table:
+        x = np.concatenate([np.frombuffer(zstandard.decompress(d), "<u8").reshape(-1, 5) for d in t.column("data").to_pylist()])
+        c, back = np.unique(x[:, 0], return_inverse=True)
+        sums = np.zeros((len(c), 4), np.int64)
+        np.add.at(sums, back, x[:, 1:].astype(np.int64))
+        save(uri, f"{name}-{t.column('part')[0].as_py()}", c, sums)
+        return pa.Table.from_batches([rows_batch([])])
+
+    rows.where("kind = 'hot'").groupBy("part").applyInArrow(run, BLOCK).count()
+
+
 def total(rows: DataFrame) -> dict:
     """Sum of the ranges' statistics; one small row a range comes to the driver."""
-    out = {"of": [0] * 4, "sum": 0, "types": 0, "hot": {}, "top": []}
-    for r in rows.where("kind = 'stat'").select("ctx").toLocalIterator():
+    out = {"of": [0] * 4, "sum": 0, "types": 0, "hot": []}
+    for r in rows.where("kind = 'stat'").select("data").toLocalIterator():
         s = json.loads(bytes(r[0]))
         out["of"] = [a + b for a, b in zip(out["of"], s["of"])]
         out["sum"] += s["sum"]
         out["types"] += s["types"]
-        for key, *v in s.get("hot", []):
-            out["hot"][key] = [a + b for a, b in zip(out["hot"].get(key, [0] * 4), v)]
-        out["top"] = sorted(out["top"] + s.get("top", []), key=lambda x: -x[1])[:64]
+        out["hot"] += s.get("hot", [])
     return out
 
 
@@ -283,109 +459,121 @@ def discounts(of: list[int]) -> list[float]:
     return [0.0, *[min(max(d, 0.05), k - 0.05) for k, d in zip((1, 2, 3), raw)]]
 
 
-def train(docs: DataFrame, order: int = ORDER) -> dict:
+def train(docs: DataFrame, order: int = ORDER, least_hot: int = RANGE_TOKENS // 4) -> dict:
     """Count the texts (column text) and write the model; returns its small description."""
     if order < 2:
         raise ValueError("order must be 2 or more")
     spark = docs.sparkSession
     uri = scratch_dir(spark)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    model = {"uri": uri, "order": order, "word_parts": parts}
+    # every token is a byte and a blank at least, so no more tokens than this: the bound that few tokens are hot needs
+    letters = docs.agg(F.coalesce(F.sum(F.length("text") + 2), F.lit(0))).first()[0]
+    least_hot = max(least_hot, letters // (2 * MOST_HOT))
+    model = {"uri": uri, "order": order, "word_parts": max(parts, letters // (1000 * RANGE_TOKENS))}
 
     def stage(rows: DataFrame, name: str) -> DataFrame:
         path = f"{uri}/rows-{name}"
         rows.write.parquet(path)
         return spark.read.schema(BLOCK).parquet(path)
 
-    raw = total(stage(merged(counted(docs, 1, parts, []), 1, uri, "raw", parts, [], False), "raw"))
+    parts = model["word_parts"]
+    raw = total(stage(merged(words_counted(docs, parts), 1, uri, "raw", parts, np.zeros(0, U), least_hot, False), "raw"))
     model |= {"tokens": raw["sum"], "types": raw["types"]}
     parts = model["parts"] = max(parts, raw["sum"] // RANGE_TOKENS)
-    hot = [w for w, n in raw["top"] if n > raw["sum"] / (4 * parts)]
-    model["hot"] = {}
+    hot = model["hot"] = np.array(sorted(raw["hot"]), U)
     rows = counted(docs, order, parts, hot)
     for k in range(order, 0, -1):
-        rows = stage(merged(rows, k, uri, f"o{k}", parts, hot, True), f"o{k}")
+        rows = stage(merged(rows, k, uri, f"o{k}", parts, hot, None, True), f"o{k}")
         stat = total(rows)
         model[f"d{k}"], model[f"sum{k}"] = discounts(stat["of"]), stat["sum"]
         model[f"of{k}"] = stat["of"] + [stat["types"]]
-        if k == 2:
-            model["hot"] = stat["hot"]
+        if k > 1:
+            hot_totals(rows, uri, f"o{k}h")
         if k < order:
-            drop(f"{uri}/rows-o{k + 1}")  # its blocks are in this order's arrays now
+            drop(f"{uri}/rows-o{k + 1}")  # its blocks are in this order's tables now
         rows = rows.where("kind = 'block'")
     drop(f"{uri}/rows-o1")
     drop(f"{uri}/rows-raw")
-    model["hot_tokens"] = hot
     return model
 
 
-def chances(model: dict, ctx: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(raw count of the word, probability of the word after its context)."""
-    uri, hot = model["uri"], np.array(model["hot_tokens"], U)
-    words, back = np.unique(word, return_inverse=True)
-    none = np.zeros((len(words), 0), U)
-    (raw,) = look_up(uri, "raw", words, parts_of(none, words, model["word_parts"], hot), ("n",))
-    (cont,) = look_up(uri, "o1", words, parts_of(none, words, model["parts"], hot), ("n",))
+def chances_of(model: dict, grams: np.ndarray, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(raw count of each number's word, probability of each n-gram's word after its context) of distinct n-grams."""
+    uri, parts, hot = model["uri"], model["parts"], is_hot(hashes, model["hot"])
+    word = mix(hashes, U(5))
+    raw = look_up(uri, "raw", word, part_of(word, model["word_parts"]))[:, 0]
+    cont = look_up(uri, "o1", word, part_of(word, parts))[:, 0]
     d, whole, of = model["d1"], model["sum1"], model["of1"]
     uniform = 1 / (model["types"] + 1)
     if whole:
         kept = sum(d[k] * c for k, c in ((1, of[0]), (2, of[1]), (3, of[4] - of[0] - of[1])))
         p = (cont - np.take(d, np.minimum(cont, 3).astype(int))) / whole + kept / whole * uniform
     else:
-        p = np.full(len(words), uniform)
-    p, raw = p[back], raw[back]
-    for k in range(2, model["order"] + 1):
-        c = ctx[:, : k - 1]
-        part = parts_of(c, word, model["parts"], hot)
-        (n,) = look_up(uri, f"o{k}", mix(c[:, -1], word), part, ("n",))
-        seen, at = np.unique(c[:, -1], return_inverse=True)
-        stats = np.stack(look_up(uri, f"o{k}c", seen, parts_of(np.repeat(seen[:, None], k - 1, 1), seen, model["parts"], np.zeros(0, U)), ("sum", "one", "two", "more")), 1)
-        if k == 2:
-            for key, v in model["hot"].items():
-                stats[seen == U(key)] = v
-        stats = stats[at]
+        p = np.full(len(hashes), uniform)
+    # the n-grams of every order among these, each with the place of its lower one
+    levels, lower = [(grams, None)], grams
+    while lower.shape[1] > 2:
+        lower, back = distinct(np.ascontiguousarray(lower[:, :-1]), len(hashes))
+        levels[-1] = (levels[-1][0], back)
+        levels.append((lower, None))
+    for own, back in reversed(levels):
+        k = own.shape[1]
+        key, ctx = keys_of(own, hashes)
+        shared = all_hot(own, hot)
+        n = look_up(uri, f"o{k}", key, part_of(np.where(shared, key, ctx), parts))[:, 0]
+        # n-grams lie in order of their contexts
+        cut = np.flatnonzero(np.r_[True, ctx[1:] != ctx[:-1]]) if len(ctx) else np.zeros(0, np.int64)
+        c, split = ctx[cut], shared[cut]
+        stats = np.zeros((len(c), 4))
+        for name, at in ((f"o{k}c", np.flatnonzero(~split)), (f"o{k}h", np.flatnonzero(split))):
+            stats[at] = look_up(uri, name, c[at], part_of(c[at], parts), 4)
+        stats = np.repeat(stats, np.diff(np.r_[cut, len(ctx)]), axis=0)
         d, whole = model[f"d{k}"], stats[:, 0]
         kept = d[1] * stats[:, 1] + d[2] * stats[:, 2] + d[3] * stats[:, 3]
         some = np.maximum(whole, 1)
-        p = np.where(whole > 0, (n - np.take(d, np.minimum(n, 3).astype(int))) / some + kept / some * p, p)
+        low = p[own[:, 0]] if k == 2 else p[back]
+        p = np.where(whole > 0, (n - np.take(d, np.minimum(n, 3).astype(int))) / some + kept / some * low, low)
     return raw, p
 
 
+def chances(model: dict, tokens: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(raw count of the word, probability of the word after its context) of rows of token hashes: the word, the token
+    before it, the one before that."""
+    hashes, ranks = np.unique(tokens, return_inverse=True)
+    ranks = ranks.reshape(tokens.shape).astype(np.uint32)
+    grams, back = distinct(ranks, len(hashes))
+    raw, p = chances_of(model, grams, hashes)
+    return raw[ranks[:, 0]], p[back]
+
+
 def score(docs: DataFrame, model: dict) -> DataFrame:
     """docs (id, held_out, text) -> counts, the base and the model's log10 probability of every text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes, n, v = Hashes(), model["tokens"], model["types"]
+        n, v = model["tokens"], model["types"]
         for b in batches:
-            made, held, size = [], [], 0
-
-            def flush() -> None:
-                ctx, word = ngrams(held, model["order"])
-                raw, p = chances(model, ctx, word)
-                cut = np.cumsum([0, *[len(d) for d in held]])[:-1]
-                if len(cut):
-                    base = np.log10((raw + 1) / (n + v + 1))
-                    made.append([np.diff(np.r_[cut, len(word)]), np.add.reduceat((raw > 0).astype(np.int64), cut), np.add.reduceat(base, cut), np.add.reduceat(np.log10(p), cut)])
-
-            for d in token_docs(b.column(2), hashes):
-                held.append(d)
-                size += len(d)
-                if size >= TOKENS_AT_ONCE // 4:
-                    flush()
-                    held, size = [], 0
-            flush()
-            tokens, known, base, own = [np.concatenate(x) for x in zip(*made)] if made else [np.zeros(0)] * 4
+            sums, at, open_ = np.zeros((b.num_rows, 4)), 0, False
+            for grams, hashes, sizes in batches_of(b.column(2), model["order"], TOKENS_AT_ONCE):
+                rows, back = distinct(grams, len(hashes))
+                raw, p = chances_of(model, rows, hashes)
+                word = grams[:, 0]
+                cut = np.cumsum([0, *sizes])[:-1]
+                text = at - open_ + np.arange(len(sizes))
+                for k, x in enumerate((np.ones(len(word)), raw[word] > 0, np.log10((raw + 1) / (n + v + 1))[word], np.log10(p)[back])):
+                    sums[text, k] += np.add.reduceat(x.astype(float), cut)
+                open_ = bool(word[-1] != 1)  # the last text goes on
+                at = int(text[-1]) + 1
             i = pa.int64()
-            yield batch(id=b.column(0), held_out=b.column(1), n_tokens=pa.array(tokens.astype(np.int64), i), n_known=pa.array(known.astype(np.int64), i), train_tokens=pa.array(np.full(len(tokens), n), i), base_score=pa.array(base), score=pa.array(own))
+            yield batch(id=b.column(0), held_out=b.column(1), n_tokens=pa.array(sums[:, 0].astype(np.int64), i), n_known=pa.array(sums[:, 1].astype(np.int64), i), train_tokens=pa.array(np.full(b.num_rows, n), i), base_score=pa.array(sums[:, 2]), score=pa.array(sums[:, 3]))
 
     kind = docs.schema["id"].dataType.simpleString()
     return map_batches(docs.select("id", "held_out", "text"), run, f"id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
-def perplexity(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held: int = 2, order: int = ORDER) -> DataFrame:
+def perplexity(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held: int = 2, order: int = ORDER, least_hot: int = RANGE_TOKENS // 4) -> DataFrame:
     """Train on the rows whose id's CRC-32 mod folds is not held; score all rows. Adds the perplexity per token."""
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(crc(id_col) % folds == held, F.lit(False)).alias("held_out"), F.col(text_col).alias("text"))
-    model = train(rows.where("NOT held_out").select("text"), order)
+    model = train(rows.where("NOT held_out").select("text"), order, least_hot)
     out = score(rows, model).withColumn("perplexity", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")))
     return out.withColumnRenamed("id", id_col)
 

@@ -175,11 +175,11 @@ def slow_model(docs, order):
     return out
 
 
-@pytest.mark.parametrize("order", [2, 3])
-def test_language_model(documents, odd, order):
-    for df in (documents, odd.where("doc_id IS NULL OR doc_id != 6")):
+@pytest.mark.parametrize("order, least_hot", [(2, 10**6), (3, 10**6), (3, 3), (4, 40)])  # few, many and some hot contexts
+def test_language_model(documents, odd, order, least_hot):
+    for df in (documents, odd):
         want = Counter((a, b, c, d, round(e, 4), round(f, 4)) for a, b, c, d, e, f in slow_model(texts(df), order))
-        got = kneser_ney.perplexity(df, order=order).collect()
+        got = kneser_ney.perplexity(df, order=order, least_hot=least_hot).collect()
         assert Counter((r.doc_id, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 4), round(r.score, 4)) for r in got) == want
 
 
@@ -201,9 +201,39 @@ def test_model_sums_to_one(spark, documents):
     model = kneser_ney.train(documents.where("doc_id < 20").select("text"))
     words = sorted({w for _, t in texts(documents.where("doc_id < 20")) for w in t.encode().lower().split()})
     h = np.array([*(xxhash.xxh64_intdigest(w, 0) & kneser_ney.MASK for w in words), kneser_ney.END, 12345], np.uint64)
-    for ctx in (words[0], words[5], b"never seen"):
-        c = np.full((len(h), 1), xxhash.xxh64_intdigest(ctx, 0) & kneser_ney.MASK, np.uint64)
-        assert kneser_ney.chances(model, c, h)[1].sum() == pytest.approx(1, abs=1e-6)
+    of = lambda w: xxhash.xxh64_intdigest(w, 0) & kneser_ney.MASK
+    first = next(t.encode().lower().split() for _, t in texts(documents.where("doc_id < 20")) if len(t.split()) > 3)
+    for one, two in ((words[0], words[5]), (first[1], first[0]), (first[2], first[1]), (words[5], b"never seen"), (b"never seen", b"nor this")):
+        rows = np.stack([h, np.full(len(h), of(one), np.uint64), np.full(len(h), of(two), np.uint64)], 1)
+        assert kneser_ney.chances(model, rows)[1].sum() == pytest.approx(1, abs=1e-6)
+
+
+def test_texts_of_any_length_are_read_over_batches(spark):
+    import pyarrow as pa
+
+    r = np.random.default_rng(3)
+    docs = [" ".join(f"w{k}" for k in r.integers(0, 9, n)) for n in (0, 1, 7, 40, 3, 8, 16, 0, 25)]
+
+    def read(most):
+        out, sizes = [], 0
+        for grams, hashes, own in kneser_ney.batches_of(pa.array(docs), 3, most):
+            out += [tuple(hashes[k].tolist()) for k in grams]
+            sizes += sum(own)
+            assert sum(own) == len(grams)
+        assert sizes == len(out)
+        return out
+
+    assert all(read(most) == read(10**6) for most in (1, 2, 5, 8, 16, 30))
+
+
+def test_hash_tables(tmp_path):
+    r = np.random.default_rng(4)
+    for n in (0, 1, 7, 5000):
+        key = np.unique(r.integers(0, 2**64, n, dtype=np.uint64))
+        values = r.zipf(1.3, (len(key), 4)).clip(0, 2**40)
+        kneser_ney.save(str(tmp_path), f"t{n}", key, values)
+        t = kneser_ney.mapped(str(tmp_path), f"t{n}")
+        assert (t.get(key) == values).all() and not t.get(r.integers(0, 2**64, 1000, dtype=np.uint64)).any()
 
 
 # --- packing -----------------------------------------------------------------------------------------------------------
