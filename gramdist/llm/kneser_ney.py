@@ -1,11 +1,11 @@
 """Interpolated modified Kneser-Ney language model, counted in Spark, kept as sorted hash arrays, mapped by workers.
 
-Tokens: words split at ASCII white space, A-Z lower-cased, then one end token a text. A token is a 48-bit hash; an
-n-gram and a context are 64-bit hashes of their tokens.
+Tokens: words split at ASCII white space, A-Z lower-cased, then one end token a text. A first pass counts them by their
+64-bit hashes, in ranges, and numbers them: about in order of frequency, since a range's most frequent words get the
+smallest numbers. An n-gram and a context are 64-bit hashes of their tokens' numbers.
 
-Counting: tasks number the words of some TOKENS_AT_ONCE tokens, fold their n-grams into sorted distinct ones and send
-each range of contexts one packed block (the block's words once, then small numbers, compressed). A range is merged in
-one piece and written as two files of sorted hashes (n-grams with counts; contexts with their total and how many words
+Counting: tasks fold the n-grams of some TOKENS_AT_ONCE tokens into sorted distinct ones and send each range of contexts
+one packed block (columns of numbers, small ones being frequent, compressed). A range is merged in one piece and written as two files of sorted hashes (n-grams with counts; contexts with their total and how many words
 follow once, twice, more). Distinct n-grams of one order send the next lower order its continuation counts.
 
 A hash table is a file of buckets by leading bits, in each the next 32 bits in order, and a byte for each that numbers
@@ -47,8 +47,8 @@ from .common import batch, crc, map_batches, on_workers, scratch_dir, table
 
 ORDER = 3
 U = np.uint64
-MASK = (1 << 48) - 1
-BEGIN, END = (xxhash.xxh64_intdigest(x, 1) & MASK for x in (b"\n<", b"\n>"))  # no word holds a line break
+BEGIN, END = (xxhash.xxh64_intdigest(x, 1) for x in (b"\n<", b"\n>"))  # no word holds a line break
+NEW = -1  # the number of words that training texts don't have; 0 is what comes before a text
 TOKENS_AT_ONCE = 1_000_000  # that a task folds or scores at a time
 RANGE_TOKENS = 2_000_000
 MOST_HOT = 4_000_000  # 32 MB
@@ -78,7 +78,7 @@ class Words(dict):
 
     def __missing__(self, word: bytes) -> int:
         v = self[word] = len(self.hashes)
-        self.hashes.append(xxhash.xxh64_intdigest(word, 0) & MASK)
+        self.hashes.append(xxhash.xxh64_intdigest(word, 0))
         return v
 
 
@@ -126,31 +126,36 @@ def batches_of(texts, order: int, most: int) -> Iterator[tuple[np.ndarray, np.nd
 
 
 def distinct(grams: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-    """(distinct rows in order of context, then word; number of each row's) of n-grams of numbers below size."""
+    """(distinct rows, contexts together, and in order where numbers are small; number of each row's) of n-grams of
+    numbers below size."""
     bits, order = max(1, (size - 1).bit_length()), grams.shape[1]
     if bits * order > 64:
-        turn = [*range(1, order), 0]
-        rows, back = np.unique(grams[:, turn], axis=0, return_inverse=True)
-        return rows[:, np.argsort(turn)], back.reshape(-1)
+        key, ctx = keys_of(grams)
+        at = np.lexsort((key, ctx)) if ctx is not None else np.argsort(key)
+        new = np.r_[True, np.diff(key[at].view(np.int64)) != 0] if len(at) else np.zeros(0, bool)
+        back = np.empty(len(at), np.int64)
+        back[at] = np.cumsum(new) - 1
+        return grams[at[new]], back
     code = np.zeros(len(grams), U)
     for k in (*range(1, order), 0):
         code = code << U(bits) | grams[:, k].astype(U)
     code, back = np.unique(code, return_inverse=True)
-    out = np.empty((len(code), order), np.uint32)
+    out = np.empty((len(code), order), np.int64)
     for k in (0, *range(order - 1, 0, -1)):
         out[:, k] = code & U((1 << bits) - 1)
         code = code >> U(bits)
     return out, back
 
 
-def keys_of(grams: np.ndarray, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray | None]:
-    """(hash of each n-gram, hash of its context)."""
-    if grams.shape[1] == 1:
-        return mix(hashes[grams[:, 0]], U(5)), None
-    ctx = mix(hashes[grams[:, 1]], U(3))
-    for k in range(2, grams.shape[1]):
-        ctx = mix(ctx, hashes[grams[:, k]])
-    return mix(ctx, hashes[grams[:, 0]]), ctx
+def keys_of(grams: np.ndarray) -> tuple[np.ndarray, np.ndarray | None]:
+    """(hash of each n-gram of token numbers, hash of its context)."""
+    g = grams.astype(np.int64).view(U)
+    if g.shape[1] == 1:
+        return mix(g[:, 0], U(5)), None
+    ctx = mix(g[:, 1], U(3))
+    for k in range(2, g.shape[1]):
+        ctx = mix(ctx, g[:, k])
+    return mix(ctx, g[:, 0]), ctx
 
 
 def part_of(key: np.ndarray, parts: int) -> np.ndarray:
@@ -158,8 +163,8 @@ def part_of(key: np.ndarray, parts: int) -> np.ndarray:
 
 
 def all_hot(grams: np.ndarray, hot: np.ndarray) -> np.ndarray:
-    """Is every token of the context hot? hot tells it of each number."""
-    return hot[grams[:, 1:]].all(axis=1) if grams.shape[1] > 1 else np.zeros(len(grams), bool)
+    """Is every token of the context hot? 0 always is."""
+    return np.isin(grams[:, 1:], hot).all(axis=1) if grams.shape[1] > 1 else np.zeros(len(grams), bool)
 
 
 def parts_of(grams: np.ndarray, hot: np.ndarray, key: np.ndarray, ctx: np.ndarray | None, parts: int) -> np.ndarray:
@@ -167,10 +172,6 @@ def parts_of(grams: np.ndarray, hot: np.ndarray, key: np.ndarray, ctx: np.ndarra
     return part_of(key if ctx is None else np.where(all_hot(grams, hot), key, ctx), parts)
 
 
-def is_hot(hashes: np.ndarray, hot: np.ndarray) -> np.ndarray:
-    return np.isin(hashes, hot) | (hashes == U(BEGIN))
-
-
 def slices(part: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
     """(part, places) for every part that occurs."""
     order = np.argsort(part, kind="stable")
@@ -191,38 +192,36 @@ def from_planes(raw: bytes, n: int, width: int) -> np.ndarray:
     return out.view("<u8").reshape(-1)
 
 
-def blocks(grams: np.ndarray, hashes: np.ndarray, n: np.ndarray, parts: int, hot: np.ndarray) -> Iterator[tuple]:
-    """Packed rows of distinct n-grams, one for each range: the words used, then every column as numbers of them."""
-    own_hot = is_hot(hashes, hot)
-    key, ctx = keys_of(grams, hashes)
-    squeeze = zstandard.ZstdCompressor(level=1)
-    to = np.zeros(len(hashes), np.int64)
-    for part, at in slices(parts_of(grams, own_hot, key, ctx, parts)):
-        own, m = grams[at], n[at]
-        used = np.zeros(len(hashes), bool)
-        used[own] = True
-        words = np.flatnonzero(used)
-        to[words] = np.arange(len(words))
-        widths = [max(1, (int(x).bit_length() + 7) // 8) for x in (len(words), int(m.max()))]
-        head = np.array([len(at), len(words), *widths], "<i8").tobytes()
-        cols = [planes(to[own[:, k]], widths[0]) for k in range(own.shape[1])]
-        yield "block", part, squeeze.compress(b"".join([head, planes(hashes[words], 6), *cols, planes(m, widths[1])]))
+def blocks(grams: np.ndarray, n: np.ndarray, parts: int, hot: np.ndarray) -> Iterator[tuple]:
+    """Packed rows of distinct n-grams in order, one for each range: the steps of the nearest token, the other columns."""
+    key, ctx = keys_of(grams)
+    squeeze = zstandard.ZstdCompressor(level=3)
+    for part, at in slices(parts_of(grams, hot, key, ctx, parts)):
+        cols = [*grams[at].T, n[at]]
+        if len(cols) > 2:
+            cols[1] = np.diff(cols[1], prepend=0)
+        yield "block", part, squeeze.compress(packed(cols))
+
+
+def packed(cols: list[np.ndarray]) -> bytes:
+    widths = [max(1, (int(c.max()).bit_length() + 7) // 8) for c in cols]
+    return b"".join([np.array([len(cols[0]), *widths], "<i8").tobytes(), *(planes(c, w) for c, w in zip(cols, widths))])
 
 
 def unpack(rows: list[bytes], order: int) -> tuple[np.ndarray, np.ndarray]:
-    """(n-grams as token hashes, counts) of blocks."""
-    grams, count = [np.zeros((0, order), U)], [np.zeros(0, np.int64)]
+    """(n-grams, counts) of blocks."""
+    grams, count = [np.zeros((0, order), np.int64)], [np.zeros(0, np.int64)]
     for data in rows:
         raw = zstandard.ZstdDecompressor().decompress(data)
-        n, m, wide, count_wide = np.frombuffer(raw, "<i8", 4).tolist()
-        at = 32 + 6 * m
-        words = from_planes(raw[32:at], m, 6)
-        own = np.empty((n, order), U)
-        for k in range(order):
-            own[:, k] = words[from_planes(raw[at : at + n * wide], n, wide).astype(np.int64)]
-            at += n * wide
-        grams.append(own)
-        count.append(from_planes(raw[at : at + n * count_wide], n, count_wide).astype(np.int64))
+        n, *widths = np.frombuffer(raw, "<i8", order + 2).tolist()
+        at, cols = 8 * (order + 2), []
+        for w in widths:
+            cols.append(from_planes(raw[at : at + n * w], n, w).astype(np.int64))
+            at += n * w
+        if order > 1:
+            cols[1] = np.cumsum(cols[1])
+        grams.append(np.stack(cols[:-1], 1))
+        count.append(cols[-1])
     return np.concatenate(grams), np.concatenate(count)
 
 
@@ -232,8 +231,8 @@ def store(uri: str) -> tuple[pafs.FileSystem, str]:
     return (pafs.LocalFileSystem(), uri) if uri.startswith("/") else pafs.FileSystem.from_uri(uri)
 
 
-def save(uri: str, name: str, key: np.ndarray, values: np.ndarray) -> None:
-    """A hash table of distinct keys with a row of whole numbers each. Written under another name and then moved, so a
+def save(uri: str, name: str, key: np.ndarray, values: np.ndarray, number: np.ndarray | None = None) -> None:
+    """A hash table of distinct keys with a row of whole numbers each, and one number of its own if given. Written under another name and then moved, so a
     task that is run twice leaves one whole file."""
     order = np.argsort(key)
     key, values = key[order], values[order]
@@ -250,6 +249,8 @@ def save(uri: str, name: str, key: np.ndarray, values: np.ndarray) -> None:
     code = rank[back]
     rare = np.flatnonzero(code >= 255)
     arrays = [start.astype("<u4"), (key >> U(32 - bits)).astype("<u4"), np.minimum(code, 255).astype(np.uint8), rare.astype("<u4"), code[rare].astype("<u4"), values[first[by_use]].astype("<i8")]
+    if number is not None:
+        arrays.append(number[order].astype("<i8"))
     head = np.array([len(key), bits, int(np.diff(start).max(initial=0)), len(rare), len(by_use), values.shape[1]], "<i8")
     raw = b"".join(x.tobytes() + bytes(-x.nbytes % 8) for x in [head, *arrays])
     fs, at = store(uri)
@@ -277,12 +278,12 @@ class Table:
 
         self.start, self.low, self.code = take("<u4", (1 << self.bits) + 1), take("<u4", n), take("u1", n)
         self.rare, self.rare_code, self.values = take("<u4", rare), take("<u4", rare), take("<i8", kinds * width).reshape(kinds, width)
+        self.number = take("<i8", n) if at + 8 * n <= len(raw) else None
 
-    def get(self, key: np.ndarray) -> np.ndarray:
-        """A row of values for every key, 0 where it is absent."""
-        out = np.zeros((len(key), self.values.shape[1]))
+    def find(self, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(which keys are here, their places)."""
         if not len(self.low):
-            return out
+            return np.zeros(0, np.int64), np.zeros(0, np.int64)
         bucket = (key >> U(64 - self.bits)).astype(np.int64) if self.bits else np.zeros(len(key), np.int64)
         low = (key >> U(32 - self.bits)).astype(np.uint32)
         lo, end = self.start[bucket].astype(np.int64), self.start[bucket + 1].astype(np.int64)
@@ -292,11 +293,20 @@ class Table:
             less = (mid < hi) & (self.low[np.minimum(mid, len(self.low) - 1)] < low)
             lo, hi = np.where(less, mid + 1, lo), np.where(less, hi, mid)
         hit = np.flatnonzero((lo < end) & (self.low[np.minimum(lo, len(self.low) - 1)] == low))
-        at = lo[hit]
+        return hit, lo[hit]
+
+    def get(self, key: np.ndarray, numbers: bool = False) -> np.ndarray:
+        """A row of values for every key, 0 where it is absent; with numbers its own number too, NEW where absent."""
+        out = np.zeros((len(key), self.values.shape[1] + numbers))
+        if numbers:
+            out[:, -1] = NEW
+        hit, at = self.find(key)
         code = self.code[at].astype(np.int64)
         if len(often := np.flatnonzero(code == 255)):
             code[often] = self.rare_code[np.searchsorted(self.rare, at[often])]
-        out[hit] = self.values[code]
+        out[hit, : self.values.shape[1]] = self.values[code]
+        if numbers:
+            out[hit, -1] = self.number[at]
         return out
 
 
@@ -339,28 +349,45 @@ def look_up(uri: str, prefix: str, key: np.ndarray, part: np.ndarray, width: int
     return out
 
 
-def counted(docs: DataFrame, order: int, parts: int, hot: np.ndarray) -> DataFrame:
+def numbered(uri: str, hashes: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray]:
+    """(counts, numbers) of tokens by their hashes."""
+    out = np.zeros((len(hashes), 2))
+    out[:, 1] = NEW
+    key = mix(hashes, U(5))
+    for r, at in slices(part_of(key, parts)):
+        t = mapped(uri, f"raw-{r}")
+        if t is not None:
+            out[at] = t.get(key[at], True)
+    return out[:, 0], np.where(hashes == U(BEGIN), 0, out[:, 1].astype(np.int64))
+
+
+def counted(docs: DataFrame, order: int, parts: int, hot: np.ndarray, uri: str, word_parts: int) -> DataFrame:
     """Blocks of the n-grams of the texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for grams, hashes, _ in batches_of((t for b in batches for t in b.column(0)), order, TOKENS_AT_ONCE):
-            grams, back = distinct(grams, len(hashes))
-            yield rows_batch(list(blocks(grams, hashes, np.bincount(back, minlength=len(grams)), parts, hot)))
+            own = numbered(uri, hashes, word_parts)[1]
+            at = np.argsort(own, kind="stable")
+            turn = np.empty(len(at), np.uint32)
+            turn[at] = np.arange(len(at), dtype=np.uint32)
+            grams, back = distinct(turn[grams], len(at))
+            yield rows_batch(list(blocks(own[at][grams], np.bincount(back, minlength=len(grams)), parts, hot)))
 
     return map_batches(docs.select("text"), run, BLOCK)
 
 
 def words_counted(docs: DataFrame, parts: int) -> DataFrame:
-    """Blocks of the single tokens of the texts."""
+    """Hashes and counts of the tokens of the texts, packed for each range."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen, ends, none = Counter(), 0, np.zeros(0, U)
+        seen, ends = Counter(), 0
 
         def flush() -> pa.RecordBatch:
-            hashes = np.array([END, *(xxhash.xxh64_intdigest(w, 0) & MASK for w in seen)], U)
-            n = np.array([ends, *seen.values()], np.int64)
-            at = np.flatnonzero(n).astype(np.uint32)
-            return rows_batch(list(blocks(at[:, None], hashes, n[at], parts, none)))
+            hashes = np.array([END, *map(xxhash.xxh64_intdigest, seen)], U)
+            n, out = np.array([ends, *seen.values()], np.int64), []
+            for r, at in slices(part_of(mix(hashes, U(5)), parts)):
+                out.append(("block", r, zstandard.compress(hashes[at].tobytes() + planes(n[at], 5), 1)))
+            return rows_batch(out)
 
         for b in batches:
             for t in b.column(0):
@@ -374,6 +401,28 @@ def words_counted(docs: DataFrame, parts: int) -> DataFrame:
     return map_batches(docs.select("text"), run, BLOCK)
 
 
+def words_merged(rows: DataFrame, uri: str, parts: int, least_hot: int) -> DataFrame:
+    """Sum the counts of every range's tokens, number them and write its table; gives statistics and which are hot."""
+    on_workers(rows.sparkSession)
+
+    def run(t: pa.Table) -> pa.Table:
+        part = t.column("part")[0].as_py()
+        raw = [zstandard.decompress(d) for d in t.column("data").to_pylist()]
+        hashes = np.concatenate([np.frombuffer(d, U, len(d) // 13) for d in raw])
+        n = np.concatenate([from_planes(d[8 * (len(d) // 13) :], len(d) // 13, 5) for d in raw]).astype(np.int64)
+        hashes, back = np.unique(hashes, return_inverse=True)
+        sums = np.zeros(len(hashes), np.int64)
+        np.add.at(sums, back, n)
+        hashes, sums = hashes[sums > 0], sums[sums > 0]
+        number = np.empty(len(hashes), np.int64)
+        number[np.argsort(-sums, kind="stable")] = 1 + part + parts * np.arange(len(hashes))
+        save(uri, f"raw-{part}", mix(hashes, U(5)), sums[:, None], number)
+        stat = {"of": [0] * 4, "sum": int(sums.sum()), "types": len(sums), "hot": number[sums >= least_hot].tolist()}
+        return pa.Table.from_batches([rows_batch([("stat", part, json.dumps(stat).encode())])])
+
+    return rows.groupBy("part").applyInArrow(run, BLOCK)
+
+
 def rows_batch(rows: list[tuple]) -> pa.RecordBatch:
     kind, part, data = zip(*rows) if rows else [()] * 3
     return batch(kind=pa.array(kind, pa.string()), part=pa.array(part, pa.int32()), data=pa.array(data, pa.binary()))
@@ -388,38 +437,31 @@ def follows(key: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return key[cut], np.stack(cols, 1)
 
 
-def merged(rows: DataFrame, order: int, uri: str, name: str, parts: int, hot: np.ndarray, least_hot: int | None, pass_on: bool) -> DataFrame:
+def merged(rows: DataFrame, order: int, uri: str, name: str, parts: int, hot: np.ndarray) -> DataFrame:
     """Merge the blocks of every range, write its tables, and give statistics, the totals of hot contexts and the lower
-    order's blocks. least_hot asks for the tokens of that many occurrences."""
+    order's blocks."""
     on_workers(rows.sparkSession)
 
     def run(t: pa.Table) -> pa.Table:
         part = t.column("part")[0].as_py()
         grams, n = unpack(t.column("data").to_pylist(), order)
-        # numbers for the tokens, frequent ones first, which packs better
-        words, back, times = np.unique(grams, return_inverse=True, return_counts=True)
-        by_use = np.argsort(-times, kind="stable")
-        rank = np.empty(len(words), np.uint32)
-        rank[by_use] = np.arange(len(words), dtype=np.uint32)
-        hashes, ranks = words[by_use], rank[back].reshape(-1, order)
-        grams, back = distinct(ranks, len(hashes))
-        n = np.bincount(back, n, len(grams)).astype(np.int64) if n.sum() < 1 << 53 else np.array([n[back == k].sum() for k in range(len(grams))])
-        key, ctx = keys_of(grams, hashes)
+        size = int(grams.max()) + 1
+        grams, back = distinct(grams, size)
+        sums = np.zeros(len(grams), np.int64)
+        np.add.at(sums, back, n)
+        n = sums
+        key, ctx = keys_of(grams)
         save(uri, f"{name}-{part}", key, n[:, None])
         stat = {"of": [int((n == k).sum()) for k in (1, 2, 3, 4)], "sum": int(n.sum()), "types": len(n)}
-        out = []
+        out = [("stat", part, json.dumps(stat).encode())]
         if ctx is not None:
-            shared = all_hot(grams, is_hot(hashes, hot))
+            shared = all_hot(grams, hot)
             save(uri, f"{name}c-{part}", *follows(ctx[~shared], n[~shared]))
             c, sums = follows(ctx[shared], n[shared])
             for r, at in slices(part_of(c, parts)):
                 out.append(("hot", r, zstandard.compress(np.column_stack([c[at], sums[at].astype(U)]).astype("<u8").tobytes())))
-        if least_hot is not None:
-            stat["hot"] = [int(h) for h in hashes[grams[n >= least_hot, 0]]]
-        out.append(("stat", part, json.dumps(stat).encode()))
-        if pass_on and order > 1:
-            lower, back = distinct(np.ascontiguousarray(grams[:, :-1]), len(hashes))
-            out += blocks(lower, hashes, np.bincount(back, minlength=len(lower)), parts, hot)
+            lower, back = distinct(grams[:, :-1], size)
+            out += blocks(lower, np.bincount(back, minlength=len(lower)), parts, hot)
         return pa.Table.from_batches([rows_batch(out)])
 
     return rows.groupBy("part").applyInArrow(run, BLOCK)
@@ -459,6 +501,17 @@ def discounts(of: list[int]) -> list[float]:
     return [0.0, *[min(max(d, 0.05), k - 0.05) for k, d in zip((1, 2, 3), raw)]]
 
 
+def tidied(rows: DataFrame, path: str) -> None:
+    """Write a table; the files that its shuffle leaves are removed at once, not when the driver next collects garbage."""
+    conf, name = rows.sparkSession.conf, "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = conf.get(name, None)
+    conf.set(name, "true")
+    try:
+        rows.write.parquet(path)
+    finally:
+        conf.unset(name) if before is None else conf.set(name, before)
+
+
 def train(docs: DataFrame, order: int = ORDER, least_hot: int = RANGE_TOKENS // 4) -> dict:
     """Count the texts (column text) and write the model; returns its small description."""
     if order < 2:
@@ -473,17 +526,17 @@ def train(docs: DataFrame, order: int = ORDER, least_hot: int = RANGE_TOKENS //
 
     def stage(rows: DataFrame, name: str) -> DataFrame:
         path = f"{uri}/rows-{name}"
-        rows.write.parquet(path)
+        tidied(rows, path)
         return spark.read.schema(BLOCK).parquet(path)
 
-    parts = model["word_parts"]
-    raw = total(stage(merged(words_counted(docs, parts), 1, uri, "raw", parts, np.zeros(0, U), least_hot, False), "raw"))
+    words = model["word_parts"]
+    raw = total(stage(words_merged(words_counted(docs, words), uri, words, least_hot), "raw"))
     model |= {"tokens": raw["sum"], "types": raw["types"]}
     parts = model["parts"] = max(parts, raw["sum"] // RANGE_TOKENS)
-    hot = model["hot"] = np.array(sorted(raw["hot"]), U)
-    rows = counted(docs, order, parts, hot)
+    hot = model["hot"] = np.array([0, *sorted(raw["hot"])])
+    rows = counted(docs, order, parts, hot, uri, words)
     for k in range(order, 0, -1):
-        rows = stage(merged(rows, k, uri, f"o{k}", parts, hot, None, True), f"o{k}")
+        rows = stage(merged(rows, k, uri, f"o{k}", parts, hot), f"o{k}")
         stat = total(rows)
         model[f"d{k}"], model[f"sum{k}"] = discounts(stat["of"]), stat["sum"]
         model[f"of{k}"] = stat["of"] + [stat["types"]]
@@ -498,11 +551,12 @@ def train(docs: DataFrame, order: int = ORDER, least_hot: int = RANGE_TOKENS //
 
 
 def chances_of(model: dict, grams: np.ndarray, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(raw count of each number's word, probability of each n-gram's word after its context) of distinct n-grams."""
-    uri, parts, hot = model["uri"], model["parts"], is_hot(hashes, model["hot"])
-    word = mix(hashes, U(5))
-    raw = look_up(uri, "raw", word, part_of(word, model["word_parts"]))[:, 0]
-    cont = look_up(uri, "o1", word, part_of(word, parts))[:, 0]
+    """(raw count of each hash, probability of each n-gram's word after its context) of distinct n-grams, contexts
+    together; n-grams hold places in hashes."""
+    uri, parts, hot = model["uri"], model["parts"], model["hot"]
+    raw, number = numbered(uri, hashes, model["word_parts"])
+    word, _ = keys_of(number[:, None])
+    cont = look_up(uri, "o1", word, part_of(word, parts))[:, 0] * (number != NEW)
     d, whole, of = model["d1"], model["sum1"], model["of1"]
     uniform = 1 / (model["types"] + 1)
     if whole:
@@ -513,15 +567,16 @@ def chances_of(model: dict, grams: np.ndarray, hashes: np.ndarray) -> tuple[np.n
     # the n-grams of every order among these, each with the place of its lower one
     levels, lower = [(grams, None)], grams
     while lower.shape[1] > 2:
-        lower, back = distinct(np.ascontiguousarray(lower[:, :-1]), len(hashes))
+        lower, back = distinct(lower[:, :-1], len(hashes))
         levels[-1] = (levels[-1][0], back)
         levels.append((lower, None))
     for own, back in reversed(levels):
         k = own.shape[1]
-        key, ctx = keys_of(own, hashes)
-        shared = all_hot(own, hot)
+        tokens = number[own]
+        key, ctx = keys_of(tokens)
+        shared = all_hot(tokens, hot)
         n = look_up(uri, f"o{k}", key, part_of(np.where(shared, key, ctx), parts))[:, 0]
-        # n-grams lie in order of their contexts
+        # n-grams lie together by their contexts; those of several new words may look alike, and have nothing
         cut = np.flatnonzero(np.r_[True, ctx[1:] != ctx[:-1]]) if len(ctx) else np.zeros(0, np.int64)
         c, split = ctx[cut], shared[cut]
         stats = np.zeros((len(c), 4))

@@ -200,8 +200,8 @@ def test_production_order_scores_better_and_leaves_no_blocks(documents):
 def test_model_sums_to_one(spark, documents):
     model = kneser_ney.train(documents.where("doc_id < 20").select("text"))
     words = sorted({w for _, t in texts(documents.where("doc_id < 20")) for w in t.encode().lower().split()})
-    h = np.array([*(xxhash.xxh64_intdigest(w, 0) & kneser_ney.MASK for w in words), kneser_ney.END, 12345], np.uint64)
-    of = lambda w: xxhash.xxh64_intdigest(w, 0) & kneser_ney.MASK
+    h = np.array([*(xxhash.xxh64_intdigest(w, 0) for w in words), kneser_ney.END, 12345], np.uint64)
+    of = lambda w: xxhash.xxh64_intdigest(w, 0)
     first = next(t.encode().lower().split() for _, t in texts(documents.where("doc_id < 20")) if len(t.split()) > 3)
     for one, two in ((words[0], words[5]), (first[1], first[0]), (first[2], first[1]), (words[5], b"never seen"), (b"never seen", b"nor this")):
         rows = np.stack([h, np.full(len(h), of(one), np.uint64), np.full(len(h), of(two), np.uint64)], 1)
