@@ -35,8 +35,25 @@ BAD_CHUNKS = 0.1  # a document fails when more than this share of its chunks is
 LEVEL = 3
 
 
-def repeated_words(words: list[bytes], width: int = 5) -> int:
+def long_windows(words: list[bytes], width: int) -> np.ndarray:
+    """A number for each window, equal for equal ones: windows grow by a word at a time, in eight bytes each."""
+    known: dict[bytes, int] = {}
+    one = np.fromiter((known.setdefault(w, len(known)) for w in words), np.int64, len(words))
+    out = one
+    for k in range(1, width):
+        out = np.unique(out[: len(one) - k] * len(known) + one[k:], return_inverse=True)[1]
+    return out
+
+
+def repeated_words(words: list[bytes], width: int = 5, long: int = 100_000) -> int:
     """Words that lie in a window of `width` words found twice or more."""
+    if len(words) > long:
+        of, n = np.unique(long_windows(words, width), return_inverse=True, return_counts=True)[1:]
+        step = np.zeros(len(words) + 1, np.int64)
+        at = np.flatnonzero(n[of] > 1)
+        step[at] += 1
+        step[at + width] -= 1
+        return int((np.cumsum(step[:-1]) > 0).sum())
     windows = list(zip(*[words[k:] for k in range(width)]))
     if len(set(windows)) == len(windows):
         return 0

@@ -32,6 +32,7 @@ from .common import batch, join_groups, map_batches, table, written
 SEED = 42
 LANES = np.uint64(0x0101010101010101)
 STEPS = np.arange(8, dtype=np.uint64)
+AT_ONCE = 100_000  # shingles whose bits are held at a time
 
 
 def fingerprint(text: str | None, shingle: int = 3) -> int:
@@ -39,21 +40,23 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
     words = (text or "").encode().lower().split()
     if not words:
         return 0
-    joined = b" ".join(words)
-    if len(words) <= shingle:
-        hashes = [xxhash.xxh64_intdigest(joined, SEED)]
-    else:
-        ends = list(accumulate(map(len, words)))
-        ends = [e + k for k, e in enumerate(ends)]
-        starts = [0, *[e + 1 for e in ends]]
-        digest = xxhash.xxh64_intdigest
-        hashes = [digest(joined[s:e], SEED) for s, e in zip(starts, ends[shingle - 1 :])]
-    h = np.array(hashes, dtype=np.uint64)
-    # byte lanes: counter k of byte j counts bit 8 j + k, 255 hashes at a time so that no lane overflows
-    bits = (h[:, None] >> STEPS) & LANES
-    sums = np.add.reduceat(bits, np.arange(0, len(h), 255), axis=0)
-    counts = sums.view(np.uint8).reshape(len(sums), 8, 8).sum(axis=0, dtype=np.int64)  # [k, j]
-    over = (2 * counts > len(h)).T.reshape(64)  # bit 8 j + k
+    counts, total = np.zeros((8, 8), np.int64), max(len(words) - shingle + 1, 1)  # [k, j]
+    digest = xxhash.xxh64_intdigest
+    for at in range(0, total, AT_ONCE):
+        own = words[at : at + AT_ONCE + shingle - 1]
+        joined = b" ".join(own)
+        if len(own) <= shingle:
+            hashes = [digest(joined, SEED)]
+        else:
+            ends = [e + k for k, e in enumerate(accumulate(map(len, own)))]
+            starts = [0, *[e + 1 for e in ends]]
+            hashes = [digest(joined[s:e], SEED) for s, e in zip(starts, ends[shingle - 1 :])]
+        h = np.array(hashes, dtype=np.uint64)
+        # byte lanes: counter k of byte j counts bit 8 j + k, 255 hashes at a time so that no lane overflows
+        bits = (h[:, None] >> STEPS) & LANES
+        sums = np.add.reduceat(bits, np.arange(0, len(h), 255), axis=0)
+        counts += sums.view(np.uint8).reshape(len(sums), 8, 8).sum(axis=0, dtype=np.int64)
+    over = (2 * counts > total).T.reshape(64)  # bit 8 j + k
     return int(np.packbits(over, bitorder="little").view(np.uint64)[0])
 
 
@@ -142,7 +145,7 @@ def union(label: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray:
         if (lo == hi).all():
             return label
         np.minimum.at(label, hi, lo)
-        while (nxt := label[label]).tolist() != label.tolist():
+        while not np.array_equal(nxt := label[label], label):
             label = nxt
 
 

@@ -539,3 +539,52 @@ def test_language_edges(spark, odd):
     assert lang_fusion.fused_texts(odd, model).count() == 12
     nothing = lang_fusion.fused(pages, lang_fusion.train(odd.limit(0))).collect()
     assert len(nothing) == 5 and {r.lang for r in nothing} == {None}
+
+
+# --- very long and hostile texts -----------------------------------------------------------------------------------------
+
+
+@pytest.mark.parametrize("piece", [" ", "\n", "a", "<!--", "<script ", "<style>", "<html ", "<", "&#99999999999", "lang = ", "word "])
+def test_two_million_letters_of_one_kind(piece):
+    """Every kernel ends in seconds, whatever a text repeats."""
+    import time
+
+    text = piece * (2_000_000 // len(piece))
+    squeeze = zstandard.ZstdCompressor(level=1)
+    start = time.time()
+    ids = packing.encoder(packing.default_tokenizer())(text)
+    assert len(ids) > 1000
+    lang_fusion.page_text(text), lang_fusion.declared_lang(text)
+    simhash.fingerprint(text)
+    compression_rules.base_measures(text)
+    pu_quality.statistics(text, squeeze)
+    mil_toxicity.sentence_scores({"bias": -5.0, "weights": {"word": 1.0}}, text, {})
+    assert time.time() - start < 90
+
+
+def test_pages_are_read_as_by_plain_patterns():
+    hidden, tag = re.compile(r"<!--.*?-->|<(script|style|nav)\b.*?</\1\s*>", re.S | re.I), re.compile(r"<[^>]*>")
+    declared = re.compile(r"<html\b[^>]*?\blang\s*=\s*[\"']?([A-Za-z]+)", re.I)
+    r = np.random.default_rng(2)
+    marks = ["<!--", "-->", "<script>", "</script >", "<style", "</style>", "<nav ", "</NAV>", ">", "<", "a b", "<html ", "lang=", "'de'", " lang = en", "&amp;", "x", "\n"]
+    import html
+
+    for _ in range(3000):
+        page = "".join(r.choice(marks, r.integers(0, 14)))
+        assert lang_fusion.page_text(page) == html.unescape(tag.sub(" ", hidden.sub(" ", page)))
+        said = declared.search(page)
+        assert lang_fusion.declared_lang(page) == (said[1].lower() if said else "")
+
+
+def test_long_texts_as_short_ones():
+    r = np.random.default_rng(6)
+    for n in (3, 4, 5, 6, 50, 400):
+        words = [b"w%d" % k for k in r.integers(0, 4, n)]
+        assert compression_rules.repeated_words(words, long=0) == compression_rules.repeated_words(words)
+    text, at_once = " ".join(f"w{k}" for k in r.integers(0, 50, 1000)), simhash.AT_ONCE
+    want = simhash.fingerprint(text)
+    try:
+        for simhash.AT_ONCE in (1, 7, 996, 997, 998, 999):
+            assert simhash.fingerprint(text) == want
+    finally:
+        simhash.AT_ONCE = at_once
