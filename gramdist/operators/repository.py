@@ -2,12 +2,14 @@
 
 Keys are the two texts of a symbol pair, so equal segments of different strings, grammars and pairs meet in one row.
 The plan is closed downwards level by level, known keys are dropped by an anti join, and each level's tables are
-merged from the levels below by two joins and an Arrow kernel. Payloads are packed: a braid is an int32 array, linear
-in the segments' lengths, which is what can be shuffled at scale; dense matrices serve cost tables.
+merged from the levels below by two joins and an Arrow kernel. A level is written once and never rewritten. Payloads are
+dense matrices of the scoring's numbers, so a table's bytes grow with the square of its segments: x bounds them.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -16,7 +18,6 @@ from pyspark.sql import functions as F
 from ..functions import cuts
 from ..functions import dist as D
 from ..functions import grammar as G
-from ..functions import succinct as S
 from ..model import DIST
 from ..scoring import Scoring
 from ..session import kept, workers
@@ -59,11 +60,15 @@ def plan(pairs: DataFrame, syms: DataFrame) -> DataFrame:
     return pairs.join(a, "a_id").join(b, "b_id").select("a", "b").distinct()
 
 
+def together(tables: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, tables)
+
+
 def close(needed: DataFrame, syms: DataFrame) -> DataFrame:
     """The keys that tables are merged from, all the way down: split the longer side, one merge a key."""
     # one way to split a text is enough for all grammars that hold it
     split = kept(syms.where("left IS NOT NULL").groupBy("text").agg(F.min(F.struct("left", "right")).alias("s")).select("text", "s.left", "s.right"))
-    done = None
+    levels: list[DataFrame] = []
     new = kept(needed.select("a", "b").distinct())
     while not new.isEmpty():
         rows = F.length("a") >= F.length("b")
@@ -72,11 +77,11 @@ def close(needed: DataFrame, syms: DataFrame) -> DataFrame:
         none = F.lit(None).cast("string")
         leaf = new.where("length(a) = 1 AND length(b) = 1").select("a", "b", none.alias("a1"), none.alias("b1"), none.alias("a2"), none.alias("b2"))
         level = kept(by_a.unionByName(by_b).unionByName(leaf))
-        done = level if done is None else kept(done.unionByName(level))
+        levels.append(level)
         below = level.where("a1 IS NOT NULL")
         nxt = below.select(F.col("a1").alias("a"), F.col("b1").alias("b")).unionByName(below.select(F.col("a2").alias("a"), F.col("b2").alias("b"))).distinct()
-        new = kept(nxt.join(done.select("a", "b"), ["a", "b"], "left_anti"))
-    return done if done is not None else needed.sparkSession.createDataFrame([], "a string, b string, a1 string, b1 string, a2 string, b2 string")
+        new = kept(nxt.join(together(levels).select("a", "b"), ["a", "b"], "left_anti"))
+    return together(levels) if levels else needed.sparkSession.createDataFrame([], "a string, b string, a1 string, b1 string, a2 string, b2 string")
 
 
 def build(closed: DataFrame, scoring: Scoring | None = None, known: DataFrame | None = None) -> DataFrame:
@@ -90,7 +95,7 @@ def build(closed: DataFrame, scoring: Scoring | None = None, known: DataFrame |
         have = known.select(F.col("a_text").alias("a"), F.col("b_text").alias("b"))
         todo = todo.join(have, ["a", "b"], "left_anti")
     todo = kept(todo)
-    done = known
+    levels = [] if known is None else [known]
 
     def leaves(batches):
         for b in batches:
@@ -114,9 +119,10 @@ def build(closed: DataFrame, scoring: Scoring | None = None, known: DataFrame |
             yield _pack(rows)
 
     made = kept(todo.where("a1 IS NULL").select("a", "b").mapInArrow(leaves, DIST))
-    done = made if done is None else kept(done.unionByName(made))
+    levels.append(made)
     todo = kept(todo.where("a1 IS NOT NULL"))
     while not todo.isEmpty():
+        done = together(levels)
         one = done.select(F.col("a_text").alias("a1"), F.col("b_text").alias("b1"), F.col("payload").alias("one"))
         two = done.select(F.col("a_text").alias("a2"), F.col("b_text").alias("b2"), F.col("payload").alias("two"))
         ready = todo.join(one, ["a1", "b1"]).join(two, ["a2", "b2"])
@@ -124,8 +130,8 @@ def build(closed: DataFrame, scoring: Scoring | None = None, known: DataFrame |
         if made.isEmpty():
             raise ValueError("a key's parts are missing from the plan")
         todo = kept(todo.join(made.select(F.col("a_text").alias("a"), F.col("b_text").alias("b")), ["a", "b"], "left_anti"))
-        done = kept(done.unionByName(made))
-    return done
+        levels.append(made)
+    return together(levels)
 
 
 def uniform(pairs: DataFrame, strings: DataFrame, x: int, scoring: Scoring | None = None) -> DataFrame:
@@ -212,8 +218,3 @@ def shared_distance(pairs: DataFrame, strings: DataFrame, x: int, scoring: Scori
 
     kind = pairs.schema["pair_id"].dataType.simpleString()
     return per.select("pair_id", "a", "b", "tables").mapInArrow(sweep, f"pair_id {kind}, distance double"), repo
-
-
-def braid(a: str, b: str) -> bytes:
-    """A linear-space payload for unit costs."""
-    return S.comb(S.doubled(a), S.doubled(b)).astype("<i4").tobytes()

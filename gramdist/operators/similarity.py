@@ -47,7 +47,8 @@ def shared_minima(strings: DataFrame, hashes: int = 3, width: int = 5) -> DataFr
 
 def nearest(queries: DataFrame, strings: DataFrame, top: int) -> DataFrame:
     """Each query's nearest strings by unit distance: (query_id, string_id, distance, rank), ties by id. A stated set
-    of queries meets all strings, in blocks of queries; the running best is kept per block, not all pairs."""
+    of queries meets all strings; every pair's distance goes to the query's window, whose rank filter Spark applies
+    before the shuffle too, so a task sends at most `top` rows a query. The queries are sent to all tasks."""
     q = F.struct(F.col("string_id").alias("query_id"), F.col("text").alias("q"))
     blocks = queries.groupBy(F.pmod(F.xxhash64("string_id"), F.lit(8)).alias("block")).agg(F.collect_list(q).alias("qs"))
     rows = strings.select("string_id", "text").crossJoin(F.broadcast(blocks)).select("string_id", "text", F.explode("qs").alias("x"))

@@ -218,3 +218,52 @@ def test_best_window():
     for _ in range(40):
         p, t = ("".join(r.choice("abc") for _ in range(n)) for n in (r.randint(1, 6), r.randint(0, 14)))
         assert B.best_window(p, t) == min(plain(p, t[i:j], Scoring.unit()) for i in range(len(t) + 1) for j in range(i, len(t) + 1))
+
+
+@settings(max_examples=40, deadline=None)
+@given(words, words, st.sampled_from([(1, 1, 1), (1, 1, 2), (1, 1, 1.5), (2, 1, 2), (3, 2, 1), (1, 1, 0.5)]))
+def test_braids_serve_every_uniform_rational_scoring(a, b, costs):
+    s = Scoring.rational(*costs)
+    assert S.braided(s) and (D.by_braid(a, b, s) == D.by_tables(a, b, s)).all()
+
+
+@pytest.mark.parametrize("base", [1, 32])
+def test_braid_products_by_both_ways(base, monkeypatch):
+    r = np.random.default_rng(1)
+    for n in (1, 2, 5, 33, 70, 200):
+        a, b = r.permutation(n), r.permutation(n)
+        want = S.product(a, b)
+        monkeypatch.setattr(S, "BASE", base)
+        assert (S.product(a, b) == want).all()
+        monkeypatch.undo()
+
+
+def test_monge_products_read_quadratically():
+    r = random.Random(3)
+    for n in (40, 80, 160):
+        a, b, c = ("".join(r.choice("abcde") for _ in range(n)) for _ in range(3))
+        s = letter_classes(0.37)
+        x, y = D.by_increments(a, b, s), D.by_increments(a, c, s)
+        probes: list[int] = []
+        got = M.monge_product(x[:, n:], y[: n + 1, :], probes, at_once=5000)
+        assert np.allclose(got, D.min_plus(x[:, n:], y[: n + 1, :]))
+        assert probes[0] <= 12 * len(x) ** 2
+
+
+@pytest.mark.parametrize("form", ["perm", "points", "dense"])
+def test_wide_blocks_are_searched_along_diagonals(form):
+    for family, k in (("fibonacci", 15), ("thue", 9), ("doubling", 9)):
+        one, two = G.word(family, k), G.word(family, k - 1)
+        a, b = one.expand(), two.expand()
+        for x in (20, 45, 90):
+            ca, cb, repo = C.grammar_cut(one, x), C.grammar_cut(two, x), B.Repository(Scoring.unit(), form)
+            assert B.sweep(ca, cb, repo) == dp.distance(a, b, Scoring.unit())
+            assert x < 40 or repo.count["probes"] < len(a) * len(b)
+
+
+def test_block_route_is_taken_where_it_is_cheaper():
+    a, b = G.word("fibonacci", 16).expand(), G.word("fibonacci", 15).expand()
+    want = dp.bit_distance(a, b)
+    assert B.priced_blocks(a, b, 1e18, planner.block_ns, planner.side, 5) == want
+    assert B.priced_blocks(a, b, 1.0, planner.block_ns, planner.side, 5) is None
+    assert B.priced_blocks("the quick brown fox", "jumps over", 1e18, planner.block_ns, planner.side, planner.PACKED) is None

@@ -223,3 +223,20 @@ def _event_words(spark):
     from gramdist.workloads import event_words
 
     return event_words(spark, "/root/testdata/sf0.001")
+
+
+def test_near_copies_are_paired_from_whole_texts(spark):
+    """Copies with a word changed anywhere, at the front too, go together; strangers don't."""
+    import random
+
+    from gramdist.operators import similarity as sim
+
+    r = random.Random(8)
+    rows = []
+    for k in range(120):
+        w = [f"w{r.randrange(5000)}" for _ in range(200)]
+        rows.append((2 * k, " ".join(w)))
+        w[r.choice([0, 1, 100, 199])] = "changed"
+        rows.append((2 * k + 1, " ".join(w)))
+    got = {(x.a_id, x.b_id) for x in sim.shared_minima(spark.createDataFrame(rows, "string_id long, text string")).collect()}
+    assert len(got & {(2 * k, 2 * k + 1) for k in range(120)}) >= 117 and all(a + 1 == b and a % 2 == 0 for a, b in got)
