@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -12,14 +13,29 @@ from ..session import kept as written
 from ..session import scratch as scratch_dir
 from ..session import workers as on_workers
 
-__all__ = ["WORD", "batch", "boxed", "crc", "join_groups", "map_batches", "on_workers", "quoted", "scratch_dir", "table", "unboxed", "without", "written"]
+__all__ = ["WORD", "batch", "boxed", "crc", "give_back", "join_groups", "map_batches", "on_workers", "quoted", "scratch_dir", "table", "unboxed", "without", "written"]
 
 WORD = r"[^\x20\x09-\x0D]+"
 
 
 def map_batches(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema) -> DataFrame:
+    """fn over all batches of a partition. A worker process serves many tasks, so each gives back what it no longer
+    needs: otherwise the freed memory of every earlier stage stays with the process."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from fn(batches)
+        give_back()
+
     on_workers(df.sparkSession)
-    return df.mapInArrow(fn, schema)
+    return df.mapInArrow(run, schema)
+
+
+def give_back() -> None:
+    """Return freed memory to the system, where the C library can."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
 
 
 def batch(**columns) -> pa.RecordBatch:
