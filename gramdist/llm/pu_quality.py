@@ -6,9 +6,12 @@ gradient is reversed. The class prior is estimated first: a classifier of truste
 ranks both on rows that it hasn't seen, and the least ratio of the shares above a threshold (with a margin for
 small counts) bounds the share of good documents among the unlabelled.
 
-Inputs are statistics of the text alone (letters, symbols, words, lines, repetition, zstandard ratio).
-Fit: at most SAMPLE trusted and SAMPLE unlabelled documents (those with the smallest hash of their id); all rows
-are scored.
+Inputs are statistics of the text alone (letters, symbols, words, lines, repetition, zstandard ratio), computed once
+for every row and written.
+Fit: at most SAMPLE trusted and SAMPLE unlabelled rows (those with the smallest hash of their id). The prior and the
+logit called even are taken from all rows, as histograms of their logits with STEPS cells a unit: of all trusted rows
+and of all rows of the table. The classifier behind the prior is fitted twice, to either half of the sampled ids, and
+ranks the rows of the other half.
 
 Nulls and ties: a null text is an empty one and is scored; a null label is no label; an id labelled twice is
 trusted if all its rows say good; repeated rows are scored each; without trusted documents every score is 0.5.
@@ -25,10 +28,11 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch, crc, map_batches, table
+from .common import batch, crc, map_batches, table, written
 
 SAMPLE = 8000
 HIDDEN = 24
+STEPS, REACH = 64, 40  # histograms of logits: cells a unit, largest logit told apart
 CLASSES = {"upper": b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", "lower": b"abcdefghijklmnopqrstuvwxyz", "digit": b"0123456789", "blank": b" \t", "line": b"\n", "stop": b".", "comma": b",;:", "shout": b"!?", "mark": b"#*$%&^~+=@", "bar": b"|<>{}[]\\/_", "quote": b"\"'`()-"}
 NAMES = [*CLASSES, "wide", "words", "word_length", "distinct", "short", "capital", "shouted", "marked", "line_length", "same_lines", "pairs", "ratio", "symbols_at_end", "longest", "again"]
 
@@ -63,17 +67,22 @@ def statistics(text: str, squeeze: zstandard.ZstdCompressor) -> list[float]:
     return out
 
 
-def featured(rows: DataFrame, carried: str) -> DataFrame:
-    """rows (id, text, one more column) -> id, that column, statistics packed as float32."""
+def featured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """id, half (by a hash of the id) and the statistics packed as float32."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         squeeze = zstandard.ZstdCompressor(level=1)
         for b in batches:
-            made = [np.array(statistics(t.as_py() or "", squeeze), "<f4").tobytes() for t in b.column(1)]
-            yield batch(id=b.column(0), c=b.column(2), x=pa.array(made, pa.binary()))
+            made = [np.array(statistics(t.as_py() or "", squeeze), "<f4").tobytes() for t in b.column(2)]
+            yield batch(id=b.column(0), half=b.column(1), x=pa.array(made, pa.binary()))
 
-    kind = rows.schema["id"].dataType.simpleString()
-    return map_batches(rows.select("id", "text", F.col(carried).alias("c")), run, f"id {kind}, c {rows.schema[carried].dataType.simpleString()}, x binary")
+    key = F.col(id_col)
+    rows = docs.select(key.alias("id"), F.xxhash64(key, F.lit(11)).bitwiseAND(1).cast("int").alias("half"), F.col(text_col).alias("text"))
+    return map_batches(rows, run, f"id {docs.schema[id_col].dataType.simpleString()}, half int, x binary")
+
+
+def unpacked(x: pa.Array) -> np.ndarray:
+    return np.frombuffer(b"".join(x.to_pylist()), "<f4").astype(float).reshape(-1, len(NAMES))
 
 
 class Net:
@@ -116,27 +125,51 @@ def batches_of(n: int, size: int, r: np.random.Generator) -> Iterator[np.ndarray
         yield order[k : k + size]
 
 
-def class_prior(pos: np.ndarray, unl: np.ndarray, rounds: int = 30, seed: int = 5) -> float:
-    """Share of good among unlabelled documents, from the top of a ranking of trusted against unlabelled."""
-    r = np.random.default_rng(seed)
-    p, u = r.permutation(len(pos)), r.permutation(len(unl))
-    half = lambda x: (x[: len(x) // 2], x[len(x) // 2 :])
-    (p_fit, p_see), (u_fit, u_see) = half(p), half(u)
-    if min(map(len, (p_fit, p_see, u_fit, u_see))) < 5:
-        return 0.5
-    x, y = np.r_[pos[p_fit], unl[u_fit]], np.r_[np.ones(len(p_fit)), np.zeros(len(u_fit))]
-    w = np.where(y > 0, 0.5 / len(p_fit), 0.5 / len(u_fit)) * len(y)
-    net = Net(x)
+def ranker(pos: np.ndarray, unl: np.ndarray, rounds: int = 30, seed: int = 5) -> Net | None:
+    """A classifier of trusted against unlabelled documents; None for fewer than 5 of either."""
+    if min(len(pos), len(unl)) < 5:
+        return None
+    x, y = np.r_[pos, unl], np.r_[np.ones(len(pos)), np.zeros(len(unl))]
+    w = np.where(y > 0, 0.5 / len(pos), 0.5 / len(unl)) * len(y)
+    r, net = np.random.default_rng(seed), Net(x)
     for _ in range(rounds):
         for k in batches_of(len(y), 256, r):
             net.step(x[k], w[k] * (sigmoid(net.logits(x[k])) - y[k]) / len(k), 0.003)
-    zp, zu = np.sort(net.logits(pos[p_see])), np.sort(net.logits(unl[u_see]))
-    cuts = np.quantile(zp, np.linspace(0, 0.98, 99))
-    over = lambda z: 1 - np.searchsorted(z, cuts) / len(z)
-    qp, qu = over(zp), over(zu)
-    margin = np.sqrt(np.log(40) / 2 / len(zp)) + np.sqrt(np.log(40) / 2 / len(zu))
-    best = int(np.argmin((qu + margin) / np.maximum(qp, 1e-9)))
-    return float(np.clip(qu[best] / max(qp[best], 1e-9), 0.02, 0.98))
+    return net
+
+
+def cells(z: np.ndarray) -> np.ndarray:
+    return (np.floor(np.clip(z, -REACH, REACH) * STEPS) + REACH * STEPS).astype(np.int64)
+
+
+def histogram(cell: np.ndarray, n: np.ndarray | None = None) -> np.ndarray:
+    return np.bincount(cell, n, 2 * REACH * STEPS + 1)
+
+
+def quantile(h: np.ndarray, q: float) -> float:
+    """The middle of the cell that the share q of all rows reaches."""
+    k = int(np.searchsorted(np.cumsum(h), q * h.sum()))
+    return (k + 0.5) / STEPS - REACH
+
+
+def share_of_good(hp: np.ndarray, hu: np.ndarray) -> float:
+    """From the ranker's histograms of trusted and of all rows: the least ratio of their shares above a threshold."""
+    if not hp.sum() or not hu.sum():
+        return 0.5
+    qp, qu = (1 - np.r_[0, np.cumsum(h)[:-1]] / h.sum() for h in (hp, hu))
+    margin = np.sqrt(np.log(40) / 2 / hp.sum()) + np.sqrt(np.log(40) / 2 / hu.sum())
+    best = int(np.argmin(np.where(qp >= 0.02, (qu + margin) / np.maximum(qp, 1e-9), np.inf)))
+    return float(np.clip(qu[best] / qp[best], 0.02, 0.98))
+
+
+def class_prior(pos: np.ndarray, unl: np.ndarray, seed: int = 5) -> float:
+    """Share of good among unlabelled documents held in memory."""
+    r = np.random.default_rng(seed)
+    halves = [[x[k::2] for k in (0, 1)] for x in (r.permutation(pos), r.permutation(unl))]
+    nets = [ranker(halves[0][k], halves[1][k]) for k in (1, 0)]  # each half is ranked by the other's
+    if None in nets:
+        return 0.5
+    return share_of_good(*(sum(histogram(cells(net.logits(x))) for net, x in zip(nets, h)) for h in halves))
 
 
 def fit(pos: np.ndarray, unl: np.ndarray, prior: float | None = None, rounds: int = 60, rate: float = 0.004, seed: int = 7) -> dict:
@@ -156,45 +189,92 @@ def fit(pos: np.ndarray, unl: np.ndarray, prior: float | None = None, rounds: in
                 net.step(np.r_[p, u], np.r_[gp - prior * sigmoid(-zp) / len(zp), gu], rate)
             else:
                 net.step(np.r_[p, u], -np.r_[gp, gu], rate)
-    return {"net": net, "prior": prior, "cut": cut_between(net.logits(pos), net.logits(unl), prior)}
+    return {"net": net, "prior": prior, "cut": cut_between(histogram(cells(net.logits(pos))), histogram(cells(net.logits(unl))), prior)}
 
 
-def cut_between(zp: np.ndarray, zu: np.ndarray, prior: float) -> float:
-    """The logit to call even. Clipping the risk at zero stops small groups of bad texts short of it, so it is placed
-    midway between the lowest trusted documents and the top of the share of unlabelled ones that the prior leaves."""
-    low_good, high_bad = np.quantile(zp, 0.002), np.quantile(zu, max(0.0, 1 - prior - 0.01))
+def cut_between(hp: np.ndarray, hu: np.ndarray, prior: float) -> float:
+    """The logit to call even, from histograms of the logits of trusted and of all rows. Clipping the risk at zero stops
+    small groups of bad texts short of it, so it is placed midway between the lowest trusted documents and the top of
+    the share of unlabelled ones that the prior leaves."""
+    if not hp.sum() or not hu.sum():
+        return 0.0
+    low_good, high_bad = quantile(hp, 0.002), quantile(hu, max(0.0, 1 - prior - 0.01))
     return float(max(0.0, (low_good + high_bad) / 2)) if low_good > high_bad else 0.0
 
 
+def counted(feats: DataFrame, good: DataFrame, nets: list[Net]) -> tuple[np.ndarray, np.ndarray]:
+    """Histograms of the logits of all trusted rows and of all rows, each row by the net of its half. Rows are counted
+    by cell, trusted ones by id and cell, before they are shuffled."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            x, half = unpacked(b.column(2)), b.column(1).to_numpy()
+            yield batch(id=b.column(0), cell=pa.array(cells(np.where(half == 0, nets[0].logits(x), nets[1].logits(x)))))
+
+    rows = map_batches(feats, run, f"id {feats.schema['id'].dataType.simpleString()}, cell long")
+    trusted = rows.groupBy("id", "cell").agg(F.count("*").alias("n")).join(good, "id", "left_semi")
+
+    def of(per_cell: DataFrame) -> np.ndarray:  # as many rows as cells
+        got = per_cell.toPandas()
+        return histogram(got["cell"].to_numpy(np.int64), got["n"].to_numpy(np.int64))
+
+    return of(trusted.groupBy("cell").agg(F.sum("n").alias("n"))), of(rows.groupBy("cell").agg(F.count("*").alias("n")))
+
+
+def lowest(rows: DataFrame, sample: int, seed: int, *ties: str) -> DataFrame:
+    """At most `sample` rows, those with the smallest hash of their id. A bound on the hash, four times too high, spares
+    the sort most rows of a large table."""
+    n = rows.count()
+    place = F.xxhash64("id", F.lit(seed)).bitwiseAND((1 << 62) - 1)
+    most = (1 << 62) * 4 * sample // max(n, 4 * sample)
+    return rows.where(place < F.lit(most)).orderBy(place, "id", *ties).limit(sample)
+
+
 def train(docs: DataFrame, labels: DataFrame, usable=None, sample: int = SAMPLE, prior: float | None = None) -> dict:
-    """Trusted: usable rows labelled good. Unlabelled: any documents, drawn whatever their label says."""
-    good = labels.where(F.lit(True) if usable is None else usable).where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.min("quality").alias("q")).where("q = 1")
-    good = good.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).select(F.col("doc_id").alias("id"), F.lit(1).alias("kind"))
-    some = docs.select("doc_id").where("doc_id IS NOT NULL").distinct().orderBy(F.xxhash64("doc_id", F.lit(9)), "doc_id").limit(sample).select(F.col("doc_id").alias("id"), F.lit(0).alias("kind"))
-    chosen = F.broadcast(good.unionByName(some))  # at most 2 * sample rows
-    rows = featured(docs.select(F.col("doc_id").alias("id"), "text").join(chosen, "id"), "kind")
-    got = sorted((r.c, bytes(r.x)) for r in rows.select("c", "x").toLocalIterator())
-    of = lambda k: np.array([np.frombuffer(x, "<f4") for c, x in got if c == k], float).reshape(-1, len(NAMES))
-    return fit(of(1), of(0), prior)
+    """fitted() of texts that have no statistics yet."""
+    return fitted(written(featured(docs)), labels, usable, sample, prior)
 
 
-def score(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Every row's id, score and predicted."""
+def fitted(feats: DataFrame, labels: DataFrame, usable=None, sample: int = SAMPLE, prior: float | None = None) -> dict:
+    """From written statistics (featured) and labels. Trusted: usable rows labelled good. Unlabelled: any rows, drawn
+    whatever their label says."""
+    good = labels.where(F.lit(True) if usable is None else usable).where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.min("quality").alias("q")).where("q = 1")
+    good = written(good.select(F.col("doc_id").cast(feats.schema["id"].dataType).alias("id")))
+    some = F.broadcast(lowest(good, sample, 5))  # at most `sample` ids, and then rows
+    halves, x = [], []
+    for rows, seed in ((feats.join(some, "id", "left_semi"), 5), (feats.where("id IS NOT NULL"), 9)):
+        got = lowest(rows, sample, seed, "x").select("half", "x").toArrow()
+        halves.append(got.column(0).to_numpy())
+        x.append(unpacked(got.column(1)))
+    if prior is None and min(map(len, x)):
+        nets = [ranker(*(m[h == k] for m, h in zip(x, halves))) for k in (1, 0)]
+        prior = 0.5 if None in nets else share_of_good(*counted(feats, good, nets))
+    model = fit(*x, prior)
+    if model["net"]:
+        model["cut"] = cut_between(*counted(feats, good, [model["net"]] * 2), prior)
+    return model
+
+
+def judged(feats: DataFrame, model: dict, id_col: str = "doc_id") -> DataFrame:
+    """Every row's id, score and predicted, from its statistics."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        squeeze, net = zstandard.ZstdCompressor(level=1), model["net"]
+        net = model["net"]
         for b in batches:
-            x = np.array([statistics(t.as_py() or "", squeeze) for t in b.column(1)], "f4").astype(float).reshape(-1, len(NAMES))
-            p = sigmoid(net.logits(x) - model["cut"]) if net and len(x) else np.full(len(x), 0.5)
+            p = sigmoid(net.logits(unpacked(b.column(2))) - model["cut"]) if net and b.num_rows else np.full(b.num_rows, 0.5)
             yield batch(id=b.column(0), score=pa.array(p), predicted=pa.array((p >= 0.5).astype(np.int32)))
 
-    kind = docs.schema[id_col].dataType.simpleString()
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    return map_batches(rows, run, f"id {kind}, score double, predicted int").withColumnRenamed("id", id_col)
+    kind = feats.schema["id"].dataType.simpleString()
+    return map_batches(feats, run, f"id {kind}, score double, predicted int").withColumnRenamed("id", id_col)
+
+
+def score(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """judged() of texts that have no statistics yet."""
+    return judged(featured(docs, id_col, text_col), model, id_col)
 
 
 def op7_pu_quality(spark, sf_dir: str) -> DataFrame:
-    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
-    model = train(docs, labels, crc("doc_id") % 3 != 1)
+    feats, labels = written(featured(table(spark, sf_dir, "documents"))), table(spark, sf_dir, "labels")
+    model = fitted(feats, labels, crc("doc_id") % 3 != 1)
     held = F.coalesce(crc("doc_id") % 3 == 1, F.lit(False))
-    return score(docs, model).select("doc_id", held.alias("held_out"), "score", "predicted")
+    return judged(feats, model).select("doc_id", held.alias("held_out"), "score", "predicted")
