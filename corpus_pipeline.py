@@ -21,7 +21,8 @@ def exact_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of texts linked by five-word Jaccard 0.8 or more: the one with the smallest id. Ids
+    """One document of each class of texts linked by five-word Jaccard 0.8 or more: the one with the smallest id. The
+    Gray-order index over SimHash fingerprints proposes links, which are verified; an exact search finds the rest. Ids
     are taken to be unique; rows that share one stay or go together, and a row without an id stays."""
     classes = shingle_join.near_copies(docs)
     gone = written(classes.where("doc_id != component_id").select("doc_id").distinct())

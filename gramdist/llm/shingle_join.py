@@ -3,13 +3,17 @@
 Words are split at ASCII white space, A-Z lower-cased; a text of fewer words is one shingle, and texts without words
 are alike. A class is a connected component of links.
 
-How links are found without all pairs and without loss. Two sets that agree so far share a shingle among the first
+How links are found. First the Gray-order index of simhash.py over the texts' SimHash fingerprints (of these
+shingles) proposes a spanning forest of its classes, and what it proposes is verified on whole sets. Links between
+fingerprints further apart come from an exact search that only looks between the classes so far, without all pairs
+and without loss. Two sets that agree so far share a shingle among the first
 fifth (and one) of each, in any one order of shingles; frequent shingles are put last. Rows that share such a
 shingle are candidates if sizes, places and parity fingerprints (each bit the parity of the shingles that hash to it,
 so differing bits never exceed differing shingles) leave the link possible. Candidates are verified on whole sets, after wider parity
 sketches. In
-the first rounds a shingle's rows, in Gray order of their fingerprints, are only tried with a neighbour and a centre,
-which joins most of a large class at a linear cost; the last round tries all pairs that are not of one class yet. A
+the first rounds a shingle's rows, in a Gray order of their parities, are only tried with a neighbour and a centre,
+which joins most of a large class at a linear cost; the last round tries all pairs that are not of one class yet and
+whose wider parities, which its rows carry, leave the link possible, so that a large group yields no pair for each two of its rows. A
 pair is verified once, and a later round only joins classes.
 
 Nulls and ties: a null text is an empty one; ids may repeat; a null id links others but is never the smallest.
@@ -27,13 +31,15 @@ from pyspark.sql import functions as F
 
 from .bloom_dedup import filter_of, flagged
 from .common import batch, join_groups, map_batches, written
-from .simhash import components, gray_rank
+from .simhash import components, fingerprints, gray_rank, near_edges
 
 U = np.uint64
 WIDTH = 5
 PART, WHOLE = 4, 5  # linked when 5 * shared >= 4 * all
 FREQUENT = 100  # a shingle in more texts goes last
 AT_ONCE = 1_000_000
+BITS = 3  # between fingerprints that the Gray-order index links
+WIDE = 1024  # parity bits of a row in the last round
 ROWS = "tok long, v long, size int, pos int, fp long"
 
 
@@ -120,7 +126,7 @@ def by_token(rows: DataFrame, of, schema: str) -> DataFrame:
         for b in batches:
             if not b.num_rows:
                 continue
-            new = [c.to_numpy() for c in b.columns]
+            new = [np.frombuffer(b"".join(c.to_pylist()), U).reshape(len(c), -1) if pa.types.is_binary(c.type) else c.to_numpy() for c in b.columns]
             held = new if held is None else [np.concatenate(x) for x in zip(held, new)]
             cut = int(np.searchsorted(held[0], held[0][-1]))  # the last shingle may go on in the next batch
             if cut:
@@ -148,13 +154,29 @@ def shared_only(rows: DataFrame) -> DataFrame:
     return by_token(rows, of, ROWS)
 
 
-def candidates(rows: DataFrame, whole: bool) -> DataFrame:
-    """Pairs (a, b), a < b, of different classes whose link isn't ruled out."""
+def undecided(rows: DataFrame) -> DataFrame:
+    """Rows of the shingles whose texts aren't of one class."""
 
     def of(x: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
-        tok, v, size, pos, fp, root = x
-        rank = gray_rank((fp ^ tok).view(U))  # another order for every shingle
+        start = np.flatnonzero(np.r_[True, x[0][1:] != x[0][:-1]])
+        several = np.minimum.reduceat(x[5], start) != np.maximum.reduceat(x[5], start)
+        keep = np.repeat(several, np.diff(np.r_[start, len(x[0])]))
+        yield batch(**{k: pa.array(c[keep]) for k, c in zip(("tok", "v", "size", "pos", "fp", "root"), x)})
+
+    return by_token(rows, of, f"{ROWS}, root long")
+
+
+def candidates(rows: DataFrame, turn: int, whole: bool) -> DataFrame:
+    """Pairs (a, b), a < b, of different classes whose link isn't ruled out: of neighbours in the turn's order, or of
+    all rows, which then carry their wide parities."""
+
+    def of(x: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        tok, v, size, pos, fp, root, *wide = x
+        rank = (fp ^ tok).view(U)  # another order for every shingle
+        by = U(21 * turn % 64)
+        rank = gray_rank((rank << by) | (rank >> (U(64) - by)) if by else rank)
         at = np.lexsort((rank, tok))
+        wide = [c[at] for c in wide]
         tok, v, size, pos, fp, root = [c[at] for c in (tok, v, size.astype(np.int64), pos.astype(np.int64), fp, root)]
         start = np.flatnonzero(np.r_[True, tok[1:] != tok[:-1]])
         n = np.diff(np.r_[start, len(tok)])
@@ -166,7 +188,11 @@ def candidates(rows: DataFrame, whole: bool) -> DataFrame:
             ok = (root[i] != root[j]) & (WHOLE * np.minimum(size[i], size[j]) >= PART * np.maximum(size[i], size[j]))
             ok &= (PART + WHOLE) * most >= PART * both
             ok &= (PART + WHOLE) * np.bitwise_count((fp[i] ^ fp[j]).view(U)).astype(np.int64) <= (WHOLE - PART) * both
-            a, b = np.minimum(v[i], v[j])[ok], np.maximum(v[i], v[j])[ok]
+            i, j, both = i[ok], j[ok], both[ok]
+            for c in wide:
+                ok = (PART + WHOLE) * np.bitwise_count(c[i] ^ c[j]).sum(axis=1, dtype=np.int64) <= (WHOLE - PART) * both
+                i, j = i[ok], j[ok]
+            a, b = np.minimum(v[i], v[j]), np.maximum(v[i], v[j])
             return batch(a=pa.array(a), b=pa.array(b))
 
         i = np.arange(len(tok))
@@ -183,9 +209,9 @@ def candidates(rows: DataFrame, whole: bool) -> DataFrame:
     return by_token(rows, of, "a long, b long").distinct()
 
 
-def sketch(own: np.ndarray) -> np.ndarray:
-    """Parity bits of a set, two or more a shingle, by the low bits of the hashes: a wider one folds to a narrower."""
-    m = max(64, 1 << (2 * len(own) - 1).bit_length())
+def sketch(own: np.ndarray, m: int = 0) -> np.ndarray:
+    """Parity bits of a set, m or two or more a shingle, by the low bits of the hashes: a wider one folds to a narrower."""
+    m = m or max(64, 1 << (2 * len(own) - 1).bit_length())
     odd = np.bincount((own & U(m - 1)).astype(np.int64), minlength=m) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little")
 
@@ -204,6 +230,35 @@ def by_set(a: np.ndarray, b: np.ndarray, sizes: int) -> bool:
     return WHOLE * shared >= PART * (sizes - shared)
 
 
+def among(texts: DataFrame, used: DataFrame) -> DataFrame:
+    """The texts of used (column v, written, without repeats), and a few others."""
+    return flagged(texts.withColumn("_h", F.col("v")), filter_of(used.select(F.col("v").alias("_h")))).where("_maybe").select("v", "text")
+
+
+def with_parities(texts: DataFrame, rows: DataFrame) -> DataFrame:
+    """rows (written) with the WIDE parity bits of their texts; only of the texts in rows."""
+
+    def made(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield batch(v=b.column(0), wide=pa.array([sketch(shingles(t.as_py()), WIDE).tobytes() for t in b.column(1)], pa.binary()))
+
+    used = written(rows.select("v").distinct())
+    return rows.join(written(map_batches(among(texts, used), made, "v long, wide binary").join(used, "v").dropDuplicates(["v"])), "v")
+
+
+def by_fingerprint(texts: DataFrame) -> DataFrame:
+    """Pairs (a, b), a < b, that the Gray-order index over SimHash fingerprints proposes: a spanning forest of its
+    classes, in which the texts of one fingerprint hang on the least of them."""
+    rows = written(fingerprints(texts, "v", "text", WIDTH).distinct())
+    fps = written(rows.groupBy("fp").agg(F.min("id").alias("least"), F.count("*").alias("n")))
+    total = rows.count()
+    same = join_groups(rows, fps, "fp", "n", total).where("id != least").select(F.col("least").alias("a"), F.col("id").alias("b"))
+    least = lambda of: fps.select(F.col("fp").alias(of), F.col("least").alias(f"least_{of}"))
+    near = near_edges(fps.select("fp"), total, BITS).withColumnsRenamed({"a": "fp_a", "b": "fp_b"}).join(least("fp_a"), "fp_a").join(least("fp_b"), "fp_b")
+    near = near.select(F.least("least_fp_a", "least_fp_b").alias("a"), F.greatest("least_fp_a", "least_fp_b").alias("b"))
+    return same.unionByName(near).distinct()
+
+
 def passing(texts: DataFrame, pairs: DataFrame, exact: bool) -> DataFrame:
     """Pairs that pass by_sketch or by_set. Only what is compared is shuffled, and only of texts in pairs."""
 
@@ -219,8 +274,7 @@ def passing(texts: DataFrame, pairs: DataFrame, exact: bool) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     used = written(pairs.select(F.explode(F.array("a", "b")).alias("v")).groupBy("v").agg(F.count("*").alias("n")))
-    some = flagged(texts.withColumn("_h", F.col("v")), filter_of(used.select(F.col("v").alias("_h")))).where("_maybe").select("v", "text")
-    own = written(map_batches(some, made, "v long, size long, own binary").join(used, "v").dropDuplicates(["v"]))
+    own = written(map_batches(among(texts, used), made, "v long, size long, own binary").join(used, "v").dropDuplicates(["v"]))
     total = pairs.count()
     side = lambda v: own.select(F.col("v").alias(v), "n", F.col("own").alias(f"own_{v}"), F.col("size").alias(f"size_{v}"))
     left = join_groups(pairs, side("a"), "a", "n", total).drop("n")
@@ -237,18 +291,17 @@ def near_copies(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", r
     """(id, component_id) of the rows of every class of two texts or more, component_id the smallest id of the class."""
     text = F.coalesce(F.col(text_col), F.lit(""))
     texts = df.select(F.xxhash64(text).alias("v"), text.alias("text"))
+    tried = written(by_fingerprint(texts))
+    roots = components(verified(texts, tried))
     hits = written(shared_only(prefixes(texts, frequent(texts))))
-    tried, roots = None, None
     for k in range(rounds):
-        rows = hits.withColumn("root", F.col("v"))
-        if roots is not None:
-            rows = hits.join(roots, "v", "left").withColumn("root", F.coalesce("root", "v"))
-        pairs = candidates(rows.select("tok", "v", "size", "pos", "fp", "root"), k == rounds - 1)
-        pairs = written(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"))
-        tried = pairs if tried is None else tried.unionByName(pairs)
-        if roots is None:
-            roots = components(verified(texts, pairs))
-        elif not pairs.isEmpty() and not (new := verified(texts, pairs)).isEmpty():
+        whole = k == rounds - 1
+        rows = hits.join(roots, "v", "left").select("tok", "v", "size", "pos", "fp", F.coalesce("root", "v").alias("root"))
+        if whole:
+            rows = with_parities(texts, written(undecided(rows))).select(*rows.columns, "wide")
+        pairs = written(candidates(rows, k, whole).join(tried, ["a", "b"], "left_anti"))
+        tried = tried.unionByName(pairs)
+        if not pairs.isEmpty() and not (new := verified(texts, pairs)).isEmpty():
             roots = components(new.unionByName(roots.select(F.col("v").alias("a"), F.col("root").alias("b"))))
     ids = df.select(F.xxhash64(text).alias("v"), F.col(id_col).alias("id")).join(roots.select("v", "root").unionByName(roots.select(F.col("root").alias("v"), "root").distinct()), "v")
     ids = written(ids)

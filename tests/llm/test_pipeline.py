@@ -6,7 +6,7 @@ import random
 from collections import Counter
 
 import corpus_pipeline as P
-from gramdist.llm import mil_toxicity, packing
+from gramdist.llm import mil_toxicity, packing, shingle_join
 
 
 def test_stages(spark, documents, sf):
@@ -82,3 +82,36 @@ def test_near_dedup_is_brute_force(spark, sf):
     docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
     assert len(least) < len(rows) - 60
     assert Counter(x.doc_id for x in P.near_dedup(spark, docs, sf).collect()) == Counter(least.values())
+
+
+def test_near_dedup_asks_the_gray_order_index_first(spark, monkeypatch):
+    """Near copies within the index's bits are proposed by it, and the exact search has no pair left to verify."""
+    r = random.Random(8)
+    words = [f"w{r.randrange(900)}" for _ in range(1500)]
+    rows = [(k, " ".join([*words[: 10 * k], f"edit{k}", *words[10 * k + 1 :]])) for k in range(1, 13)]
+    asked, seen = [], []
+    near_edges, verified = shingle_join.near_edges, shingle_join.verified
+    monkeypatch.setattr(shingle_join, "near_edges", lambda *x: asked.append(x[2]) or near_edges(*x))
+    monkeypatch.setattr(shingle_join, "verified", lambda t, p: seen.append(p.count()) or verified(t, p))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert [x.doc_id for x in P.near_dedup(spark, docs, "").collect()] == [1]
+    assert asked == [shingle_join.BITS] and seen[0] >= 8
+
+
+def test_group_below_the_limit_makes_few_candidates(spark, monkeypatch):
+    """400 texts that share most shingles, but less than four fifths: pairs to verify don't grow with their square."""
+    r = random.Random(9)
+    base, rows = [f"w{k}" for k in range(160)], []
+    for k in range(400):
+        w = list(base)
+        for at in r.sample(range(160), 5):
+            w[at] = f"edit{k}x{at}"
+        rows.append((k, " ".join(w)))
+    seen = []
+    verified = shingle_join.verified
+    monkeypatch.setattr(shingle_join, "verified", lambda t, p: seen.append(p.count()) or verified(t, p))
+    sets = [shingle_words(t) for _, t in rows]
+    linked = {i for i in range(400) for j in range(400) if i != j and 9 * len(sets[i] & sets[j]) >= 4 * (len(sets[i]) + len(sets[j]))}
+    got = {x.doc_id for x in shingle_join.near_copies(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == linked
+    assert sum(seen) < 8_000
