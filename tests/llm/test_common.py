@@ -1,8 +1,9 @@
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import functions as F
 
-from gramdist.llm.common import join_groups
+from gramdist.llm.common import BATCH_BYTES, batch, join_groups, map_batches
 
 
 def test_hot_keys_join_whole(spark):
@@ -11,3 +12,13 @@ def test_hot_keys_join_whole(spark):
     got = join_groups(rows, groups, "k", "n", 6000)
     want = rows.join(groups, "k")
     assert got.count() == 6000 and got.select(sorted(got.columns)).exceptAll(want.select(sorted(want.columns))).isEmpty()
+
+
+def test_batches_are_bounded_in_bytes(spark):
+    def sizes(batches):
+        for b in batches:
+            yield batch(n=pa.array([b.num_rows]), size=pa.array([b.nbytes]))
+
+    rows = spark.range(0, 6000, 1, 1).select("id", F.expr("repeat('x', 3000)").alias("text"))
+    got = map_batches(rows, sizes, "n long, size long").collect()
+    assert sum(r.n for r in got) == 6000 and max(r.size for r in got) < 2 * BATCH_BYTES
