@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bloom_dedup import filter_of, flagged
-from .common import batch, join_groups, map_batches, written
+from .common import batch, driver_gives_back, join_groups, map_batches, written
 from .simhash import components, fingerprints, gray_rank, near_edges
 
 U = np.uint64
@@ -39,6 +39,7 @@ PART, WHOLE = 4, 5  # linked when 5 * shared >= 4 * all
 FREQUENT = 100  # a shingle in more texts goes last
 AT_ONCE = 1_000_000
 BITS = 3  # between fingerprints that the Gray-order index links
+FEW = 50_000  # texts whose numbers are broadcast as they are
 WIDE = 1024  # parity bits of a row in the last round
 ROWS = "tok long, v long, size int, pos int, fp long"
 
@@ -231,7 +232,9 @@ def by_set(a: np.ndarray, b: np.ndarray, sizes: int) -> bool:
 
 
 def among(texts: DataFrame, used: DataFrame) -> DataFrame:
-    """The texts of used (column v, written, without repeats), and a few others."""
+    """The texts of used (column v, written, without repeats), and a few others where these are many."""
+    if used.count() <= FEW:
+        return texts.join(F.broadcast(used.select("v")), "v", "left_semi").select("v", "text")
     return flagged(texts.withColumn("_h", F.col("v")), filter_of(used.select(F.col("v").alias("_h")))).where("_maybe").select("v", "text")
 
 
@@ -295,6 +298,7 @@ def near_copies(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", r
     roots = components(verified(texts, tried))
     hits = written(shared_only(prefixes(texts, frequent(texts))))
     for k in range(rounds):
+        driver_gives_back(df.sparkSession)
         whole = k == rounds - 1
         rows = hits.join(roots, "v", "left").select("tok", "v", "size", "pos", "fp", F.coalesce("root", "v").alias("root"))
         if whole:
@@ -303,7 +307,8 @@ def near_copies(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", r
         tried = tried.unionByName(pairs)
         if not pairs.isEmpty() and not (new := verified(texts, pairs)).isEmpty():
             roots = components(new.unionByName(roots.select(F.col("v").alias("a"), F.col("root").alias("b"))))
+    driver_gives_back(df.sparkSession)
     ids = df.select(F.xxhash64(text).alias("v"), F.col(id_col).alias("id")).join(roots.select("v", "root").unionByName(roots.select(F.col("root").alias("v"), "root").distinct()), "v")
     ids = written(ids)
-    least = ids.groupBy("root").agg(F.min("id").alias("component_id"), F.count("*").alias("n"))
+    least = written(ids.groupBy("root").agg(F.min("id").alias("component_id"), F.count("*").alias("n")))
     return join_groups(ids, least, "root", "n", ids.count()).select(F.col("id").alias(id_col), "component_id")

@@ -33,6 +33,7 @@ SEED = 42
 LANES = np.uint64(0x0101010101010101)
 STEPS = np.arange(8, dtype=np.uint64)
 AT_ONCE = 100_000  # shingles whose bits are held at a time
+ONE_TASK = 1_000_000  # edges whose classes one task finds
 
 
 def fingerprint(text: str | None, shingle: int = 3) -> int:
@@ -218,21 +219,39 @@ def near_edges(fps: DataFrame, total: int, most: int = 2, hot_rows: int = 100_00
     return written(forest(plain, most, parts))
 
 
-def components(edges: DataFrame) -> DataFrame:
-    """(v, root) for every vertex of the edges (a, b): the large-star and small-star rounds of label contraction."""
+def in_one_task(edges: DataFrame) -> DataFrame:
+    """components of edges that one task holds."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [np.zeros((0, 2), np.int64), *[np.stack([c.to_numpy() for c in b.columns], axis=1) for b in batches]]
+        v, at = np.unique(np.concatenate(held), return_inverse=True)
+        x, y = at.reshape(-1, 2).T
+        root = v[union(np.arange(len(v)), x, y)]
+        far = v != root
+        yield batch(v=pa.array(v[far]), root=pa.array(root[far]))
+
+    return written(map_batches(edges.select("a", "b").coalesce(1), run, "v long, root long"))
+
+
+def components(edges: DataFrame, one_task: int = ONE_TASK) -> DataFrame:
+    """(v, root) for every vertex of the edges (a, b) that isn't the least of its class: the large-star and small-star
+    rounds of label contraction. Up to one_task edges go to one task: a round is some ten jobs, and what the driver
+    keeps for each is more than so few edges."""
     flat = F.when(F.col("a") > F.col("b"), F.struct("a", "b")).otherwise(F.struct(F.col("b").alias("a"), F.col("a").alias("b")))
     cur = written(edges.where("a != b").select(flat.alias("e")).select("e.a", "e.b").distinct())
     state = None
     while True:
         n, mark = cur.agg(F.count("*"), F.bit_xor(F.xxhash64("a", "b"))).first()
+        if n and state is None and n <= one_task:
+            return in_one_task(cur)
         if n == 0 or (n, mark) == state:
             return cur.select(F.col("a").alias("v"), F.col("b").alias("root"))
         state = (n, mark)
         both = cur.unionByName(cur.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"), F.count("*").alias("n"))
+        least = written(both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"), F.count("*").alias("n")))
         large = join_groups(both, least, "a", "n", 2 * n).where("b > a AND b != m").select(F.col("b").alias("a"), F.col("m").alias("b"))
         large = written(large.distinct())
-        least = large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n"))
+        least = written(large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")))
         small = join_groups(large, least, "a", "n", n).where("b != m").select(F.col("b").alias("a"), F.col("m").alias("b"))
         cur = written(small.unionByName(least.select("a", F.col("m").alias("b"))).distinct())
 

@@ -3,7 +3,7 @@ from __future__ import annotations
 import pyarrow as pa
 from pyspark.sql import functions as F
 
-from gramdist.llm.common import BATCH_BYTES, batch, join_groups, map_batches
+from gramdist.llm.common import BATCH_BYTES, batch, driver_gives_back, join_groups, map_batches
 
 
 def test_hot_keys_join_whole(spark):
@@ -14,6 +14,26 @@ def test_hot_keys_join_whole(spark):
     assert got.count() == 6000 and got.select(sorted(got.columns)).exceptAll(want.select(sorted(want.columns))).isEmpty()
 
 
+def test_nothing_is_broadcast_where_no_key_is_hot(spark):
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        rows = spark.range(6000).select((F.col("id") % 50).alias("k"), "id")
+        got = join_groups(rows, rows.groupBy("k").agg(F.count("*").alias("n")), "k", "n", 6000)
+        assert got.count() == 6000 and got.columns == ["k", "id", "n"]
+        assert "Broadcast" not in got._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+
+
+def test_the_drivers_jvm_gives_back_what_it_freed(spark):
+    jvm = spark.sparkContext._jvm
+    heap = lambda: jvm.java.lang.management.ManagementFactory.getMemoryMXBean().getHeapMemoryUsage()
+    jvm.org.apache.commons.lang3.StringUtils.repeat("x", 1 << 27)  # garbage at once
+    driver_gives_back(spark)
+    assert heap().getUsed() < heap().getMax() // 2 and spark.range(3).count() == 3
+
+
 def test_batches_are_bounded_in_bytes(spark):
     def sizes(batches):
         for b in batches:

@@ -128,6 +128,25 @@ def test_gray_index_finds_all_links(spark, hot_rows):
     assert len(set(label)) == len(set(want))
 
 
+@pytest.mark.parametrize("n", [0, 60, 400])
+def test_classes_of_few_edges_take_one_task(spark, n):
+    r = np.random.default_rng(n)
+    ids = r.integers(-(2**62), 2**62, 300)
+    edges = [(int(ids[a]), int(ids[b])) for a, b in r.integers(0, 300, (n, 2))]
+    df = spark.createDataFrame(edges, "a long, b long")
+    sc = spark.sparkContext
+    sc.setJobGroup(f"few-edges-{n}", "")
+    got = simhash.components(df)
+    jobs = len(sc.statusTracker().getJobIdsForGroup(f"few-edges-{n}"))
+    sc.setLocalProperty("spark.jobGroup.id", None)
+    assert jobs <= 8 and sorted(got.collect()) == sorted(simhash.components(df, 0).collect())
+    least = {x: x for e in edges for x in e}
+    for _ in least:
+        for a, b in edges:
+            least[a] = least[b] = min(least[a], least[b])
+    assert dict(got.collect()) == {v: m for v, m in least.items() if v != m}
+
+
 def test_gray_rank():
     codes = np.array([k ^ k >> 1 for k in range(200)], np.uint64)
     assert simhash.gray_rank(codes).tolist() == list(range(200))
