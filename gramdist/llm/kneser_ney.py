@@ -287,11 +287,11 @@ class Table:
         bucket = (key >> U(64 - self.bits)).astype(np.int64) if self.bits else np.zeros(len(key), np.int64)
         low = (key >> U(32 - self.bits)).astype(np.uint32)
         lo, end = self.start[bucket].astype(np.int64), self.start[bucket + 1].astype(np.int64)
-        hi = end
-        for _ in range(self.most.bit_length()):
-            mid = (lo + hi) >> 1
-            less = (mid < hi) & (self.low[np.minimum(mid, len(self.low) - 1)] < low)
-            lo, hi = np.where(less, mid + 1, lo), np.where(less, hi, mid)
+        for k in reversed(range(self.most.bit_length())):
+            last = lo + ((1 << k) - 1)  # of the next 2**k, all of which are passed if it is less
+            less = self.low[np.minimum(last, len(self.low) - 1)] < low
+            less &= last < end
+            np.add(lo, 1 << k, out=lo, where=less)
         hit = np.flatnonzero((lo < end) & (self.low[np.minimum(lo, len(self.low) - 1)] == low))
         return hit, lo[hit]
 
@@ -601,28 +601,52 @@ def chances(model: dict, tokens: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return raw[ranks[:, 0]], p[back]
 
 
-def score(docs: DataFrame, model: dict) -> DataFrame:
-    """docs (id, held_out, text) -> counts, the base and the model's log10 probability of every text."""
+def scored(batches: Iterator[pa.RecordBatch], model: dict) -> Iterator[pa.RecordBatch]:
+    """score of batches (id, held_out, text). N-grams are looked up once for TOKENS_AT_ONCE tokens, however small the
+    batches are; a text's figures leave when its last token is scored."""
+    n, v, waiting, i = model["tokens"], model["types"], [], pa.int64()
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        n, v = model["tokens"], model["types"]
+    def texts() -> Iterator[pa.Scalar]:
         for b in batches:
-            sums, at, open_ = np.zeros((b.num_rows, 4)), 0, False
-            for grams, hashes, sizes in batches_of(b.column(2), model["order"], TOKENS_AT_ONCE):
-                rows, back = distinct(grams, len(hashes))
-                raw, p = chances_of(model, rows, hashes)
-                word = grams[:, 0]
-                cut = np.cumsum([0, *sizes])[:-1]
-                text = at - open_ + np.arange(len(sizes))
-                for k, x in enumerate((np.ones(len(word)), raw[word] > 0, np.log10((raw + 1) / (n + v + 1))[word], np.log10(p)[back])):
-                    sums[text, k] += np.add.reduceat(x.astype(float), cut)
-                open_ = bool(word[-1] != 1)  # the last text goes on
-                at = int(text[-1]) + 1
-            i = pa.int64()
-            yield batch(id=b.column(0), held_out=b.column(1), n_tokens=pa.array(sums[:, 0].astype(np.int64), i), n_known=pa.array(sums[:, 1].astype(np.int64), i), train_tokens=pa.array(np.full(b.num_rows, n), i), base_score=pa.array(sums[:, 2]), score=pa.array(sums[:, 3]))
+            if not b.num_rows:
+                continue
+            every = pa.array(np.arange(b.num_rows))
+            waiting.append([b.column(k).take(every) for k in (0, 1)])  # copies, or the texts would stay with them
+            yield from b.column(2)
+
+    def taken(rows: int) -> list[pa.Array]:
+        out = []
+        while rows:
+            some = waiting[0]
+            out.append([c[:rows] for c in some])
+            if len(some[0]) > rows:
+                waiting[0] = [c[rows:] for c in some]
+            else:
+                del waiting[0]
+            rows -= len(out[-1][0])
+        return [pa.concat_arrays(c) for c in zip(*out)]
+
+    part = np.zeros(4)  # of a text that goes on
+    for grams, hashes, sizes in batches_of(texts(), model["order"], TOKENS_AT_ONCE):
+        rows, back = distinct(grams, len(hashes))
+        raw, p = chances_of(model, rows, hashes)
+        word = grams[:, 0]
+        cut = np.cumsum([0, *sizes])[:-1]
+        cols = np.ones(len(word)), raw[word] > 0, np.log10((raw + 1) / (n + v + 1))[word], np.log10(p)[back]
+        sums = np.stack([np.add.reduceat(x.astype(float), cut) for x in cols], axis=1)
+        sums[0] += part
+        part = np.zeros(4)
+        if word[-1] != 1:  # the last text goes on
+            sums, part = sums[:-1], sums[-1]
+        if len(sums):
+            ids, held = taken(len(sums))
+            yield batch(id=ids, held_out=held, n_tokens=pa.array(sums[:, 0].astype(np.int64), i), n_known=pa.array(sums[:, 1].astype(np.int64), i), train_tokens=pa.array(np.full(len(sums), n), i), base_score=pa.array(sums[:, 2]), score=pa.array(sums[:, 3]))
 
+
+def score(docs: DataFrame, model: dict) -> DataFrame:
+    """docs (id, held_out, text) -> counts, the base and the model's log10 probability of every text."""
     kind = docs.schema["id"].dataType.simpleString()
-    return map_batches(docs.select("id", "held_out", "text"), run, f"id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    return map_batches(docs.select("id", "held_out", "text"), lambda batches: scored(batches, model), f"id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 def perplexity(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held: int = 2, order: int = ORDER, least_hot: int = RANGE_TOKENS // 4) -> DataFrame:

@@ -128,6 +128,28 @@ def test_gray_index_finds_all_links(spark, hot_rows):
     assert len(set(label)) == len(set(want))
 
 
+def test_small_batches_are_looked_up_together(monkeypatch):
+    import pyarrow as pa
+
+    calls = []
+
+    def chances(model, grams, hashes):
+        calls.append(len(grams))
+        return np.arange(len(hashes)).astype(float), 1 / (1 + hashes[grams[:, 0]].astype(float))
+
+    monkeypatch.setattr(kneser_ney, "chances_of", chances)
+    model = {"tokens": 10, "types": 4, "order": 3}
+    texts = ["a b c", "", None, "a b", "b b b b b b b b b", "c"] * 4
+    one = lambda k: pa.RecordBatch.from_pydict({"id": [k], "held_out": [k % 2 == 0], "text": pa.array([texts[k]], pa.string())})
+    got = pa.Table.from_batches(list(kneser_ney.scored(map(one, range(len(texts))), model)))
+    assert len(calls) == 1 and got["id"].to_pylist() == list(range(len(texts)))
+    assert got["n_tokens"].to_pylist() == [len((t or "").split()) + 1 for t in texts]
+    monkeypatch.setattr(kneser_ney, "TOKENS_AT_ONCE", 4)  # texts go on from batch to batch
+    again = pa.Table.from_batches(list(kneser_ney.scored(map(one, range(len(texts))), model)))
+    assert len(calls) > 10 and again["id"].to_pylist() == got["id"].to_pylist() and again["n_tokens"] == got["n_tokens"]
+    assert np.allclose(again["score"].to_numpy(), got["score"].to_numpy())
+
+
 @pytest.mark.parametrize("n", [0, 60, 400])
 def test_classes_of_few_edges_take_one_task(spark, n):
     r = np.random.default_rng(n)
