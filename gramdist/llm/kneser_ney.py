@@ -28,10 +28,11 @@ are not read. Texts are read whole, a long one over several batches.
 
 from __future__ import annotations
 
+import itertools
 import json
 import os
 import tempfile
-from collections import Counter
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -69,17 +70,15 @@ def narrow(x: np.ndarray) -> np.ndarray:
     return x.astype(np.min_scalar_type(int(x.max())) if len(x) else np.uint8)
 
 
-class Words(dict):
-    """Word -> number in order of first use: 0 begins a text, 1 ends it."""
+class Words(defaultdict):
+    """Word -> number in order of first use: 0 begins a text, 1 ends it; next come tokens of which only hashes are known."""
 
-    def __init__(self):
-        super().__init__()
-        self.hashes = [BEGIN, END]
+    def __init__(self, known: list[int] | tuple = ()):
+        super().__init__(itertools.count(2 + len(known)).__next__)
+        self.known = [BEGIN, END, *known]
 
-    def __missing__(self, word: bytes) -> int:
-        v = self[word] = len(self.hashes)
-        self.hashes.append(xxhash.xxh64_intdigest(word, 0))
-        return v
+    def hashes(self) -> np.ndarray:
+        return np.array([*self.known, *map(xxhash.xxh64_intdigest, self)], U)
 
 
 def batches_of(texts, order: int, most: int) -> Iterator[tuple[np.ndarray, np.ndarray, list[int]]]:
@@ -92,7 +91,7 @@ def batches_of(texts, order: int, most: int) -> Iterator[tuple[np.ndarray, np.nd
     def made() -> tuple[np.ndarray, np.ndarray, list[int]]:
         all_ = np.concatenate(flat)
         at = np.concatenate([np.arange(n) + s for n, s in zip(sizes, np.cumsum([pad, *[n + pad for n in sizes]]))]) if sizes else np.zeros(0, np.int64)
-        return np.stack([all_[at - k] for k in range(order)], 1), np.array(words.hashes, U), sizes
+        return np.stack([all_[at - k] for k in range(order)], 1), words.hashes(), sizes
 
     for t in texts:
         own = (t.as_py() or "").encode().lower().split()
@@ -111,14 +110,13 @@ def batches_of(texts, order: int, most: int) -> Iterator[tuple[np.ndarray, np.nd
             sizes.append(len(ids))
             held += len(ids)
             if held >= most:
-                yield made()
-                last = [words.hashes[k] for k in np.concatenate([before, ids])[len(ids) :]]
-                words, flat, sizes, held = Words(), [np.zeros(pad, np.uint32)], [], 0
-                if s + most <= len(own):  # the text goes on: its last tokens begin the next batch
-                    before = np.empty(pad, np.uint32)
-                    for k, h in enumerate(last):
-                        words.hashes.append(h)
-                        before[k] = len(words.hashes) - 1
+                done = made()
+                yield done
+                on = s + most <= len(own)  # the text goes on: its last tokens begin the next batch
+                last = done[1][np.concatenate([before, ids])[len(ids) :]].tolist() if on else []
+                words, flat, sizes, held = Words(last), [np.zeros(pad, np.uint32)], [], 0
+                if on:
+                    before = np.arange(2, 2 + pad, dtype=np.uint32)
             elif pad:
                 before = np.concatenate([before, ids])[-pad:]
     if sizes:
@@ -231,6 +229,28 @@ def store(uri: str) -> tuple[pafs.FileSystem, str]:
     return (pafs.LocalFileSystem(), uri) if uri.startswith("/") else pafs.FileSystem.from_uri(uri)
 
 
+def coded(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(number of each row, different rows), most frequent rows first. Single small numbers need no sorting."""
+    if values.shape[1] == 1 and len(values) and 0 <= values.min() and values.max() < 1 << 16:
+        every = np.bincount(values[:, 0])
+        own = np.flatnonzero(every)
+        back, times, kinds = None, every[own], own[:, None]
+    else:
+        mark = values[:, 0].astype(U)
+        for k in range(1, values.shape[1]):
+            mark = mix(mark, values[:, k].astype(U))
+        _, first, back, times = np.unique(mark, return_index=True, return_inverse=True, return_counts=True)
+        kinds = values[first]
+    by_use = np.argsort(-times, kind="stable")
+    rank = np.empty(len(by_use), np.int64)
+    rank[by_use] = np.arange(len(by_use))
+    if back is None:
+        place = np.zeros(len(every), np.int64)
+        place[own] = rank
+        return place[values[:, 0]], kinds[by_use]
+    return rank[back], kinds[by_use]
+
+
 def save(uri: str, name: str, key: np.ndarray, values: np.ndarray, number: np.ndarray | None = None) -> None:
     """A hash table of distinct keys with a row of whole numbers each, and one number of its own if given. Written under another name and then moved, so a
     task that is run twice leaves one whole file."""
@@ -239,19 +259,12 @@ def save(uri: str, name: str, key: np.ndarray, values: np.ndarray, number: np.nd
     bits = max(0, (len(key) // 8).bit_length())
     bucket = (key >> U(64 - bits)).astype(np.int64) if bits else np.zeros(len(key), np.int64)
     start = np.r_[0, np.cumsum(np.bincount(bucket, minlength=1 << bits))]
-    mark = values[:, 0].astype(U)
-    for k in range(1, values.shape[1]):
-        mark = mix(mark, values[:, k].astype(U))
-    _, first, back, times = np.unique(mark, return_index=True, return_inverse=True, return_counts=True)
-    by_use = np.argsort(-times, kind="stable")
-    rank = np.empty(len(by_use), np.int64)
-    rank[by_use] = np.arange(len(by_use))
-    code = rank[back]
+    code, kinds = coded(values)
     rare = np.flatnonzero(code >= 255)
-    arrays = [start.astype("<u4"), (key >> U(32 - bits)).astype("<u4"), np.minimum(code, 255).astype(np.uint8), rare.astype("<u4"), code[rare].astype("<u4"), values[first[by_use]].astype("<i8")]
+    arrays = [start.astype("<u4"), (key >> U(32 - bits)).astype("<u4"), np.minimum(code, 255).astype(np.uint8), rare.astype("<u4"), code[rare].astype("<u4"), kinds.astype("<i8")]
     if number is not None:
         arrays.append(number[order].astype("<i8"))
-    head = np.array([len(key), bits, int(np.diff(start).max(initial=0)), len(rare), len(by_use), values.shape[1]], "<i8")
+    head = np.array([len(key), bits, int(np.diff(start).max(initial=0)), len(rare), len(kinds), values.shape[1]], "<i8")
     raw = b"".join(x.tobytes() + bytes(-x.nbytes % 8) for x in [head, *arrays])
     fs, at = store(uri)
     fs.create_dir(at)
@@ -265,7 +278,7 @@ class Table:
     """A file of save(), mapped."""
 
     def __init__(self, path: str):
-        raw = np.memmap(path, np.uint8, "r")
+        raw = np.asarray(np.memmap(path, np.uint8, "r"))
         n, self.bits, self.most, rare, kinds, width = np.frombuffer(raw[:48], "<i8").tolist()
         at = 48
 
@@ -289,10 +302,10 @@ class Table:
         lo, end = self.start[bucket].astype(np.int64), self.start[bucket + 1].astype(np.int64)
         for k in reversed(range(self.most.bit_length())):
             last = lo + ((1 << k) - 1)  # of the next 2**k, all of which are passed if it is less
-            less = self.low[np.minimum(last, len(self.low) - 1)] < low
+            less = self.low.take(last, mode="clip") < low
             less &= last < end
             np.add(lo, 1 << k, out=lo, where=less)
-        hit = np.flatnonzero((lo < end) & (self.low[np.minimum(lo, len(self.low) - 1)] == low))
+        hit = np.flatnonzero((lo < end) & (self.low.take(lo, mode="clip") == low))
         return hit, lo[hit]
 
     def get(self, key: np.ndarray, numbers: bool = False) -> np.ndarray:

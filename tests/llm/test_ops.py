@@ -629,3 +629,19 @@ def test_long_texts_as_short_ones():
             assert simhash.fingerprint(text) == want
     finally:
         simhash.AT_ONCE = at_once
+
+
+def test_words_are_numbered_without_a_call_each():
+    words = kneser_ney.Words([7, 9])
+    assert "__missing__" not in vars(kneser_ney.Words)
+    assert [words[w] for w in (b"b", b"a", b"b", b"c")] == [4, 5, 4, 6]
+    h = [xxhash.xxh64_intdigest(w, 0) for w in (b"b", b"a", b"c")]
+    assert words.hashes().tolist() == [kneser_ney.BEGIN, kneser_ney.END, 7, 9, *h]
+
+
+def test_values_of_a_table_are_coded_most_frequent_first():
+    for values in ([[3], [1], [3], [70_000]], [[3], [1], [3], [0]], [[5, 1], [5, 2], [5, 1]], np.zeros((0, 1), int)):
+        values = np.array(values, np.int64)
+        code, kinds = kneser_ney.coded(values)
+        assert (kinds[code] == values).all() and (np.diff(np.bincount(code, minlength=1)) <= 0).all()
+        assert len(kinds) == len({tuple(v) for v in values.tolist()})
