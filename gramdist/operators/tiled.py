@@ -2,8 +2,9 @@
 
 A round joins each tile's two pieces with the bottom border of the tile above and the right border of the tile to its
 left, both written by the round before, so a lost executor costs one tile. K + L - 1 rounds for K by L pieces. A task
-holds two pieces and two borders; the driver holds a number a piece. Under unit costs a tile's column is two bit
-vectors, and neighbouring pieces are joined to SIDE letters first: fewer rounds and longer vectors.
+holds two pieces and two borders; the driver holds a number a piece. Under unit costs a tile is swept in bit vectors in
+the JVM, a border is a byte a letter, and neighbouring pieces are joined to SIDE letters first: fewer rounds and longer
+vectors.
 """
 
 from __future__ import annotations
@@ -15,11 +16,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions import dp
+from ..functions import dp, jvm
 from ..scoring import Scoring
 from ..session import kept, parts, workers
 
-SIDE = 1 << 16
+SIDE = 1 << 18
 BORDER = "i int, j int, side string, vals binary"
 
 
@@ -44,6 +45,29 @@ def _joined(df: DataFrame, rows: list[tuple]) -> tuple[DataFrame, list[tuple]]:
     return kept(df.groupBy(n[F.col("k")].cast("long").alias("g")).agg(one.alias("text")).select(F.col("g").alias("k"), "text")), sums
 
 
+def _unit(da: DataFrame, db: DataFrame, ca: list[tuple], cb: list[tuple]) -> float:
+    """tiled_pieces under unit costs, from pieces and their lengths in order. Borders are differences between neighbours;
+    a round's table has, for each tile, the value below right and the borders below it and to its right."""
+    spark = da.sparkSession
+    tile = jvm.unit_tile(spark)
+    ends = accumulate(r[1] for r in ca)
+    rows = spark.createDataFrame([(r[0], n, int(end)) for n, (r, end) in enumerate(zip(ca, ends))], "k long, i int, end long")
+    cols = spark.createDataFrame([(r[0], n) for n, r in enumerate(cb)], "k long, j int")
+    pieces_a = kept(da.join(rows, "k").select("i", "end", F.col("text").alias("a")))
+    pieces_b = kept(db.join(cols, "k").select("j", F.col("text").alias("b")))
+    done = spark.createDataFrame([], "i int, v binary")
+    for wave in range(len(ca) + len(cb) - 1):
+        now = pieces_a.join(pieces_b.select((F.lit(wave) - F.col("j")).alias("i"), "b"), "i")
+        now = now.join(done.select((F.col("i") + 1).alias("i"), F.col("v").alias("above")), "i", "left").join(done.select("i", F.col("v").alias("before")), "i", "left")
+        top = F.expr("coalesce(substring(above, 9, length(b)), cast(repeat(char(1), length(b)) AS binary))")
+        left = F.expr("coalesce(substring(before, -length(a), length(a)), cast(repeat(char(1), length(a)) AS binary))")
+        at = F.expr("coalesce(cast(conv(hex(substring(before, 1, 8)), 16, 10) AS bigint), end)")
+        tiles = min(wave, len(ca) - 1) - max(0, wave - len(cb) + 1) + 1
+        dealt = now.select("i", "a", "b", top.alias("top"), left.alias("left"), at.alias("at")).coalesce(1).repartition(tiles)  # one each
+        done = kept(dealt.select("i", F.call_function(tile, "a", "b", "top", "left", "at").alias("v")))
+    return float(int(done.select(F.hex(F.substring("v", 1, 8)).alias("v")).first()["v"], 16))
+
+
 def tiled_pieces(a: DataFrame, b: DataFrame, scoring: Scoring | None = None) -> float:
     """The distance of two strings given as pieces (k, text), in order of k."""
     s = scoring or Scoring.unit()
@@ -64,6 +88,8 @@ def tiled_pieces(a: DataFrame, b: DataFrame, scoring: Scoring | None = None) ->
     (da, ca), (db, cb) = sides
     if not ca or not cb:
         return (sum(r[1] for r in ca) + sum(r[2] for r in cb)) / s.denominator
+    if unit:
+        return _unit(da, db, ca, cb)
     place = [{r[0]: n for n, r in enumerate(c)} for c in (ca, cb)]
     start = [[0.0, *accumulate(r[1] for r in ca)], [0.0, *accumulate(r[2] for r in cb)]]
 
@@ -91,10 +117,6 @@ def tiled_pieces(a: DataFrame, b: DataFrame, scoring: Scoring | None = None) ->
         for rb in batches:
             for i, j, x, y, top, left in zip(*[rb.column(k).to_pylist() for k in range(6)]):
                 row, left = np.frombuffer(top, s.dtype), np.frombuffer(left, s.dtype)
-                if unit:
-                    low, right = dp.bit_tile(x, y, row, left)
-                    yield _borders([(i + 1, j, "top", low.tobytes()), (i, j + 1, "left", right.tobytes())])
-                    continue
                 c = dp.Letters(s, x, y)
                 run = np.r_[s.dtype(0), np.cumsum(c.inserts)]
                 right = [row[-1]]
